@@ -3,6 +3,8 @@
 1. language: documents whose language is not recognised go.
 2. near_duplicates: one document of each SimHash component stays.
 3. decontamination: documents contaminated by benchmark passages go.
+4. secrets: findings of the secret scan are masked in the texts.
+5. mixture: documents that target weights take, with how often each comes.
 
 Every stage but the last returns the columns of ``documents``.
 """
@@ -14,7 +16,7 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 
 from ruleclosure.durable import shared_folder
-from ruleclosure.llm import decontaminate, language_id, ship_by_value, simhash
+from ruleclosure.llm import decontaminate, language_id, mixture, secret_scan, ship_by_value, simhash
 
 ship_by_value()
 
@@ -31,7 +33,21 @@ def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
     return decontaminate.drop_contaminated(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
 
 
-STAGES = [("language", language), ("near_duplicates", near_duplicates), ("decontamination", decontamination)]
+def secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return secret_scan.redact(docs)
+
+
+def mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return mixture.select(docs)
+
+
+STAGES = [
+    ("language", language),
+    ("near_duplicates", near_duplicates),
+    ("decontamination", decontamination),
+    ("secrets", secrets),
+    ("mixture", mixing),
+]
 
 #: SQL has no language models or fingerprints; tests hold the stages against brute force.
 ORACLE_SQL = None

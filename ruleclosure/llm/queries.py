@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bloom_lm, decontaminate, language_id, quartile_digest, ship_by_value, simhash
+from . import bloom_lm, chat_format, decontaminate, language_id, mixture, quartile_digest, secret_scan, ship_by_value, simhash, url_filter
 
 ship_by_value()
 
@@ -20,13 +20,21 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 def queries() -> dict[str, Query]:
     documents = lambda f: lambda spark, d: f(table(spark, d, "documents"))
     return {
+        "op1_url_filters": lambda spark, d: url_filter.report(spark, table(spark, d, "pages")),
+        "op2_chat_formatting": lambda spark, d: chat_format.render(table(spark, d, "conversations")),
         "op3_benchmark_decontamination": lambda spark, d: decontaminate.report(table(spark, d, "documents"), table(spark, d, "benchmark")),
         "op4_simhash_near_dedup": documents(simhash.report),
         "op5_lm_scoring": documents(bloom_lm.report),
+        "op6_source_mixing": documents(mixture.report),
+        "op7_secret_scans": documents(secret_scan.report),
         "op8_language_id": documents(language_id.report),
         "op10_document_fingerprints": documents(quartile_digest.report),
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {
+        "op1_url_filters": url_filter.sql(),
+        "op2_chat_formatting": chat_format.SQL,
+        "op6_source_mixing": mixture.sql(),
+    }
