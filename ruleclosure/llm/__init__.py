@@ -13,6 +13,7 @@ _WORKER_MODULES = (
     "simhash",
     "bloom_lm",
     "language_id",
+    "suffix_dedup",
     "quartile_digest",
 )
 

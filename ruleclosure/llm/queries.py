@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bloom_lm, chat_format, decontaminate, language_id, mixture, quartile_digest, secret_scan, ship_by_value, simhash, url_filter
+from . import bloom_lm, chat_format, decontaminate, language_id, mixture, quartile_digest, secret_scan, ship_by_value, simhash, suffix_dedup, url_filter
 
 ship_by_value()
 
@@ -28,6 +28,7 @@ def queries() -> dict[str, Query]:
         "op6_source_mixing": documents(mixture.report),
         "op7_secret_scans": documents(secret_scan.report),
         "op8_language_id": documents(language_id.report),
+        "op9_suffix_array_dedup": documents(suffix_dedup.report),
         "op10_document_fingerprints": documents(quartile_digest.report),
     }
 
