@@ -60,12 +60,19 @@ def lower_table() -> np.ndarray:
     return table
 
 
+_POWERS: dict[int, np.ndarray] = {}
+
+
 def powers(base: int, n: int) -> np.ndarray:
-    """base**0 .. base**(n-1) modulo 2**64."""
-    out = np.full(n, base, U64)
-    if n:
-        out[0] = 1
-    return np.cumprod(out, dtype=U64)
+    """base**0 .. base**(n-1) modulo 2**64; those of one block's length are remembered."""
+    known = _POWERS.get(base)
+    if known is None or len(known) < n:
+        known = np.full(max(n, 1), base, U64)
+        known[0] = 1
+        known = np.cumprod(known, dtype=U64)
+        if n <= 2 * BLOCK_BYTES:
+            _POWERS[base] = known
+    return known[:n]
 
 
 def inverse(base: int) -> int:

@@ -7,9 +7,10 @@ shards are cut by content instead:
 1. In every 200-byte window the 32-byte gram with the smallest hash is its *anchor*.  Equal windows have equal
    anchors at equal places.  Anchors, about one in 85 bytes, are kept with a hash of their *region*, the bytes of all
    windows around them.
-2. Only anchors that occur twice can lie in a repeated window.  A region that occurs twice is repeated as a whole.
+2. Only anchors that occur twice can lie in a repeated window; one exchange of all anchors finds them.  A region that
+   occurs twice is repeated as a whole.
 3. Of anchors with several different regions, one copy of each region goes to the shard that owns the anchor.
-   A shard sorts its suffixes by Larsson and Sadakane's refinement (ranks of prefixes double in length, only groups
+   Regions no stretch of which occurs twice in the shard are set aside; of the others a shard sorts the suffixes by Larsson and Sadakane's refinement (ranks of prefixes double in length, only groups
    that are still tied are sorted again) and takes common prefixes by Kasai's method, all regions in step.
    Neighbours that share 200 bytes from different places are repeats.
 4. An anchor with more region bytes than a shard holds is sorted in parts; each part's sorted window keys are merged
@@ -39,8 +40,8 @@ from .common import BASE_B, Spans, mix, text_blocks
 
 WINDOW = 200
 GRAM = 32
-SHARD_BYTES = 2_000_000
-BLOCK = 1_000_000
+SHARD_BYTES = 4_000_000
+BLOCK = 500_000
 
 _DOC_ID, _PLACE = np.uint64(0x8CB92BA72F3D8DD7), np.uint64(0xA0761D6478BD642F)
 
@@ -62,19 +63,21 @@ def anchors(raw: np.ndarray, offsets: np.ndarray, window: int = WINDOW, gram: in
     if n < window:
         none = np.zeros(0, np.int64)
         return none, none, none, none, none.astype(np.uint64), none.astype(np.uint64)
-    first = np.arange(n - gram + 1)
-    grams = Spans(raw).hash(first, first + gram) | np.uint64(1)
-    low = sliding(grams, width, np.minimum)
-    start = np.repeat(offsets[:-1], np.diff(offsets))
-    stop = np.repeat(offsets[1:], np.diff(offsets))
-    x = np.arange(n - window + 1)
-    low[x + window > stop[x]] = 0  # windows that leave their text
-    wide = np.concatenate([np.zeros(width - 1, np.uint64), low, np.zeros(width - 1, np.uint64)])
-    at = np.flatnonzero(sliding(wide, width, np.maximum) == grams)
-    before = np.minimum(at - start[at], width - 1)
-    end = np.minimum(at + window, stop[at])
+    sums = Spans(raw)
+    grams = mix((sums.sums[gram:] - sums.sums[: n + 1 - gram]) * sums.undo[: n + 1 - gram])
+    order = (grams >> np.uint64(32)).astype(np.uint32) | np.uint32(1)
+    low = sliding(order, width, np.minimum)
+    for end in offsets[1:-1].tolist():  # windows that leave their text
+        low[max(0, end - window + 1) : end] = 0
+    wide = np.zeros(len(low) + 2 * width - 2, np.uint32)
+    wide[width - 1 : width - 1 + len(low)] = low
+    at = np.flatnonzero(sliding(wide, width, np.maximum) == order)
+    row = np.searchsorted(offsets, at, side="right") - 1
+    start, stop = offsets[row], offsets[row + 1]
+    before = np.minimum(at - start, width - 1)
+    end = np.minimum(at + window, stop)
     region = mix(Spans(raw, BASE_B).hash(at - before, end) + before.astype(np.uint64) * _PLACE)
-    return np.searchsorted(offsets, at, side="right") - 1, at - start[at], before, end - at + before, grams[at], region
+    return row, at - start, before, end - at + before, grams[at], region
 
 
 def row_keys(ids: pa.Array, raw: np.ndarray, offsets: np.ndarray) -> np.ndarray:
@@ -88,17 +91,58 @@ def hash_id(x) -> int:
 
 
 def find_anchors(docs: DataFrame) -> DataFrame:
-    """rk (document), loc (place, bytes before, size in one number), ha, hr."""
+    """rk (document), loc (place, bytes before, size in one number), ha, hr, and ``lot``, by which the row is dealt.
+
+    An anchor that a batch holds several times needs no other to prove it: but for the first, such rows are dealt by
+    chance (``sure``), so a passage of very many documents never meets in one task.
+    """
 
     def run(batches):
         for batch in batches:
+            found = []
             for a, b, raw, offsets in text_blocks(batch, "text", BLOCK):
                 keys = row_keys(batch.column(0).slice(a, b - a), raw, offsets)
                 row, place, before, size, ha, hr = anchors(raw, offsets)
-                loc = place << 18 | before << 9 | size
-                yield pa.RecordBatch.from_arrays([pa.array(x.view(np.int64)) for x in (keys[row], loc, ha, hr)], ["rk", "loc", "ha", "hr"])
+                found.append((keys[row], (place << 18 | before << 9 | size).view(np.uint64), ha, hr))
+            if found:
+                rk, loc, ha, hr = (np.concatenate(x) for x in zip(*found, strict=True))
+                _, first, back, n = np.unique(ha, return_index=True, return_inverse=True, return_counts=True)
+                sure = n[back] > 1
+                lot = np.where(sure, mix(rk + loc * _PLACE), ha)
+                lot[first] = ha[first]
+                for a in range(0, len(rk), 50_000):
+                    part = [pa.array(x[a : a + 50_000].view(np.int64)) for x in (rk, loc, ha, hr, lot)]
+                    yield pa.RecordBatch.from_arrays([*part, pa.array(sure[a : a + 50_000])], ["rk", "loc", "ha", "hr", "lot", "sure"])
+
+    return docs.select("doc_id", "text").mapInArrow(run, "rk long, loc long, ha long, hr long, lot long, sure boolean")
+
 
-    return docs.select("doc_id", "text").mapInArrow(run, "rk long, loc long, ha long, hr long")
+def repeated_anchors(docs: DataFrame) -> DataFrame:
+    """Anchors that occur more than once, found by one exchange of all."""
+
+    def run(batches):
+        held = None  # a batch ends where its last lot may go on
+        for batch in batches:
+            rows = pa.Table.from_batches([batch])
+            table = rows if held is None else pa.concat_tables([held, rows])
+            lot = table.column("lot").to_numpy()
+            last = int(np.searchsorted(lot, lot[-1])) if len(lot) else 0
+            yield from kept(table.slice(0, last)).to_batches()
+            held = table.slice(last)
+        if held is not None:
+            yield from kept(held).to_batches()
+
+    def kept(table):
+        lot = table.column("lot").to_numpy()
+        sure = table.column("sure").to_numpy()
+        same = np.zeros(len(lot), bool)
+        if len(lot):
+            equal = lot[1:] == lot[:-1]
+            same[1:] |= equal
+            same[:-1] |= equal
+        return table.filter(pa.array(sure | same)).select(["rk", "loc", "ha", "hr"])
+
+    return find_anchors(docs).repartition("lot").sortWithinPartitions("lot").mapInArrow(run, "rk long, loc long, ha long, hr long")
 
 
 def packed_texts(docs: DataFrame) -> DataFrame:
@@ -213,6 +257,27 @@ def repeats(texts: list[bytes], places: np.ndarray, window: int = WINDOW) -> lis
     return [found[a : a + max(0, n - window + 1)] for a, n in zip(starts.tolist(), sizes.tolist(), strict=True)]
 
 
+def promising(texts: list[bytes], before: np.ndarray, window: int = WINDOW, gram: int = GRAM, cases: int = 8) -> np.ndarray:
+    """Whether a region may hold a repeated window, seen without sorting.
+
+    A window holds ``a`` bytes before the anchor; by ``a`` it falls into one of ``cases`` ranges, and all windows of a range
+    share a stretch around the anchor.  Where none of a region's stretches occurs twice, none of its windows does.
+    """
+    sizes = np.array([len(t) for t in texts], np.int64)
+    starts = np.cumsum(sizes) - sizes
+    sums = Spans(np.frombuffer(b"".join(texts), np.uint8))
+    width = window - gram + 1
+    out = np.zeros(len(texts), bool)
+    for k in range(cases):
+        least, most = width * k // cases, width * (k + 1) // cases - 1
+        # Regions with a window of this range; the common stretch lies inside such a window.
+        some = np.flatnonzero(np.maximum(least, before - sizes + window) <= np.minimum(most, before))
+        lo = starts[some] + before[some] - least
+        _, back, n = np.unique(sums.hash(lo, lo + window - (most - least)), return_inverse=True, return_counts=True)
+        out[some] |= n[back] > 1
+    return out
+
+
 class Merged:
     """Window keys of the parts of one anchor's regions, sorted, with where each window stands."""
 
@@ -261,7 +326,8 @@ SPANS = "array<struct<a:int,b:int>>"
 
 
 def judge_regions(regions: DataFrame, shard_bytes: int = SHARD_BYTES) -> DataFrame:
-    """ha, hr, spans: covered ranges of each region; ``regions``: ha, hr, place, region, dealt and sorted by ha."""
+    """ha, hr, spans: covered ranges of regions (those left out have none); ``regions``: ha, hr, place, region, before,
+    dealt and sorted by ha."""
     kind = pa.list_(pa.struct([("a", pa.int32()), ("b", pa.int32())]))
 
     def verdicts(names, found):
@@ -276,8 +342,10 @@ def judge_regions(regions: DataFrame, shard_bytes: int = SHARD_BYTES) -> DataFra
 
         def shard_out():
             if shard:
-                texts, places = [x[3] for x in shard], np.array([x[2] for x in shard], np.int64).view(np.uint64)
-                yield verdicts([x[:2] for x in shard], repeats(texts, places))
+                likely = promising([x[3] for x in shard], np.array([x[4] for x in shard], np.int64))
+                some = [x for x, good in zip(shard, likely.tolist(), strict=True) if good]
+                if some:
+                    yield verdicts([x[:2] for x in some], repeats([x[3] for x in some], np.array([x[2] for x in some], np.int64).view(np.uint64)))
 
         def part():
             nonlocal merged, merged_names
@@ -300,7 +368,7 @@ def judge_regions(regions: DataFrame, shard_bytes: int = SHARD_BYTES) -> DataFra
 
         at = None
         for batch in batches:
-            for row in zip(*(batch.column(k).to_pylist() for k in range(4)), strict=True):
+            for row in zip(*(batch.column(k).to_pylist() for k in range(5)), strict=True):
                 if row[0] != at:
                     yield from close()
                     at = row[0]
@@ -312,11 +380,11 @@ def judge_regions(regions: DataFrame, shard_bytes: int = SHARD_BYTES) -> DataFra
         yield from close()
         yield from shard_out()
 
-    return regions.select("ha", "hr", "place", "region").mapInArrow(run, f"ha long, hr long, spans {SPANS}")
+    return regions.select("ha", "hr", "place", "region", "before").mapInArrow(run, f"ha long, hr long, spans {SPANS}")
 
 
 def extract(wanted: DataFrame) -> DataFrame:
-    """ha, hr, place, region from rows of (rk, z, asked: array of (ha, hr, loc))."""
+    """ha, hr, place, region, before from rows of (rk, z, asked: array of (ha, hr, loc))."""
 
     def run(batches):
         open_ = zstandard.ZstdDecompressor()
@@ -327,19 +395,17 @@ def extract(wanted: DataFrame) -> DataFrame:
                 for x in asked:
                     place, before, size = x["loc"] >> 18, x["loc"] >> 9 & 511, x["loc"] & 511
                     a = place - before
-                    out.append((x["ha"], x["hr"], ((rk & (1 << 64) - 1) + a + (1 << 63)) % (1 << 64) - (1 << 63), text[a : a + size]))
+                    out.append((x["ha"], x["hr"], ((rk & (1 << 64) - 1) + a + (1 << 63)) % (1 << 64) - (1 << 63), text[a : a + size], before))
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array(c, t) for c, t in zip(zip(*out, strict=True), (pa.int64(), pa.int64(), pa.int64(), pa.binary()), strict=True)], ["ha", "hr", "place", "region"]
+                    [pa.array(c, t) for c, t in zip(zip(*out, strict=True), (pa.int64(), pa.int64(), pa.int64(), pa.binary(), pa.int64()), strict=True)], ["ha", "hr", "place", "region", "before"]
                 )
 
-    return wanted.select("rk", "z", "asked").mapInArrow(run, "ha long, hr long, place long, region binary")
+    return wanted.select("rk", "z", "asked").mapInArrow(run, "ha long, hr long, place long, region binary, before long")
 
 
 def covered(docs: DataFrame) -> DataFrame:
     """rk and cuts (array of byte ranges) of the documents that hold repeated strings."""
-    every = cut(find_anchors(docs))
-    twice = every.groupBy("ha").agg(F.count("*").alias("n")).where("n > 1").select("ha")
-    again = cut(every.join(twice, "ha", "left_semi"))
+    again = cut(repeated_anchors(docs))
     regions = again.groupBy("ha", "hr").agg(F.count("*").alias("n"), F.first("rk").alias("rk"), F.first("loc").alias("loc"))
     regions = cut(regions)
     several = regions.groupBy("ha").agg(F.count("*").alias("k")).where("k > 1").select("ha")
