@@ -8,6 +8,10 @@ import pandas as pd
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
+from ..shipping import by_value
+
+by_value(__name__)
+
 TRIPLE_STRUCT = "s string, p string, o string"
 
 

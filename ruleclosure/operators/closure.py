@@ -18,6 +18,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..durable import cut
+from ..shipping import by_value
+
+by_value(__name__)
 
 LOCAL_ROWS = 100_000
 EDGE = "p string, src string, dst string"

@@ -9,6 +9,9 @@ from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 from ..functions.terms import escape, parse_line, parse_ntriple
 from ..triples import TRIPLE, classify
 from ..vocab import VOCAB, Vocabulary
+from ..shipping import by_value
+
+by_value(__name__)
 
 #: Lines whose terms are all IRIs need no Python.
 _IRIS = r"^\s*<([^>]*)>\s*<([^>]*)>\s*<([^>]*)>\s*\.\s*$"

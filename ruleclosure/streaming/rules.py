@@ -19,6 +19,9 @@ from ..durable import shared_folder
 from ..operators.firing import Schema, fire
 from ..plans.rules import RULES
 from ..reasoner import Config, ReasonResult, reason_incremental
+from ..shipping import by_value
+
+by_value(__name__)
 
 #: Rules that read one instance triple.
 STATELESS = ("R3", "R4", "R5", "R6", "O3", "O7a", "O7b", "O13", "O14")
