@@ -40,7 +40,7 @@ from .common import BASE_B, Spans, mix, text_blocks
 
 WINDOW = 200
 GRAM = 32
-SHARD_BYTES = 4_000_000
+SHARD_BYTES = 1_500_000
 BLOCK = 500_000
 
 _DOC_ID, _PLACE = np.uint64(0x8CB92BA72F3D8DD7), np.uint64(0xA0761D6478BD642F)
@@ -72,10 +72,18 @@ def anchors(raw: np.ndarray, offsets: np.ndarray, window: int = WINDOW, gram: in
     wide = np.zeros(len(low) + 2 * width - 2, np.uint32)
     wide[width - 1 : width - 1 + len(low)] = low
     at = np.flatnonzero(sliding(wide, width, np.maximum) == order)
+    # Each window belongs to the leftmost of its smallest grams; an anchor's region is what its windows cover.
+    x = np.flatnonzero(low)
+    k = np.searchsorted(at, x)
+    wrong = np.flatnonzero(order[at[k]] != low[x])
+    while len(wrong):
+        k[wrong] += 1
+        wrong = wrong[order[at[k[wrong]]] != low[x[wrong]]]
+    begin = np.flatnonzero(np.diff(k, prepend=-1))
+    last = np.append(begin[1:], len(k)) - 1
+    at, begin, end = at[k[begin]] if len(k) else at[:0], x[begin], x[last] + window if len(k) else x[:0]
     row = np.searchsorted(offsets, at, side="right") - 1
-    start, stop = offsets[row], offsets[row + 1]
-    before = np.minimum(at - start, width - 1)
-    end = np.minimum(at + window, stop)
+    start, before = offsets[row], at - begin
     region = mix(Spans(raw, BASE_B).hash(at - before, end) + before.astype(np.uint64) * _PLACE)
     return row, at - start, before, end - at + before, grams[at], region
 
@@ -167,22 +175,27 @@ def suffix_array(data: np.ndarray, depth: int | None = None) -> np.ndarray:
     """Starts of all suffixes of ``data`` (small integers), in full order or by at least ``depth`` first values."""
     n = len(data)
     depth = depth or n
-    wide = np.zeros(n + 8, np.uint64)
-    wide[:n] = data
+    # As many first values as fit one word, in as few bits as the alphabet takes.
+    used = np.flatnonzero(np.bincount(data.astype(np.int64), minlength=1))
+    bits = max(1, int(len(used)).bit_length())
+    h = 64 // bits
+    code = np.zeros(int(used[-1]) + 1 if len(used) else 1, np.uint64)
+    code[used] = np.arange(1, len(used) + 1)
+    wide = np.zeros(n + h, np.uint64)
+    wide[:n] = code[data]
     key = np.zeros(n, np.uint64)
-    for k in range(7):  # values fit 9 bits
-        key = key << np.uint64(9) | wide[k : k + n]
+    for k in range(h):
+        key = key << np.uint64(bits) | wide[k : k + n]
     order = np.argsort(key, kind="stable")
     ranked = key[order]
     new = np.concatenate([[True], ranked[1:] != ranked[:-1]])
     begin = np.flatnonzero(new)
     rank = np.empty(n + 1, np.int64)
-    group = np.cumsum(new) - 1
-    rank[order] = begin[group]
-    rank[n] = -1
+    del key, ranked, wide
     size = np.diff(np.append(begin, n))
-    open_at = np.flatnonzero(size[group] > 1)  # places in the order that are still tied
-    h = 7
+    rank[order] = np.repeat(begin, size)
+    rank[n] = -1
+    open_at = np.flatnonzero(np.repeat(size > 1, size))  # places in the order that are still tied
     while h < depth and len(open_at):
         tied = order[open_at]
         own, after = rank[tied], rank[np.minimum(tied + h, n)]
@@ -192,10 +205,9 @@ def suffix_array(data: np.ndarray, depth: int | None = None) -> np.ndarray:
         order[open_at] = tied  # groups keep their places, members change
         new = np.concatenate([[True], both[1:] != both[:-1]])
         begin = np.flatnonzero(new)
-        group = np.cumsum(new) - 1
-        rank[tied] = open_at[begin][group]
         size = np.diff(np.append(begin, len(tied)))
-        open_at = open_at[size[group] > 1]
+        rank[tied] = np.repeat(open_at[begin], size)
+        open_at = open_at[np.repeat(size > 1, size)]
         h *= 2
     return order
 
