@@ -7,12 +7,13 @@ import re
 import pandas as pd
 from pyspark.sql import Column
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from ..shipping import by_value
 
 by_value(__name__)
 
-TRIPLE_STRUCT = "s string, p string, o string"
+TRIPLE_STRUCT = T.StructType([T.StructField(c, T.StringType()) for c in ("s", "p", "o")])
 
 
 def term(kind: str, key: Column) -> Column:
@@ -54,13 +55,13 @@ def parse_ntriple(lines: pd.Series) -> pd.DataFrame:
     return pd.DataFrame([parse_line(x) for x in lines], columns=["s", "p", "o"])
 
 
-@F.pandas_udf("string")
+@F.pandas_udf(T.StringType())
 def clique_rep(terms: pd.Series) -> str:
     """The smallest term of a group (the built-in ``min`` does the same within generated code)."""
     return terms.min()
 
 
-@F.udtf(returnType="href string")
+@F.udtf(returnType=T.StructType([T.StructField("href", T.StringType())]))
 class HtmlLinks:
     """The targets of the links of a page."""
 
@@ -69,7 +70,7 @@ class HtmlLinks:
             yield (x,)
 
 
-@F.udtf(returnType="v string, w string")
+@F.udtf(returnType=T.StructType([T.StructField("v", T.StringType()), T.StructField("w", T.StringType())]))
 class ExpandClique:
     """All ordered pairs of different members."""
 

@@ -29,6 +29,8 @@ class Schema:
     triples: DataFrame
     vocab: Vocabulary = VOCAB
     broadcast: bool = True
+    #: The triples where the driver holds them anyway; premises are then joined there.
+    rows: frozenset[tuple[str, str, str]] | None = None
     _joined: dict[str, tuple[DataFrame, int]] = field(default_factory=dict)
 
     def bindings(self, rule: Rule) -> tuple[DataFrame, int] | None:
@@ -36,6 +38,10 @@ class Schema:
         atoms = [a for a in rule.body if a.kind(self.vocab) == "schema"]
         if not atoms:
             return None
+        if rule.id not in self._joined and self.rows is not None:
+            names, found = joined_locally(atoms, self.rows)
+            kind = ", ".join(f"{n} string" for n in names)
+            self._joined[rule.id] = (self.triples.sparkSession.createDataFrame(sorted(found), kind), len(found))
         if rule.id not in self._joined:
             rows = reduce(lambda x, y: x.join(y, [c for c in x.columns if c in y.columns]), [matched(a, self.triples) for a in atoms]).distinct()
             found = rows.limit(BROADCAST_ROWS + 1).collect()
@@ -49,6 +55,24 @@ class Schema:
         return F.broadcast(rows) if self.broadcast and n <= BROADCAST_ROWS else rows
 
 
+def joined_locally(atoms: list[Atom], rows) -> tuple[list[str], set[tuple[str, ...]]]:
+    """(column names, rows) of the conjunction of atoms over triples in memory, by hash joins."""
+    names: list[str] = []
+    found: list[tuple[str, ...]] = [()]
+    for a in atoms:
+        own = [variable(t) for t in a.variables()]
+        shared = [n for n in own if n in names]
+        index: dict[tuple[str, ...], list[tuple[str, ...]]] = {}
+        for t in rows:
+            bound: dict[str, str] = {}
+            if all(bound.setdefault(variable(x), y) == y if x.startswith("?") else x == y for x, y in zip(a.terms(), t, strict=True)):
+                index.setdefault(tuple(bound[n] for n in shared), []).append(tuple(bound[n] for n in own if n not in shared))
+        at = [names.index(n) for n in shared]
+        found = [(*f, *more) for f in found for more in index.get(tuple(f[k] for k in at), ())]
+        names += [n for n in own if n not in shared]
+    return names, set(found)
+
+
 def variable(term: str) -> str:
     return f"v_{term[1:]}"
 

@@ -11,6 +11,7 @@ import time
 from dataclasses import dataclass, field, replace
 from functools import reduce
 
+from pyspark import StorageLevel
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -127,7 +128,7 @@ class Run:
 
     def _schema(self) -> Schema:
         rows = self.spark.createDataFrame(sorted(self.schema_set), TRIPLE)
-        return Schema(rows, self.config.vocab, self.config.broadcast)
+        return Schema(rows, self.config.vocab, self.config.broadcast, frozenset(self.schema_set))
 
     def _parts(self, parts: dict[str, list[DataFrame]]) -> dict[str, DataFrame]:
         return {k: reduce(DataFrame.union, x) for k, x in parts.items() if x}
@@ -138,6 +139,7 @@ class Run:
         full = {k: [self.known[k]] for k in self.known if k in self.present}
         new = {k: [x] for k, x in (delta or {}).items()}
         outs: list[tuple[str, DataFrame]] = []
+        held: list[DataFrame] = []
         todo = [r for r in rules if config.uses(r)]
         rename = ("R3", "O3", "O7a", "O7b")
         for rule in todo:
@@ -154,13 +156,19 @@ class Run:
                 rows = fire(config.rule_set[rule], self.schema, self._parts(full), self._parts(new) if delta is not None else None, config.keep_reflexive)
             if rows is None:
                 continue
+            # Later rules of the pass read this one's rows, not its premises over again.
+            rows = rows.persist(StorageLevel.MEMORY_AND_DISK)
+            held.append(rows)
+            if rows.isEmpty():
+                continue
             outs.append((rule, rows))
             kind = {"R3+O3+O7": "fact"}.get(rule) or config.rule_set[rule].head.kind(config.vocab)
             full.setdefault(kind, []).append(rows)
             new.setdefault(kind, []).append(rows)
-        if not outs:
-            return {}
-        return self._settle(name, outs, number, began)
+        found = self._settle(name, outs, number, began) if outs else {}
+        for rows in held:
+            rows.unpersist()
+        return found
 
     def _settle(self, name: str, outs: list[tuple[str, DataFrame]], number: int, began: float) -> dict[str, DataFrame]:
         """One removal of repeats and known triples for the whole stage."""
