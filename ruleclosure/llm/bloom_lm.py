@@ -8,9 +8,10 @@ by probing 1, 2, ... until a probe misses, and stands for the middle of its rang
     P(w | v) = m(v) * c(v w) / c(v) + (1 - m(v)) * (c(w) + 0.1) / (N + 0.1 (V + 1)),   m(v) = MIX * c(v) / (c(v) + HALF)
 
 The filter is a row of segments, each sized for its own entries, built where its n-grams meet after one shuffle.
-Segments of 1-grams are always broadcast; those of 2-grams are split into slices of at most ``max_filter_bytes``,
-and each slice is one pass over the texts that scores the tokens whose 2-gram belongs to it.  So no broadcast
-outgrows its bound, and the table follows the corpus.
+They are split into slices of at most ``max_filter_bytes``, and each slice of 2-grams is one pass over the texts that
+scores the tokens whose 2-gram belongs to it.  Where 1-grams take a single slice it is broadcast beside each of these;
+otherwise earlier passes, one a slice, write the levels of all tokens next to their texts, a byte a token.  So no
+broadcast outgrows its bound, and the table follows the corpus.
 
 Beside the model stands the exact base score.  Words are split by their exact count: the ``head`` (at most
 ``head_size`` words, those above a count) is broadcast; counts of all others reach their texts by a join, which
@@ -32,7 +33,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from ..durable import cut
-from .common import MASK64, Spans, lower_table, mix, text_blocks
+from .common import MASK64, Spans, buffers, lower_table, mix, text_blocks
 
 LOG_BASE = 1.5
 BITS, PROBES = 10, 4
@@ -192,14 +193,15 @@ def segments(grams: DataFrame) -> DataFrame:
 
 
 class Tables:
-    """What a scoring pass needs: the filters, the head's exact counts, and N and V."""
+    """What a scoring pass needs: the filters (no ``ones`` where levels come with the texts), the head's exact counts,
+    and N and V."""
 
-    def __init__(self, ones: Filter, twos: Filter, head: tuple[np.ndarray, np.ndarray], total: int, distinct: int, slice_of: np.ndarray):
+    def __init__(self, ones: Filter | None, twos: Filter, head: tuple[np.ndarray, np.ndarray], total: int, distinct: int, slice_of: np.ndarray):
         self.ones, self.twos, self.head, self.total, self.distinct, self.slice_of = ones, twos, head, total, distinct, slice_of
 
-    def block(self, raw: np.ndarray, offsets: np.ndarray, which: int):
+    def block(self, raw: np.ndarray, offsets: np.ndarray, which: int, levels: np.ndarray | None = None):
         """Per text: tokens, known head tokens, sum of log10(c + 0.1) over head tokens, model score of slice
-        ``which``; and the other tokens as (text, hash, times)."""
+        ``which``; and the other tokens as (text, hash, times).  ``levels``: the 1-gram level of each token, if known."""
         m = len(offsets) - 1
         token, doc, before = token_hashes(raw, offsets)
         words, back = np.unique(token, return_inverse=True)
@@ -211,15 +213,16 @@ class Tables:
         known = np.bincount(doc[head_token], minlength=m)
         rest = np.flatnonzero(~head_token)
         tail = np.unique(np.stack([doc[rest].astype(np.uint64), token[rest]]), axis=1, return_counts=True) if len(rest) else (np.zeros((2, 0), np.uint64), np.zeros(0, np.int64))
-        singles = restored(self.ones.levels(words))
         pairs = pair_hash(before, token)
         grams, gram_back = np.unique(pairs, return_inverse=True)
         mine = self.slice_of[(grams >> np.uint64(64 - SEGMENT_BITS)).astype(np.int64)] == which
         together = np.zeros(len(grams))
         together[mine] = restored(self.twos.levels(grams[mine]))
-        c_word = singles[back]
-        # The token before is one of this block's tokens, as end marks are.
-        c_before = singles[np.searchsorted(words, before)]
+        c_word = restored(self.ones.levels(words))[back] if levels is None else restored(levels)
+        # A text's first token follows an end mark, which counts as much as the text's own.
+        last = np.cumsum(np.bincount(doc, minlength=m)) - 1
+        c_before = np.roll(c_word, 1)
+        c_before[np.append(0, last[:-1] + 1)] = c_word[last]
         share = MIX * c_before / (c_before + HALF)
         single = (c_word + 0.1) / (self.total + 0.1 * (self.distinct + 1))
         p = share * np.minimum(together[gram_back], c_before) / np.maximum(c_before, 1) + (1 - share) * single
@@ -228,6 +231,44 @@ class Tables:
         return np.bincount(doc, minlength=m), known, base, score, tail
 
 
+def sliced(sizes: dict[int, int], low: int, limit: int) -> np.ndarray:
+    """The slice of each segment from number ``low`` on: neighbours together as long as they hold ``limit`` bytes."""
+    out, now, filled = np.zeros(1 << SEGMENT_BITS, np.int64), 0, 0
+    for k in range(len(out)):
+        size = sizes.get(low + k, 0)
+        if filled and filled + size > limit:
+            now, filled = now + 1, 0
+        filled += size
+        out[k] = now
+    return out
+
+
+def with_levels(docs: DataFrame, part: Filter, slice_of: np.ndarray, which: int) -> DataFrame:
+    """doc_id, text and ``levels`` (a byte a token), those of the 1-grams of slice ``which`` filled in."""
+    shared = docs.sparkSession.sparkContext.broadcast((part, slice_of))
+    schema = T.StructType([docs.schema["doc_id"], docs.schema["text"], T.StructField("levels", T.BinaryType())])
+    begun = "levels" in docs.columns
+
+    def run(batches):
+        part, slice_of = shared.value
+        for batch in batches:
+            known, at = buffers(batch.column(2)) if begun else (None, None)
+            for a, b, raw, offsets in text_blocks(batch, "text"):
+                token, doc, _ = token_hashes(raw, offsets)
+                words, back = np.unique(token, return_inverse=True)
+                mine = slice_of[(words >> np.uint64(64 - SEGMENT_BITS)).astype(np.int64)] == which
+                levels = np.zeros(len(words), np.uint8)
+                levels[mine] = part.levels(words[mine])
+                levels = levels[back]
+                if begun:
+                    levels += known[at[a] : at[b]]
+                ends = np.cumsum(np.bincount(doc, minlength=b - a)).tolist()
+                cells = [levels[x:y].tobytes() for x, y in zip([0, *ends[:-1]], ends, strict=True)]
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, b - a), batch.column(1).slice(a, b - a), pa.array(cells, pa.binary())], schema.fieldNames())
+
+    return docs.mapInArrow(run, schema)
+
+
 def pass_over(docs: DataFrame, tables: Tables, which: int) -> DataFrame:
     """doc_id, key (of the text), n_tokens, known, base, score and ``rest``: tokens outside the head."""
     shared = docs.sparkSession.sparkContext.broadcast(tables)
@@ -241,8 +282,9 @@ def pass_over(docs: DataFrame, tables: Tables, which: int) -> DataFrame:
     def run(batches):
         tables = shared.value
         for batch in batches:
+            levels, at = (None, None) if tables.ones else buffers(batch.column(2))
             for a, b, raw, offsets in text_blocks(batch, "text"):
-                n, known, base, score, (tail, times) = tables.block(raw, offsets, which)
+                n, known, base, score, (tail, times) = tables.block(raw, offsets, which, None if tables.ones else levels[at[a] : at[b]])
                 of, h = tail[0].astype(np.int64), tail[1].view(np.int64)
                 cuts = np.searchsorted(of, np.arange(b - a + 1)) if not which else np.zeros(b - a + 1, np.int64)
                 rest = pa.ListArray.from_arrays(pa.array(cuts.astype(np.int32)), pa.StructArray.from_arrays([pa.array(h), pa.array(times)], ["h", "times"]))
@@ -251,7 +293,7 @@ def pass_over(docs: DataFrame, tables: Tables, which: int) -> DataFrame:
                     [batch.column(0).slice(a, b - a), pa.array(key), *(pa.array(x) for x in (n, known, base, score)), rest], schema.fieldNames()
                 )
 
-    return docs.select("doc_id", "text").mapInArrow(run, schema)
+    return docs.mapInArrow(run, schema)
 
 
 def held_out(modulus: int = 10, rest: int = 0) -> F.Column:
@@ -277,23 +319,22 @@ def score(docs: DataFrame, training: F.Column, head_size: int = HEAD, max_filter
 
     bits = built.where("bits is not null")
     sizes = dict(bits.select("seg", F.length("bits")).collect())  # one number a segment, of which there are 2**(SEGMENT_BITS + 1)
-    one, limit = 1 << SEGMENT_BITS, max_filter_bytes
-    if (single := sum(v for k, v in sizes.items() if k < one)) > limit:
-        raise ValueError(f"1-grams take {single} bytes of filter, more than max_filter_bytes={limit}")
-    slice_of, now, filled = np.zeros(one, np.int64), 0, 0
-    for k in range(one):
-        if filled and filled + sizes.get(one + k, 0) > limit:
-            now, filled = now + 1, 0
-        filled += sizes.get(one + k, 0)
-        slice_of[k] = now
-    slices = int(slice_of.max()) + 1
-    load = lambda rows, low: Filter({r["seg"] - low: bytes(r["bits"]) for r in rows.collect()}, one)
-    ones = load(bits.where(F.col("seg") < one), 0)
-    passes = []
-    for s in range(slices):
-        mine = [one + int(k) for k in np.flatnonzero(slice_of == s)]
-        twos = load(bits.where(F.col("seg").between(mine[0], mine[-1])), one)
-        passes.append(cut(pass_over(docs, Tables(ones, twos, exact, stats["total"], stats["distinct"], slice_of), s)))
+    one = 1 << SEGMENT_BITS
+    ones_of, twos_of = sliced(sizes, 0, max_filter_bytes), sliced(sizes, one, max_filter_bytes)
+
+    def load(slice_of, which, low):
+        mine = np.flatnonzero(slice_of == which) + low
+        found = bits.where(F.col("seg").between(int(mine[0]), int(mine[-1]))).collect()
+        return Filter({r["seg"] - low: bytes(r["bits"]) for r in found}, one)
+
+    texts, ones = docs.select("doc_id", "text"), None
+    if ones_of.max():
+        for s in range(int(ones_of.max()) + 1):
+            texts = cut(with_levels(texts, load(ones_of, s, 0), ones_of, s))
+    else:
+        ones = load(ones_of, 0, 0)
+    slices = int(twos_of.max()) + 1
+    passes = [cut(pass_over(texts, Tables(ones, load(twos_of, s, one), exact, stats["total"], stats["distinct"], twos_of), s)) for s in range(slices)]
     rows = passes[0]
     if slices > 1:
         more = reduce(DataFrame.union, [p.groupBy("doc_id", "key").agg(F.max("score").alias("score")) for p in passes[1:]])
