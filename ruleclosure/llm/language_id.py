@@ -33,6 +33,8 @@ DISCOUNT = 0.75
 CALIBRATION_SHARE = 5
 QUANTILE = 0.995
 SLACK = 1.25
+#: Hashes are drawn from so many that the share of a sample stays exact in any number of documents.
+LOTS = 1 << 48
 CACHE = 200_000
 UNKNOWN = "und"
 
@@ -42,7 +44,13 @@ _P = np.uint64(0x9E3779B97F4A7C15)
 
 
 def words_in(text: str | None) -> Counter:
-    return Counter(_LETTERS.findall(text.lower())) if text else Counter()
+    found = Counter(_LETTERS.findall(text.lower())) if text else Counter()
+    # The pattern lets through numerals that are no digits (superscripts, fractions); those are no letters.
+    for word in [w for w in found if not w.isalpha()]:
+        n = found.pop(word)
+        for part in "".join(c if c.isalpha() else " " for c in word).split():
+            found[part] += n
+    return found
 
 
 def _flat(words: list[str]):
@@ -189,10 +197,10 @@ def sample(docs: DataFrame, training: F.Column, per_language: int = PER_LANGUAGE
     """
     labelled = docs.where(training & F.col("lang").isNotNull() & F.col("text").isNotNull())
     sizes = {r["lang"]: r["n"] for r in labelled.groupBy("lang").agg(F.count("*").alias("n")).collect()}
-    lot = F.pmod(F.xxhash64(F.lit("sample"), F.col("doc_id")), F.lit(1_000_000))
+    lot = F.pmod(F.xxhash64(F.lit("sample"), F.col("doc_id")), F.lit(LOTS))
     share = F.lit(None).cast("double")
     for lang, n in sizes.items():
-        share = F.when(F.col("lang") == lang, 1e6 * per_language / n).otherwise(share)
+        share = F.when(F.col("lang") == lang, float(LOTS) * per_language / n).otherwise(share)
     part = F.pmod(F.xxhash64(F.lit("part"), F.col("doc_id")), F.lit(CALIBRATION_SHARE)) == 0
     return labelled.where(lot < share).select("lang", "text", part.cast("int").alias("part"))
 

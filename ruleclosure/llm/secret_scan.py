@@ -27,6 +27,8 @@ MIN_TOKEN = 20
 THRESHOLD = 12.0
 SAMPLE_DOCS = 2000
 RANDOM_STRINGS = 3000
+#: Hashes are drawn from so many that the share of a sample stays exact in any number of documents.
+LOTS = 1 << 48
 MASK = "<secret>"
 
 #: Patterns and the group whose length is tested, with that length.  Fixed values.
@@ -78,8 +80,8 @@ def base_findings(docs: DataFrame, text: F.Column) -> DataFrame:
 def labelled(docs: DataFrame, sample_docs: int = SAMPLE_DOCS) -> DataFrame:
     """(s, random): the labelled sample."""
     n = max(1, docs.select("doc_id").count())
-    lot = F.pmod(F.xxhash64(F.lit("secrets"), F.col("doc_id")), F.lit(1_000_000))
-    chosen = docs.where(lot < 1e6 * sample_docs / n).select(F.regexp_extract_all("text", F.lit(r"(?<![A-Za-z0-9+/_-])([A-Za-z]{3,})(?![A-Za-z0-9+/_-])")).alias("w"))
+    lot = F.pmod(F.xxhash64(F.lit("secrets"), F.col("doc_id")), F.lit(LOTS))
+    chosen = docs.where(lot < float(LOTS) * sample_docs / n).select(F.regexp_extract_all("text", F.lit(r"(?<![A-Za-z0-9+/_-])([A-Za-z]{3,})(?![A-Za-z0-9+/_-])")).alias("w"))
     words = chosen.select(F.explode(F.filter(F.array_distinct("w"), lambda x: F.length(x) < MIN_TOKEN)).alias("s"))
     joined = chosen.select(F.explode(F.array(F.array_join(F.slice("w", 1, 40), "_"), F.array_join(F.transform(F.slice("w", 41, 40), F.initcap), ""))).alias("s"))
     digest = F.sha2(F.col("id").cast("string").cast("binary"), 256)

@@ -172,6 +172,14 @@ def test_lm_slices_do_not_change_scores(docs):
     assert one.keys() == many.keys() and all(abs(one[k] - many[k]) < 1e-6 for k in one)
 
 
+def test_lm_slices_of_single_words_do_not_change_scores(docs):
+    few = docs.limit(40)
+    built = bloom_lm.segments(bloom_lm.count_grams(few.where(~bloom_lm.held_out()))).where("bits is not null").collect()
+    size = sum(len(r.bits) for r in built if r.seg < 1 << bloom_lm.SEGMENT_BITS)
+    one, many = ({r.doc_id: r.score for r in bloom_lm.report(few, 1000, x).collect()} for x in (1 << 28, size // 2))
+    assert one.keys() == many.keys() and all(abs(one[k] - many[k]) < 1e-6 for k in one)
+
+
 def test_lm_beats_base_on_held_out_texts(docs):
     found = [r for r in bloom_lm.report(docs).collect() if r.held_out]
     assert sum(r.score for r in found) > sum(r.base_score for r in found)
@@ -207,6 +215,10 @@ def test_language_is_learned(spark):
     assert all(0 <= r.score <= 1 for r in found)
 
 
+def test_numerals_are_no_letters():
+    assert language_id.words_in("m² ½ x2 Ⅷ") == {"m": 1, "x": 1}
+
+
 def test_language_odd_rows(odd, none):
     found = {r.doc_id: r for r in language_id.report(odd).collect()}
     assert {k for k, r in found.items() if r.lang_pred == "und"} == {3, 4, 7, 10}
