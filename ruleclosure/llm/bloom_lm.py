@@ -324,8 +324,9 @@ def score(docs: DataFrame, training: F.Column, head_size: int = HEAD, max_filter
 
     def load(slice_of, which, low):
         mine = np.flatnonzero(slice_of == which) + low
-        found = bits.where(F.col("seg").between(int(mine[0]), int(mine[-1]))).collect()
-        return Filter({r["seg"] - low: bytes(r["bits"]) for r in found}, one)
+        found = bits.where(F.col("seg").between(int(mine[0]), int(mine[-1]))).select("seg", "bits").toArrow()
+        # Views of Arrow's memory, so the driver holds a slice twice at most.
+        return Filter({seg - low: x.as_buffer() for seg, x in zip(found.column(0).to_pylist(), found.column(1), strict=True)}, one)
 
     texts, ones = docs.select("doc_id", "text"), None
     if ones_of.max():
