@@ -2,7 +2,7 @@
 
 ``doubling`` composes the frontier with itself, so rounds grow with the logarithm of the longest shortest path; ``linear``
 joins the last delta with the edges, one step a round; ``naive`` joins everything with everything; ``sql`` is Spark's
-recursive query (acyclic, bounded depth); ``grouped`` closes each group of an acyclic forest in one worker; ``local``
+recursive query (acyclic, few levels; deeper relations are finished by doubling); ``grouped`` closes each group of an acyclic forest in one worker; ``local``
 closes a relation of checked size on the driver.  All give the same pairs.
 
 Every round is cut into the shared folder, so a lost executor costs one round, and the plan does not grow.
@@ -101,17 +101,26 @@ def close_locally(edges: DataFrame, limit: int = LOCAL_ROWS) -> DataFrame:
 
 
 def close_in_sql(edges: DataFrame, depth: int = 99) -> DataFrame:
-    """A recursive query.  Spark unions without removing repeats, so edges must be acyclic and at most ``depth`` deep."""
-    return edges.sparkSession.sql(
-        f"""
+    """A recursive query.  Spark unions without removing repeats and stops at 100 levels, so it suits acyclic edges of few paths.
+
+    Where the last level can still be extended, the relation is closed by doubling instead, so no pair is lost.
+    """
+    edges = cut(edges)
+    reach = cut(
+        edges.sparkSession.sql(
+            f"""
         WITH RECURSIVE reach(p, src, dst, n) AS (
             SELECT p, src, dst, 1 FROM {{edges}}
             UNION ALL
             SELECT r.p, r.src, e.dst, r.n + 1 FROM reach r JOIN {{edges}} e ON r.p = e.p AND r.dst = e.src WHERE r.n < {depth}
         )
-        SELECT DISTINCT p, src, dst FROM reach""",
-        edges=edges,
+        SELECT p, src, dst, n FROM reach""",
+            edges=edges,
+        )
     )
+    if not _compose(reach.where(F.col("n") == depth), edges).isEmpty():
+        return close_relation(edges, "doubling")
+    return reach.select("p", "src", "dst").distinct()
 
 
 def close_groups(edges: DataFrame, group: str | None) -> DataFrame:

@@ -97,6 +97,19 @@ def test_recursive_query_closes_acyclic_edges(spark):
     assert {tuple(r) for r in got.collect()} == closed_pairs(rows)
 
 
+def test_recursive_query_loses_no_pair_of_a_deep_chain(spark):
+    rows = [("deep", f"c{k}", f"c{k + 1}") for k in range(103)] + [("p", "a", "b")]
+    got = close_relation(spark.createDataFrame(rows, "p string, src string, dst string"), "sql")
+    assert {tuple(r) for r in got.collect()} == closed_pairs(rows)
+
+
+@pytest.mark.parametrize("n", [98, 99, 100])
+def test_recursive_query_at_the_last_level(spark, n):
+    rows = [("p", f"c{k}", f"c{k + 1}") for k in range(n)]
+    got = close_relation(spark.createDataFrame(rows, "p string, src string, dst string"), "sql")
+    assert got.count() == n * (n + 1) // 2
+
+
 def test_closure_respects_its_limit(spark):
     rows = [("p", f"c{k}", f"c{k + 1}") for k in range(30)]
     with pytest.raises(Limit):
