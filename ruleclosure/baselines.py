@@ -87,14 +87,20 @@ def _fire_all(known: DataFrame, schema: Schema, rules: list[str]) -> DataFrame:
     return reduce(DataFrame.union, outs) if outs else known.limit(0)
 
 
-def late_dedup(triples: DataFrame, rounds: int, rules: tuple[str, ...] = NUMERIC) -> DataFrame:
-    """``rounds`` rounds of all rules without removing repeats in between; they go at the end."""
+def late_dedup(triples: DataFrame, max_rounds: int = 100, rules: tuple[str, ...] = NUMERIC) -> DataFrame:
+    """All rules each round without removing repeats in between, until the distinct triples stop growing; repeats go at the end."""
     known = cut(triples.distinct())
     schema, chosen = _all_rules(known, rules, Config())
     known = known.union(schema.triples)
-    for _ in range(rounds):
-        known = cut(known.union(_fire_all(known, schema, chosen)))
-    return known.distinct()
+    before, parts = known.distinct().count(), int(triples.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    for _ in range(max_rounds):
+        # Each union adds the partitions of all rules, which would multiply in every round.
+        known = cut(known.union(_fire_all(known, schema, chosen)).repartition(parts))
+        now = known.distinct().count()
+        if now == before:
+            return known.distinct()
+        before = now
+    raise RuntimeError(f"no fixpoint in {max_rounds} rounds")
 
 
 def disk_staged(triples: DataFrame, folder: str | None = None, rules: tuple[str, ...] | None = None, max_rounds: int = 100) -> DataFrame:

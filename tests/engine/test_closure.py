@@ -249,6 +249,14 @@ def test_baselines(spark, f):
     assert no_loops(triples(runs[f]())) == want
 
 
+def test_late_dedup_ends_at_the_fixpoint_or_says_so(spark):
+    rows = {(f"n{k}", "p", f"n{k + 1}") for k in range(5)} | {("p", V.type, V.transitive)}
+    g = frame(spark, rows)
+    assert triples(baselines.late_dedup(g)) == baselines.local_fixpoint(rows, ids=LOOP)
+    with pytest.raises(RuntimeError):
+        baselines.late_dedup(g, 2)
+
+
 def test_encoding_round_trip(spark):
     df = frame(spark, random_graph(1))
     d = dictionary(df)
