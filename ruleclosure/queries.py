@@ -486,6 +486,30 @@ def w04(spark, d):
     return measures.closure_counts(baselines.rule_subset(graph(spark, d, FULL), config=OFF).closure)
 
 
+def _canonical_sql(chain: tuple[str, str]) -> str:
+    """The closure over one representative for each clique of terms with the same text; identity itself goes."""
+    ctes, last = chain
+    return f"""{ctes}, r AS (SELECT DISTINCT s AS term, min(s) OVER (PARTITION BY o) AS rep FROM {last} WHERE p = 'hasText'),
+    z AS (SELECT DISTINCT coalesce(a.rep, x.s) AS s, x.p, coalesce(b.rep, x.o) AS o FROM {last} x LEFT JOIN r a ON x.s = a.term LEFT JOIN r b ON x.o = b.term)
+    {_COUNTS.format("z")}"""
+
+
+#: Rounds in which the chains of events, 99 long, close: one for the super-property, seven of doubling, and what types need.
+_DEEP = 10
+
+
+@add("w03_all_tables_closure_counts", _canonical_sql(closure_sql(TABLES, rounds=_DEEP)))
+def w03_all(spark, d):
+    """All tables, with identity as representatives: pairs of large cliques are quadratic."""
+    return measures.closure_counts(closed(spark, d, TABLES, config=Config(identity_mode="canonical")))
+
+
+@add("w04_all_tables_subset_counts", (lambda c: f"{c[0]} {_COUNTS.format(c[1])}")(closure_sql(TABLES, None, [r for r in _LOOP if r in baselines.SUBSET], _DEEP)))
+def w04_all(spark, d):
+    """All tables; the subset holds no identity rule."""
+    return measures.closure_counts(baselines.rule_subset(graph(spark, d, TABLES), config=OFF).closure)
+
+
 @add("inferred_by_rule", (lambda c: f"{c[0]} SELECT count(*) AS n FROM (SELECT * FROM {c[1]} EXCEPT SELECT * FROM t0) x")(closure_sql(CORE)))
 def inferred(spark, d):
     r = reason(graph(spark, d, CORE), OFF)
