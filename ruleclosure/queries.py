@@ -648,6 +648,22 @@ for _name, _f in {
     add(_name, _SMALL_SQL)(_counted(_f))
 
 
+@add("variant_identity_fixpoint_documents", ORACLES["w12_identity_documents"])
+def identity_fixpoint(spark, d):
+    """All stages until identity adds nothing, where there is identity; pairs are quadratic in a clique's size."""
+    rows = reason(graph(spark, d, ("documents", "benchmark"), ("hasText", "fromSource")), Config(identity_mode="fixpoint")).closure
+    return rows.where(F.col("p").isin(V.identity, "fromSource"))
+
+
+#: Orders, broadcast and delta where the rules of two instance premises and the inverse rules have input.
+for _name, _f in {
+    "baseline_reverse_order_full": lambda g: baselines.fixed_order(g, baselines.REVERSED, OFF).closure,
+    "ablation_no_broadcast_full": lambda g: reason(g, Config(identity_mode="off", broadcast=False)).closure,
+    "ablation_no_delta_full": lambda g: reason(g, Config(identity_mode="off", delta=False)).closure,
+}.items():
+    add(_name, ORACLES["w03_full_closure_counts"])(lambda spark, d, f=_f: measures.closure_counts(f(graph(spark, d, FULL))))
+
+
 @add("baseline_late_dedup", _SMALL_SQL)
 def late(spark, d):
     """Without removing repeats in between, copies multiply in every round."""
