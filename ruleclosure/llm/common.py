@@ -7,11 +7,13 @@ not the Arrow batch.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
+from pyspark import Broadcast
+from pyspark.sql import DataFrame
 
 BLOCK_BYTES = 2_000_000
 
@@ -21,6 +23,26 @@ MASK64 = (1 << 64) - 1
 BASE_A, BASE_B = 0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F
 
 
+def sent(df: DataFrame, value) -> Broadcast:
+    """The attributes of an object as a broadcast.  Broadcast values are pickled by reference to their class, which
+    executors need not have; arrays and plain values travel alone and meet the class again in :func:`opened`."""
+    return df.sparkSession.sparkContext.broadcast(vars(value))
+
+
+def opened(kind: type, shared: Broadcast):
+    value = kind.__new__(kind)
+    value.__dict__.update(shared.value)
+    return value
+
+
+def free_name(name: str, taken: Iterable[str]) -> str:
+    """``name``, with as many underscores behind it as make it differ from all taken names (in any case of letters)."""
+    known = {x.lower() for x in taken}
+    while name.lower() in known:
+        name += "_"
+    return name
+
+
 def buffers(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """(bytes, offsets) of a string or binary column; nulls become empty texts."""
     if column.null_count:

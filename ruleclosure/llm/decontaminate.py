@@ -3,17 +3,19 @@
 Words are maximal runs of ASCII letters and digits and of all non-ASCII characters, after lower-casing
 A-Z.  A *window* is 13 consecutive words of a benchmark item (an item of 1 to 12 words is one window).
 Workers hash the windows of a text with prefix sums, look the hashes up in the sorted set, verify each
-hit word by word, and mark the words inside.
+hit against the bytes of the benchmark, and mark the words inside.
+
+The set is flat arrays: sorted hashes, where each window lies in the normalised benchmark, and its items.  A benchmark of more
+than ``part_bytes`` is split by item into parts, each broadcast alone; the texts then pass the parts one after another,
+cut into the shared folder in between, and keep what they have gathered.
 
 Edge cases: a null or empty text has no words and is never contaminated; items without words never
 match; repeated documents and items are each judged alone (items with one id count once); items with a
-null id mark words but are not listed; extra columns are ignored; an empty benchmark leaves everything clean.
-The broadcast set is bounded: more than ``max_benchmark_bytes`` of benchmark text is an error.
+null id mark words but are not listed; extra columns of any name are kept or ignored; an empty benchmark leaves everything clean.
 """
 
 from __future__ import annotations
 
-import hashlib
 from collections import defaultdict
 
 import numpy as np
@@ -22,10 +24,13 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import BASE_B, Spans, lower_table, text_blocks
+from ..durable import cut
+from .common import BASE_B, Spans, buffers, free_name, lower_table, opened, sent, text_blocks
 
 WINDOW = 13
-MAX_BENCHMARK_BYTES = 256_000_000
+#: Benchmark text in one broadcast set; the set takes about six times as much memory.
+PART_BYTES = 24_000_000
+MAP_BITS = 20
 
 _LOWER = lower_table()
 _WORD = np.zeros(256, bool)
@@ -52,182 +57,202 @@ def words_of(raw: np.ndarray, offsets: np.ndarray):
     return low, starts, ends, np.searchsorted(offsets, starts, side="right") - 1
 
 
-class WindowSet:
-    """Windows of all items: per length a sorted hash array, and what each hash stands for."""
-
-    def __init__(self, items: list[tuple], window: int = WINDOW):
-        meaning: dict[int, dict[int, dict[bytes, set]]] = defaultdict(lambda: defaultdict(dict))
-        for item_id, text in items:
-            raw = np.frombuffer((text or "").encode(), np.uint8)
-            low, starts, ends, _ = words_of(raw, np.array([0, len(raw)], np.int64))
-            size = min(window, len(starts))
-            if not size:
-                continue
-            hashes = window_hashes(low, starts, ends, size)
-            for k, h in enumerate(hashes.tolist()):
-                key = joined(low, starts[k : k + size], ends[k : k + size])
-                meaning[size][h].setdefault(key, set()).add(item_id)
-        self.by_size = {
-            size: (np.array(sorted(found), np.uint64), {h: dict(x) for h, x in found.items()}) for size, found in meaning.items()
-        }
-        # A bitmap over 16 bits of the hash answers most probes without a binary search.
-        self.maps = {}
-        for size, (hashes, _) in self.by_size.items():
-            seen = np.zeros(1 << 20, bool)
-            seen[(hashes >> np.uint64(44)).astype(np.int64)] = True
-            self.maps[size] = seen
-
+def normalised(low: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The words with one space between, and where each starts there (one more: the end, a space too far)."""
+    sizes = ends - starts + 1
+    at = np.concatenate([[0], np.cumsum(sizes)])
+    out = np.full(int(at[-1]), 32, np.uint8)
+    inside = np.ones(len(out), bool)
+    inside[at[1:] - 1] = False
+    change = np.zeros(len(low) + 1, np.int8)
+    change[starts] = 1
+    change[ends] -= 1
+    out[inside] = low[np.cumsum(change[:-1], dtype=np.int8).astype(bool)] if len(low) else low
+    return out, at
 
-def window_hashes(low, starts, ends, size) -> np.ndarray:
-    each = Spans(low).hash(starts, ends)
-    first = np.arange(len(starts) - size + 1)
-    return Spans(each, BASE_B).hash(first, first + size)
 
+class WindowSet:
+    """Windows of items.  Per size of window: sorted hashes, begin and end of each window in ``text``, and a range of
+    ``owners`` (item numbers)."""
 
-def joined(low, starts, ends) -> bytes:
-    return b" ".join(low[a:b].tobytes() for a, b in zip(starts.tolist(), ends.tolist(), strict=True))
+    def __init__(self, texts: pa.Array, window: int = WINDOW):
+        raw, offsets = buffers(texts)
+        low, starts, ends, item = words_of(raw, offsets)
+        self.text, at = normalised(low, starts, ends)
+        sums = Spans(Spans(low).hash(starts, ends), BASE_B)
+        del low, raw
+        words = np.bincount(item, minlength=len(offsets) - 1)
+        size_of = np.minimum(words, window)[item]
+        left = np.cumsum(words)[item] - np.arange(len(item)) if len(item) else item  # words from here to the item's end
+        self.by_size = []
+        for size in np.unique(size_of).tolist():
+            first = np.flatnonzero((size_of == size) & (left >= size))
+            h = sums.hash(first, first + size)
+            order = np.argsort(h, kind="stable")
+            first, h = first[order], h[order]
+            # One entry for each different window; equal hashes of different bytes stay apart.
+            same = np.concatenate([[False], h[1:] == h[:-1]])
+            for k in np.flatnonzero(same).tolist():
+                same[k] = self._bytes(at, first[k], size) == self._bytes(at, first[k - 1], size)
+            entry = np.cumsum(~same) - 1
+            pairs = np.unique(np.stack([entry, item[first]]), axis=1)
+            head = np.flatnonzero(~same)
+            seen = np.zeros(1 << MAP_BITS, bool)  # answers most probes without a binary search
+            seen[(h[head] >> np.uint64(64 - MAP_BITS)).astype(np.int64)] = True
+            begin, end = at[first[head]], at[first[head] + size] - 1
+            self.by_size.append((size, h[head], begin, end, np.searchsorted(pairs[0], np.arange(len(head) + 1)), pairs[1].astype(np.int32), seen))
+
+    def _bytes(self, at: np.ndarray, k: int, size: int) -> bytes:
+        return self.text[at[k] : at[k + size] - 1].tobytes()
 
 
 def scan_block(raw: np.ndarray, offsets: np.ndarray, windows: WindowSet):
-    """(words, starts, ends, row of word, hit flag of word, item ids by row)."""
+    """(words, starts, ends, row of word, hit flag of word, numbers of the items met by row)."""
     low, starts, ends, row = words_of(raw, offsets)
     n = len(starts)
     change = np.zeros(n + 1, np.int32)
     items: dict[int, set] = defaultdict(set)
     if n:
+        text, at = None, None
         sums = Spans(Spans(low).hash(starts, ends), BASE_B)
-        for size, (hashes, meaning) in windows.by_size.items():
+        for size, hashes, begin, end, first_owner, owners, seen in windows.by_size:
             if n < size:
                 continue
             first = np.arange(n - size + 1)
             h = sums.hash(first, first + size)
-            able = windows.maps[size][(h >> np.uint64(44)).astype(np.int64)] & (row[: n - size + 1] == row[size - 1 :])
-            at = np.flatnonzero(able)
-            near = np.minimum(np.searchsorted(hashes, h[at]), len(hashes) - 1)
-            for k in at[hashes[near] == h[at]].tolist():
-                # Equal hashes are not enough: the words must be equal.
-                ids = meaning[int(h[k])].get(joined(low, starts[k : k + size], ends[k : k + size]))
-                if ids is not None:
-                    change[k] += 1
-                    change[k + size] -= 1
-                    items[int(row[k])] |= ids
+            able = seen[(h >> np.uint64(64 - MAP_BITS)).astype(np.int64)] & (row[: n - size + 1] == row[size - 1 :])
+            met = np.flatnonzero(able)
+            near = np.searchsorted(hashes, h[met])
+            good = hashes[np.minimum(near, len(hashes) - 1)] == h[met]
+            for k, j in zip(met[good].tolist(), near[good].tolist(), strict=True):
+                if text is None:
+                    text, at = normalised(low, starts, ends)
+                mine = text[at[k] : at[k + size] - 1].tobytes()
+                while j < len(hashes) and hashes[j] == h[k]:
+                    # Equal hashes are not enough: the words must be equal.
+                    if windows.text[begin[j] : end[j]].tobytes() == mine:
+                        change[k] += 1
+                        change[k + size] -= 1
+                        items[int(row[k])].update(owners[first_owner[j] : first_owner[j + 1]].tolist())
+                    j += 1
     return starts, ends, row, np.cumsum(change[:-1]) > 0, items
 
 
-def window_set(benchmark: DataFrame, window: int = WINDOW, max_bytes: int = MAX_BENCHMARK_BYTES) -> WindowSet:
-    """Build the set on the driver after checking that the benchmark is small."""
-    size = benchmark.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    if size > max_bytes:
-        raise ValueError(f"the benchmark holds {size} bytes, more than max_benchmark_bytes={max_bytes}; scan it in parts")
-    return WindowSet([(r[0], r[1]) for r in benchmark.select("item_id", "text").collect()], window)
-
-
-def scan(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, max_benchmark_bytes: int = MAX_BENCHMARK_BYTES) -> DataFrame:
-    """One row per document: doc_id, n_words, n_hit, item_ids (array), hit_spans (array of code-point-free
-    byte spans ``start``/``end`` of hit word runs)."""
-    shared = docs.sparkSession.sparkContext.broadcast(window_set(benchmark, window, max_benchmark_bytes))
-    id_type = docs.schema["doc_id"].dataType
-    schema = T.StructType(
-        [
-            T.StructField("doc_id", id_type),
-            T.StructField("n_words", T.LongType()),
-            T.StructField("n_hit", T.LongType()),
-            T.StructField("item_ids", T.ArrayType(T.StringType())),
-            T.StructField("hit_starts", T.ArrayType(T.LongType())),
-            T.StructField("hit_ends", T.ArrayType(T.LongType())),
-        ]
-    )
+def parts_of(benchmark: DataFrame, part_bytes: int = PART_BYTES) -> list[DataFrame]:
+    """item_id and text in parts of about ``part_bytes``, dealt by a hash of the text."""
+    items = benchmark.select("item_id", F.coalesce("text", F.lit("")).alias("text"))
+    size = items.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    n = max(1, -(-size // part_bytes))
+    return [items.where(F.pmod(F.xxhash64("text"), F.lit(n)) == k) if n > 1 else items for k in range(n)]
+
+
+HITS = T.StructType(
+    [
+        T.StructField("n_words", T.LongType()),
+        T.StructField("words", T.ArrayType(T.LongType())),
+        T.StructField("starts", T.ArrayType(T.LongType())),
+        T.StructField("ends", T.ArrayType(T.LongType())),
+        T.StructField("items", T.ArrayType(T.StringType())),
+    ]
+)
+_HITS = pa.struct([("n_words", pa.int64()), *((c, pa.list_(pa.int64())) for c in ("words", "starts", "ends")), ("items", pa.list_(pa.string()))])
+
+
+def scan(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, part_bytes: int = PART_BYTES, into: str = "hits") -> DataFrame:
+    """``docs`` with a struct ``into``: n_words; for each word inside a window its number, first byte and end in the text
+    (``words``, ``starts``, ``ends``); and the sorted ids of the items met (``items``)."""
+    schema = T.StructType([*docs.schema.fields, T.StructField(into, HITS)])
+    parts = parts_of(benchmark, part_bytes)
+    for k, part in enumerate(parts):
+        docs = _pass(docs, part, window, schema, k > 0)
+        if len(parts) > 1:
+            docs = cut(docs)
+    return docs
+
+
+def _pass(docs: DataFrame, part: DataFrame, window: int, schema: T.StructType, begun: bool) -> DataFrame:
+    table = part.toArrow().combine_chunks()
+    texts = table.column("text")
+    windows = WindowSet(pa.concat_arrays(texts.chunks) if texts.num_chunks != 1 else texts.chunk(0), window)
+    names = [None if x is None else str(x) for x in table.column("item_id").to_pylist()]
+    del table, texts
+    shared, names_shared = sent(docs, windows), docs.sparkSession.sparkContext.broadcast(names)
 
     def run(batches):
-        windows = shared.value
+        windows, names = opened(WindowSet, shared), names_shared.value
         for batch in batches:
-            ids = batch.column(0)
+            before = batch.column(batch.num_columns - 1).to_pylist() if begun else None
+            own = batch.select(list(range(len(schema.fields) - 1)))
             for a, b, raw, offsets in text_blocks(batch, "text"):
                 starts, ends, row, hit, items = scan_block(raw, offsets, windows)
-                m = b - a
-                lists, span_a, span_b = [[] for _ in range(m)], [[] for _ in range(m)], [[] for _ in range(m)]
+                counts = np.bincount(row, minlength=b - a)
+                first = np.cumsum(counts) - counts
+                out = [{"n_words": n, "words": [], "starts": [], "ends": [], "items": []} for n in counts.tolist()]
                 for r, found in items.items():
-                    lists[r] = sorted({str(x) for x in found if x is not None})
-                if items:
-                    new = np.empty(len(hit), bool)
-                    new[0], new[1:] = True, ~hit[:-1] | (row[1:] != row[:-1])
-                    last = np.empty(len(hit), bool)
-                    last[-1], last[:-1] = True, ~hit[1:] | (row[1:] != row[:-1])
-                    for x, y in zip(np.flatnonzero(hit & new).tolist(), np.flatnonzero(hit & last).tolist(), strict=True):
-                        r = int(row[x])
-                        span_a[r].append(int(starts[x] - offsets[r]))
-                        span_b[r].append(int(ends[y] - offsets[r]))
-                yield pa.RecordBatch.from_arrays(
-                    [
-                        ids.slice(a, m),
-                        pa.array(np.bincount(row, minlength=m)),
-                        pa.array(np.bincount(row[hit], minlength=m)),
-                        pa.array(lists, pa.list_(pa.string())),
-                        pa.array(span_a, pa.list_(pa.int64())),
-                        pa.array(span_b, pa.list_(pa.int64())),
-                    ],
-                    ["doc_id", "n_words", "n_hit", "item_ids", "hit_starts", "hit_ends"],
-                )
-
-    return docs.select("doc_id", "text").mapInArrow(run, schema)
-
-
-def contaminated() -> F.Column:
+                    at = np.flatnonzero(hit[first[r] : first[r] + counts[r]])
+                    k = at + first[r]
+                    out[r] |= {"words": at.tolist(), "starts": (starts[k] - offsets[r]).tolist(), "ends": (ends[k] - offsets[r]).tolist()}
+                    out[r]["items"] = sorted({names[x] for x in found} - {None})
+                if before:
+                    out = [_joined(x, y) for x, y in zip(before[a:b], out, strict=True)]
+                yield pa.RecordBatch.from_arrays([*(c for c in own.slice(a, b - a).columns), pa.array(out, _HITS)], schema.fieldNames())
+
+    return docs.mapInArrow(run, schema)
+
+
+def _joined(x: dict, y: dict) -> dict:
+    """The hits of two parts."""
+    if not y["words"] and not y["items"]:
+        return x
+    spans = sorted({*zip(x["words"], x["starts"], x["ends"], strict=True), *zip(y["words"], y["starts"], y["ends"], strict=True)})
+    words, starts, ends = zip(*spans, strict=True) if spans else ((), (), ())
+    return {"n_words": y["n_words"], "words": words, "starts": starts, "ends": ends, "items": sorted({*x["items"], *y["items"]})}
+
+
+def contaminated(n_hit: F.Column, n_words: F.Column) -> F.Column:
     """The rule: at least one hit word, and at least a twentieth of all words."""
-    return (F.col("n_hit") > 0) & (F.col("n_hit") * 20 >= F.col("n_words"))
+    return (n_hit > 0) & (n_hit * 20 >= n_words)
 
 
-def report(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
+def report(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, part_bytes: int = PART_BYTES) -> DataFrame:
     """doc_id, n_words, n_hit, n_items, items_sha256, contaminated for each document."""
-    return scan(docs, benchmark).select(
+    n_hit, n_words = F.size("hits.words").cast("long"), F.col("hits.n_words")
+    return scan(docs.select("doc_id", "text"), benchmark, window, part_bytes).select(
         "doc_id",
-        "n_words",
-        "n_hit",
-        F.size("item_ids").cast("long").alias("n_items"),
-        F.sha2(F.array_join("item_ids", ",").cast("binary"), 256).alias("items_sha256"),
-        contaminated().alias("contaminated"),
+        n_words.alias("n_words"),
+        n_hit.alias("n_hit"),
+        F.size("hits.items").cast("long").alias("n_items"),
+        F.sha2(F.array_join("hits.items", ",").cast("binary"), 256).alias("items_sha256"),
+        contaminated(n_hit, n_words).alias("contaminated"),
     )
 
 
-def drop_contaminated(docs: DataFrame, benchmark: DataFrame, max_benchmark_bytes: int = MAX_BENCHMARK_BYTES) -> DataFrame:
+def drop_contaminated(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, part_bytes: int = PART_BYTES) -> DataFrame:
     """The documents that the rule leaves, all columns as they were; judged row by row, without a join."""
-    shared = docs.sparkSession.sparkContext.broadcast(window_set(benchmark, WINDOW, max_benchmark_bytes))
-
-    def run(batches):
-        windows = shared.value
-        for batch in batches:
-            keep = np.ones(batch.num_rows, bool)
-            for a, b, raw, offsets in text_blocks(batch, "text"):
-                _, _, row, hit, _ = scan_block(raw, offsets, windows)
-                n_words, n_hit = np.bincount(row, minlength=b - a), np.bincount(row[hit], minlength=b - a)
-                keep[a:b] = (n_hit == 0) | (20 * n_hit < n_words)
-            yield batch.filter(pa.array(keep))
-
-    return docs.mapInArrow(run, docs.schema)
+    name = free_name("hits", docs.columns)
+    found = scan(docs, benchmark, window, part_bytes, name)
+    hits = F.col(f"`{name}`")
+    return found.where(~contaminated(F.size(hits["words"]), hits["n_words"])).drop(name)
 
 
-def remove_spans(docs: DataFrame, benchmark: DataFrame, max_benchmark_bytes: int = MAX_BENCHMARK_BYTES) -> DataFrame:
-    """All documents, hit word runs cut out of ``text``; null texts stay null, other columns as they were."""
-    shared = docs.sparkSession.sparkContext.broadcast(window_set(benchmark, WINDOW, max_benchmark_bytes))
+def remove_spans(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, part_bytes: int = PART_BYTES) -> DataFrame:
+    """All documents, runs of hit words cut out of ``text``; null texts stay null, other columns as they were."""
+    name = free_name("hits", docs.columns)
 
     def run(batches):
-        windows = shared.value
         for batch in batches:
             at = batch.schema.get_field_index("text")
             texts = batch.column(at).to_pylist()
-            for a, b, raw, offsets in text_blocks(batch, "text"):
-                starts, ends, row, hit, items = scan_block(raw, offsets, windows)
-                for r in items:
-                    cut = np.ones(int(offsets[r + 1] - offsets[r]), bool)
-                    flagged = np.flatnonzero(hit & (row == r))
-                    for i, k in enumerate(flagged.tolist()):
-                        joins = i and flagged[i - 1] == k - 1
-                        cut[(ends[k - 1] if joins else starts[k]) - offsets[r] : ends[k] - offsets[r]] = False
-                    texts[a + r] = raw[offsets[r] : offsets[r + 1]][cut].tobytes().decode("utf-8", "replace")
-            yield batch.set_column(at, batch.schema.field(at), pa.array(texts, batch.schema.field(at).type))
-
-    return docs.mapInArrow(run, docs.schema)
-
-
-def digest_of(item_ids) -> str:
-    return hashlib.sha256(",".join(sorted(map(str, item_ids))).encode()).hexdigest()
+            for r, hits in enumerate(batch.column(batch.num_columns - 1).to_pylist()):
+                if hits["words"]:
+                    raw = texts[r].encode()
+                    keep = np.ones(len(raw), bool)
+                    last = last_end = None
+                    for w, a, b in zip(hits["words"], hits["starts"], hits["ends"], strict=True):
+                        keep[last_end if last == w - 1 else a : b] = False
+                        last, last_end = w, b
+                    texts[r] = np.frombuffer(raw, np.uint8)[keep].tobytes().decode("utf-8", "replace")
+            changed = batch.set_column(at, batch.schema.field(at), pa.array(texts, batch.schema.field(at).type))
+            yield changed.select(list(range(batch.num_columns - 1)))
+
+    return scan(docs, benchmark, window, part_bytes, name).mapInArrow(run, docs.schema)

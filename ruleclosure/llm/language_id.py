@@ -7,9 +7,11 @@ score is the cross-entropy per character; the lowest wins, and a text whose lowe
 its language shows on held-out training texts is rejected.
 
 Training takes a bounded sample: about ``PER_LANGUAGE`` labelled documents of each language, those with the
-smallest hash of doc_id.  Prediction reads whole texts and sees the text alone.
+smallest hash of doc_id and text.  A fifth of them, never the one with the smallest hash of all, calibrates rejection; where a
+language has no such documents (it may have a single one), it is rejected beyond the highest limit of the others, or
+never if there is none.  Prediction reads whole texts and sees the text alone.
 
-Edge cases: null texts and texts without a letter are ``und`` with score 0 and rejected; ties go to the language
+Edge cases: every language with a labelled text is learned; null texts and texts without a letter are ``und`` with score 0 and rejected; ties go to the language
 first in order; without training rows everything is ``und``; repeated rows are judged alike.
 """
 
@@ -24,7 +26,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import mix
+from .common import mix, opened, sent
 
 ORDER = 4
 PER_LANGUAGE = 1500
@@ -193,16 +195,18 @@ class Scorer:
 def sample(docs: DataFrame, training: F.Column, per_language: int = PER_LANGUAGE) -> DataFrame:
     """About ``per_language`` training rows of each language, with ``part``: 1 where kept for calibration.
 
-    The share to take follows from the number of labelled rows of the language; a hash of doc_id decides.
+    The share to take follows from the number of labelled rows of the language; a hash of doc_id and text decides, and the
+    rows with the smallest hash are always taken, for training.
     """
-    labelled = docs.where(training & F.col("lang").isNotNull() & F.col("text").isNotNull())
-    sizes = {r["lang"]: r["n"] for r in labelled.groupBy("lang").agg(F.count("*").alias("n")).collect()}
-    lot = F.pmod(F.xxhash64(F.lit("sample"), F.col("doc_id")), F.lit(LOTS))
-    share = F.lit(None).cast("double")
-    for lang, n in sizes.items():
-        share = F.when(F.col("lang") == lang, float(LOTS) * per_language / n).otherwise(share)
-    part = F.pmod(F.xxhash64(F.lit("part"), F.col("doc_id")), F.lit(CALIBRATION_SHARE)) == 0
-    return labelled.where(lot < share).select("lang", "text", part.cast("int").alias("part"))
+    lot = F.pmod(F.xxhash64(F.lit("sample"), "doc_id", "text"), F.lit(LOTS))
+    labelled = docs.where(training & F.col("lang").isNotNull() & F.col("text").isNotNull()).select("lang", "text", "doc_id", lot.alias("lot"))
+    sizes = labelled.groupBy("lang").agg(F.count("*").alias("n"), F.min("lot").alias("low")).collect()
+    share, low = F.lit(None).cast("double"), F.lit(None).cast("long")
+    for r in sizes:
+        share = F.when(F.col("lang") == r["lang"], float(LOTS) * per_language / r["n"]).otherwise(share)
+        low = F.when(F.col("lang") == r["lang"], F.lit(r["low"])).otherwise(low)
+    part = (F.pmod(F.xxhash64(F.lit("part"), "doc_id", "text"), F.lit(CALIBRATION_SHARE)) == 0) & (F.col("lot") > low)
+    return labelled.where((F.col("lot") < share) | (F.col("lot") == low)).select("lang", "text", part.cast("int").alias("part"))
 
 
 def train(docs: DataFrame, training: F.Column, per_language: int = PER_LANGUAGE, order: int = ORDER) -> Model:
@@ -224,11 +228,11 @@ def train(docs: DataFrame, training: F.Column, per_language: int = PER_LANGUAGE,
     for lang, word, n in zip(*(table.column(k).to_pylist() for k in range(3)), strict=True):
         bags.setdefault(lang, Counter())[word] = n
     model = Model(bags, order)
-    shared = docs.sparkSession.sparkContext.broadcast(model)
+    shared = sent(docs, model)
 
     def calibrate(batches):
-        scorer = Scorer(shared.value)
-        names = {x: k for k, x in enumerate(shared.value.langs)}
+        scorer = Scorer(opened(Model, shared))
+        names = {x: k for k, x in enumerate(scorer.model.langs)}
         for batch in batches:
             rows = [r for r in zip(*(batch.column(k).to_pylist() for k in range(3)), strict=True) if r[2] and r[0] in names]
             values, sizes = scorer.entropies([t for _, t, _ in rows])
@@ -237,6 +241,8 @@ def train(docs: DataFrame, training: F.Column, per_language: int = PER_LANGUAGE,
                 yield pa.RecordBatch.from_arrays([pa.array(c) for c in zip(*kept, strict=True)], ["lang", "entropy"])
 
     limits = chosen.mapInArrow(calibrate, "lang string, entropy double").groupBy("lang").agg(F.percentile("entropy", QUANTILE).alias("q")).collect()
+    if limits:
+        model.limits[:] = SLACK * max(r["q"] for r in limits)
     for r in limits:
         model.limits[model.langs.index(r["lang"])] = SLACK * r["q"]
     shared.unpersist()
@@ -245,7 +251,7 @@ def train(docs: DataFrame, training: F.Column, per_language: int = PER_LANGUAGE,
 
 def predict(docs: DataFrame, model: Model, keep_columns: bool = False) -> DataFrame:
     """doc_id (or all columns), lang_pred, score, entropy, rejected."""
-    shared = docs.sparkSession.sparkContext.broadcast(model)
+    shared = sent(docs, model)
     base = docs if keep_columns else docs.select("doc_id", "text")
     kept = [c for c in base.columns if keep_columns or c != "text"]
     added = [("lang_pred", T.StringType()), ("score", T.DoubleType()), ("entropy", T.DoubleType()), ("rejected", T.BooleanType())]
@@ -254,7 +260,7 @@ def predict(docs: DataFrame, model: Model, keep_columns: bool = False) -> DataFr
     schema = T.StructType([*(base.schema[c] for c in kept), *(T.StructField(n, t) for n, t in added)])
 
     def run(batches):
-        scorer = Scorer(shared.value)
+        scorer = Scorer(opened(Model, shared))
         langs = [*scorer.model.langs, UNKNOWN]
         limits = np.append(scorer.model.limits, 0)
         for batch in batches:
@@ -301,11 +307,10 @@ def report(docs: DataFrame) -> DataFrame:
 
 def keep_known(docs: DataFrame) -> DataFrame:
     """The documents whose language is recognised, all columns as they were."""
-    model = train(docs, ~held_out())
-    shared = docs.sparkSession.sparkContext.broadcast(model)
+    shared = sent(docs, train(docs, ~held_out()))
 
     def run(batches):
-        scorer = Scorer(shared.value)
+        scorer = Scorer(opened(Model, shared))
         limits = scorer.model.limits
         for batch in batches:
             at = batch.schema.names.index("text")

@@ -66,8 +66,36 @@ def test_decontaminate_odd_rows(spark, odd, none):
     assert {r.doc_id for r in kept.collect()} == {0, 1, 2, 3, 4, 5, 7, 9}
     cut = {r.doc_id: r.text for r in decontaminate.remove_spans(odd, items).collect()}
     assert cut[6] == "" and cut[None] == "only text here  at all" and cut[4] is None
-    with pytest.raises(ValueError):
-        decontaminate.report(odd, items).count() if decontaminate.window_set(items, max_bytes=3) else None
+
+
+@pytest.mark.parametrize("limit", [1, 4_000])  # 1: three parts
+def test_decontaminate_in_parts(docs, benchmark, limit):
+    assert len(decontaminate.parts_of(benchmark, 4_000)) > 1
+    if limit == 1:
+        docs, benchmark = docs.limit(60), benchmark.limit(4)
+    want = brute_decontaminate(pairs(docs, "doc_id", "text"), pairs(benchmark, "item_id", "text"))
+    part = sum(len(t.encode()) for (t,) in pairs(benchmark, "text")) // 3 if limit == 1 else limit
+    assert rows(decontaminate.report(docs, benchmark, part_bytes=part)) == want
+    kept = decontaminate.drop_contaminated(docs, benchmark, part_bytes=part)
+    assert {r.doc_id for r in kept.collect()} == {r[0] for r in want if not r[5]}
+
+
+def test_windows_with_one_hash_stay_apart(monkeypatch, spark, docs, benchmark):
+    import pyarrow as pa
+
+    class Few(decontaminate.Spans):
+        def hash(self, starts, ends):
+            return super().hash(starts, ends) % np.uint64(7)
+
+    monkeypatch.setattr(decontaminate, "Spans", Few)
+    items, texts = pairs(benchmark, "item_id", "text")[:3], pairs(docs, "doc_id", "text")[:40]
+    texts += [(1000, "so " + items[1][1] + " end")]
+    windows = decontaminate.WindowSet(pa.array([t for _, t in items]))
+    want = {i: (n, h, k) for i, n, h, k, _, _ in brute_decontaminate(texts, items)}
+    for i, t in texts:
+        raw = np.frombuffer((t or "").encode(), np.uint8)
+        starts, _, _, hit, found = decontaminate.scan_block(raw, np.array([0, len(raw)]), windows)
+        assert (len(starts), int(hit.sum()), len(found.get(0, ()))) == want[i]
 
 
 # --- SimHash
@@ -239,6 +267,65 @@ def test_kneser_ney_is_a_distribution():
             assert total > 0.7
 
 
+def brute_kneser_ney(words, order=4, discount=0.75):
+    """log-probability of a word, straight from the definition."""
+    marked = {f"^{w}$": n for w, n in words.items()}
+    alphabet = {c for w in words for c in w}
+
+    def value(gram, k):
+        """Count of the longest n-grams and of those that begin a word, else the number of characters seen before."""
+        if k == order or gram[0] == "^":
+            return sum(n * sum(w[i : i + k] == gram for i in range(len(w) - k + 1)) for w, n in marked.items())
+        return len({w[i - 1] for w in marked for i in range(1, len(w) - k + 1) if w[i : i + k] == gram})
+
+    known = {k: {w[i : i + k] for w in marked for i in range(len(w) - k + 1) if not (k == 1 and i == 0)} for k in range(1, order + 1)}
+
+    def p(c, context):
+        k = len(context) + 1
+        lower = p(c, context[1:]) if context else 1 / (len(alphabet) + 2)
+        rest = [g for g in known[k] if g[:-1] == context]
+        if not rest:
+            return lower
+        mass = sum(value(g, k) for g in rest)
+        return (max(0, value(context + c, k) - discount) if context + c in known[k] else 0) / mass + discount * len(rest) / mass * lower
+
+    def score(word):
+        text = f"^{word}$"
+        return sum(math.log(p(text[i], text[max(0, i - order + 1) : i])) for i in range(1, len(text)))
+
+    return score
+
+
+def test_word_scores_equal_brute_force_kneser_ney():
+    rng = np.random.default_rng(5)
+    bags = {x: Counter({"".join(rng.choice(list(letters), rng.integers(1, 7))): int(rng.integers(1, 9)) for _ in range(25)}) for x, letters in (("a", "abcd"), ("b", "bcde"))}
+    model = language_id.Model(bags)
+    asked = [*bags["a"], *bags["b"], "zz", "aq", "abcdeabcde", "e"]
+    got = model.word_scores(asked)
+    alphabet = {c for bag in bags.values() for w in bag for c in w}
+    for j, lang in enumerate("ab"):
+        # The floor is shared by all languages, so its alphabet is that of both.
+        extra = Counter(bags[lang])
+        score = brute_kneser_ney(extra)
+        own = {c for w in bags[lang] for c in w}
+        if own == alphabet:
+            assert np.allclose(got[:, j], [score(w) for w in asked], rtol=1e-5)
+    whole = language_id.Model({"a": bags["a"]})
+    score = brute_kneser_ney(bags["a"])
+    assert np.allclose(whole.word_scores(asked)[:, 0], [score(w) for w in asked], rtol=1e-5)
+
+
+def test_small_languages_are_learned(spark):
+    data = [(k, "alpha beta gamma delta " * 3, "xx") for k in range(400)] + [(k, "sigma omikron rho tau", "yy") for k in range(1000, 1002)] + [(2000, "quux wibble wobble", "zz")] + [(3000, "ping pong pang", "ww")] * 30
+    df = spark.createDataFrame(data, "doc_id long, text string, lang string")
+    model = language_id.train(df, language_id.F.lit(True), per_language=100)
+    assert model.langs == ["ww", "xx", "yy", "zz"] and np.isfinite(model.limits).all()
+    found = {r.doc_id: r.lang_pred for r in language_id.predict(df, model).collect()}
+    assert found[1000] == "yy" and found[2000] == "zz" and found[3000] == "ww" and found[5] == "xx"
+    alone = language_id.train(df.where("doc_id = 2000"), language_id.F.lit(True))
+    assert alone.langs == ["zz"] and np.isinf(alone.limits).all()
+
+
 def steps(model, word):
     """Probabilities of the characters of ``word`` (without its end)."""
     flat, sizes, place = language_id._flat([word])
