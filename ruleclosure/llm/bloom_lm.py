@@ -7,40 +7,42 @@ by probing 1, 2, ... until a probe misses, and stands for the middle of its rang
 
     P(w | v) = m(v) * c(v w) / c(v) + (1 - m(v)) * (c(w) + 0.1) / (N + 0.1 (V + 1)),   m(v) = MIX * c(v) / (c(v) + HALF)
 
-The filter is a row of segments, each sized for its own entries, built where its n-grams meet after one shuffle.
-They are split into slices of at most ``max_filter_bytes``, and each slice of 2-grams is one pass over the texts that
-scores the tokens whose 2-gram belongs to it.  Where 1-grams take a single slice it is broadcast beside each of these;
-otherwise earlier passes, one a slice, write the levels of all tokens next to their texts, a byte a token.  So no
-broadcast outgrows its bound, and the table follows the corpus.
+The filter grows with the corpus, so it is never in one place.  It is a row of segments, each sized for its own entries:
 
-Beside the model stands the exact base score.  Words are split by their exact count: the ``head`` (at most
-``head_size`` words, those above a count) is broadcast; counts of all others reach their texts by a join, which
-no frequent word can skew.  Words are told apart by 64-bit hashes.
+1. Texts are put into blocks of about ``BLOCK_BYTES`` with a number each, cut compressed into the shared folder.
+2. A block sends its distinct n-grams, with how often its training texts hold them, to the ``lots`` that own them (top bits of
+   the hash).  A lot adds up the counts, builds its segment, probes it for every n-gram it was asked for, and answers
+   block by block: a level a 2-gram, a level and the exact count a 1-gram.
+3. Answers meet their blocks, which are read once more and scored.
+
+So work is linear in the corpus and n-grams travel once.  The segments of 1-grams together are broadcast to the workers and probed
+there where they hold at most ``max_filter_bytes``; where they outgrow it, the levels in the answers serve.
+
+Beside the model stands the exact base score, from the exact counts of 1-grams.  Words are told apart by 64-bit hashes.
 
 Edge cases: null is the empty text, which holds the end mark alone; repeated rows count each time in training
 and each get their row; with no training text every count is 0 and all scores are those of the smoothing
-term; a null doc_id hashes as the empty string.
+term; a null doc_id hashes as the empty string; an empty table gives an empty result; extra columns are ignored.
 """
 
 from __future__ import annotations
 
-from functools import reduce
-
 import numpy as np
 import pyarrow as pa
+import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from ..durable import cut
-from .common import MASK64, Spans, buffers, lower_table, mix, text_blocks
+from .common import MASK64, Spans, lower_table, mix, opened, sent, text_blocks
 
 LOG_BASE = 1.5
 BITS, PROBES = 10, 4
-SEGMENT_BITS = 12
+#: Distinct n-grams of blocks that a lot takes on average.
+LOT_GRAMS = 1 << 18
 MIX, HALF = 0.3, 20.0
-HEAD = 400_000
-MAX_FILTER_BYTES = 256_000_000
+MAX_FILTER_BYTES = 64_000_000
 END = np.uint64(0x2545F4914F6CDD1D)
 
 _LOWER = lower_table()
@@ -106,10 +108,12 @@ def build_segment(h: np.ndarray, counts: np.ndarray) -> np.ndarray:
 
 
 class Filter:
-    """Segments side by side; ``first`` and ``size`` in bits by segment number (size 0: nothing there)."""
+    """Segments side by side; ``first`` and ``size`` in bits by number (size 0: nothing there).  The number is the top bits
+    of the hash."""
 
-    def __init__(self, segments: dict[int, bytes], count: int):
-        self.size = np.zeros(count, np.int64)
+    def __init__(self, segments: dict[int, bytes], lot_bits: int):
+        self.lot_bits = lot_bits
+        self.size = np.zeros(1 << lot_bits, np.int64)
         for k, x in segments.items():
             self.size[k] = 8 * len(x)
         self.first = np.cumsum(self.size) - self.size
@@ -117,9 +121,9 @@ class Filter:
 
     def levels(self, h: np.ndarray) -> np.ndarray:
         """Level of each n-gram; 0 where the first probe misses."""
-        seg = (h >> np.uint64(64 - SEGMENT_BITS)).astype(np.int64)
-        first, size = self.first[seg], self.size[seg]
-        out, alive = np.zeros(len(h), np.int64), np.flatnonzero(size)
+        lot = lot_of(h, self.lot_bits)
+        first, size = self.first[lot], self.size[lot]
+        out, alive = np.zeros(len(h), np.uint8), np.flatnonzero(size)
         level = 1
         while len(alive):
             for probe in range(PROBES):
@@ -132,233 +136,198 @@ class Filter:
         return out
 
 
-def count_grams(docs: DataFrame) -> DataFrame:
-    """seg, h, n: per Arrow batch, how often each 1-gram (seg below 2**SEGMENT_BITS) and 2-gram occurs."""
+def lot_of(h: np.ndarray, lot_bits: int) -> np.ndarray:
+    return (h >> np.uint64(64 - lot_bits)).astype(np.int64)
+
+
+def lot_bits_for(docs: DataFrame) -> int:
+    """So many lots of each order that each has about ``LOT_GRAMS`` n-grams; at least two."""
+    size = docs.agg(F.sum(F.octet_length("text") + F.lit(6))).first()[0] or 0
+    return min(24, max(1, int(size // 6 // LOT_GRAMS).bit_length()))
+
+
+def blocked(docs: DataFrame, training: F.Column) -> DataFrame:
+    """blk, z (the texts of a block, compressed), sizes, ids, learn."""
+    schema = T.StructType(
+        [
+            T.StructField("z", T.BinaryType()),
+            T.StructField("sizes", T.ArrayType(T.IntegerType())),
+            T.StructField("ids", T.ArrayType(docs.schema["doc_id"].dataType)),
+            T.StructField("learn", T.ArrayType(T.BooleanType())),
+        ]
+    )
 
     def run(batches):
+        press = zstandard.ZstdCompressor(level=1)
         for batch in batches:
-            ones, twos = [], []
-            for _, _, raw, offsets in text_blocks(batch, "text"):
-                token, _, before = token_hashes(raw, offsets)
-                for out, h in ((ones, token), (twos, pair_hash(before, token))):
-                    out.append(np.unique(h, return_counts=True))
-            for order, found in ((0, ones), (1, twos)):
-                if not found:
-                    continue
-                h, n = added(np.concatenate([x for x, _ in found]), np.concatenate([x for _, x in found]))
-                seg = (h >> np.uint64(64 - SEGMENT_BITS)).astype(np.int32) + (order << SEGMENT_BITS)
-                for a in range(0, len(h), 100_000):
-                    yield pa.RecordBatch.from_arrays([pa.array(x[a : a + 100_000]) for x in (seg, h.view(np.int64), n)], ["seg", "h", "n"])
-
-    return docs.select("text").mapInArrow(run, "seg int, h long, n long")
+            for a, b, raw, offsets in text_blocks(batch, "text"):
+                ends = pa.array([0, b - a], pa.int32())
+                lists = [pa.ListArray.from_arrays(ends, x) for x in (pa.array(np.diff(offsets).astype(np.int32)), batch.column(0).slice(a, b - a), batch.column(2).slice(a, b - a))]
+                yield pa.RecordBatch.from_arrays([pa.array([press.compress(raw.tobytes())], pa.binary()), *lists], schema.fieldNames())
 
+    rows = docs.select("doc_id", "text", F.coalesce(training, F.lit(False)).alias("learn")).mapInArrow(run, schema)
+    return rows.withColumn("blk", F.monotonically_increasing_id())
 
-def added(h: np.ndarray, n: np.ndarray):
-    """Distinct hashes and the sums of their numbers."""
-    keys, back = np.unique(h, return_inverse=True)
-    return keys, np.bincount(back, n, len(keys)).astype(np.int64)
 
+def _texts(z: bytes, sizes: list[int]) -> tuple[np.ndarray, np.ndarray]:
+    raw = np.frombuffer(zstandard.ZstdDecompressor().decompress(z), np.uint8)
+    return raw, np.concatenate([[0], np.cumsum(np.asarray(sizes, np.int64))])
 
-def segments(grams: DataFrame) -> DataFrame:
-    """seg, bits (null for word rows), h, n: built filter segments, and the exact count of every 1-gram."""
 
-    def finish(seg, parts):
-        h, n = added(np.concatenate([p[0] for p in parts]).view(np.uint64), np.concatenate([p[1] for p in parts]))
-        yield pa.RecordBatch.from_arrays(
-            [pa.array([seg], pa.int32()), pa.array([build_segment(h, n).tobytes()], pa.binary()), pa.array([None], pa.int64()), pa.array([None], pa.int64())],
-            ["seg", "bits", "h", "n"],
-        )
-        if seg < 1 << SEGMENT_BITS:
-            yield pa.RecordBatch.from_arrays(
-                [pa.array(np.full(len(h), seg, np.int32)), pa.nulls(len(h), pa.binary()), pa.array(h.view(np.int64)), pa.array(n)], ["seg", "bits", "h", "n"]
-            )
+def asked(blocks: DataFrame, lot_bits: int) -> DataFrame:
+    """lot, blk, h, n: the distinct n-grams of each block in order, by lot, and how often its training texts hold each."""
 
     def run(batches):
-        at, parts = None, []
         for batch in batches:
-            seg, h, n = (batch.column(k).to_numpy() for k in range(3))
-            if not len(seg):
-                continue
-            cuts = [0, *(np.flatnonzero(np.diff(seg)) + 1).tolist(), len(seg)]
-            for a, b in zip(cuts[:-1], cuts[1:], strict=True):
-                if seg[a] != at:
-                    if parts:
-                        yield from finish(at, parts)
-                    at, parts = int(seg[a]), []
-                parts.append((h[a:b].copy(), n[a:b].copy()))
-        if parts:
-            yield from finish(at, parts)
-
-    return grams.repartition("seg").sortWithinPartitions("seg").mapInArrow(run, "seg int, bits binary, h long, n long")
-
-
-class Tables:
-    """What a scoring pass needs: the filters (no ``ones`` where levels come with the texts), the head's exact counts,
-    and N and V."""
-
-    def __init__(self, ones: Filter | None, twos: Filter, head: tuple[np.ndarray, np.ndarray], total: int, distinct: int, slice_of: np.ndarray):
-        self.ones, self.twos, self.head, self.total, self.distinct, self.slice_of = ones, twos, head, total, distinct, slice_of
-
-    def block(self, raw: np.ndarray, offsets: np.ndarray, which: int, levels: np.ndarray | None = None):
-        """Per text: tokens, known head tokens, sum of log10(c + 0.1) over head tokens, model score of slice
-        ``which``; and the other tokens as (text, hash, times).  ``levels``: the 1-gram level of each token, if known."""
-        m = len(offsets) - 1
-        token, doc, before = token_hashes(raw, offsets)
-        words, back = np.unique(token, return_inverse=True)
-        place = np.minimum(np.searchsorted(self.head[0], words), max(0, len(self.head[0]) - 1))
-        in_head = self.head[0][place] == words if len(self.head[0]) else np.zeros(len(words), bool)
-        exact = np.where(in_head, self.head[1][place] if len(self.head[0]) else 0, 0)
-        logs, head_token = np.log10(exact + 0.1), in_head[back]
-        base = np.bincount(doc[head_token], logs[back[head_token]], m)
-        known = np.bincount(doc[head_token], minlength=m)
-        rest = np.flatnonzero(~head_token)
-        tail = np.unique(np.stack([doc[rest].astype(np.uint64), token[rest]]), axis=1, return_counts=True) if len(rest) else (np.zeros((2, 0), np.uint64), np.zeros(0, np.int64))
-        pairs = pair_hash(before, token)
-        grams, gram_back = np.unique(pairs, return_inverse=True)
-        mine = self.slice_of[(grams >> np.uint64(64 - SEGMENT_BITS)).astype(np.int64)] == which
-        together = np.zeros(len(grams))
-        together[mine] = restored(self.twos.levels(grams[mine]))
-        c_word = restored(self.ones.levels(words))[back] if levels is None else restored(levels)
-        # A text's first token follows an end mark, which counts as much as the text's own.
-        last = np.cumsum(np.bincount(doc, minlength=m)) - 1
-        c_before = np.roll(c_word, 1)
-        c_before[np.append(0, last[:-1] + 1)] = c_word[last]
-        share = MIX * c_before / (c_before + HALF)
-        single = (c_word + 0.1) / (self.total + 0.1 * (self.distinct + 1))
-        p = share * np.minimum(together[gram_back], c_before) / np.maximum(c_before, 1) + (1 - share) * single
-        here = mine[gram_back]
-        score = np.bincount(doc[here], np.log10(np.minimum(p[here], 1.0)), m)
-        return np.bincount(doc, minlength=m), known, base, score, tail
-
-
-def sliced(sizes: dict[int, int], low: int, limit: int) -> np.ndarray:
-    """The slice of each segment from number ``low`` on: neighbours together as long as they hold ``limit`` bytes."""
-    out, now, filled = np.zeros(1 << SEGMENT_BITS, np.int64), 0, 0
-    for k in range(len(out)):
-        size = sizes.get(low + k, 0)
-        if filled and filled + size > limit:
-            now, filled = now + 1, 0
-        filled += size
-        out[k] = now
-    return out
-
-
-def with_levels(docs: DataFrame, part: Filter, slice_of: np.ndarray, which: int) -> DataFrame:
-    """doc_id, text and ``levels`` (a byte a token), those of the 1-grams of slice ``which`` filled in."""
-    shared = docs.sparkSession.sparkContext.broadcast((part, slice_of))
-    schema = T.StructType([docs.schema["doc_id"], docs.schema["text"], T.StructField("levels", T.BinaryType())])
-    begun = "levels" in docs.columns
+            for k in range(batch.num_rows):
+                blk, z, sizes, learn = (batch.column(c)[k].as_py() for c in range(4))
+                token, doc, before = token_hashes(*_texts(z, sizes))
+                weight = np.array(learn, np.float64)[doc]
+                out = [[], [], []]
+                for order, grams in ((0, token), (1, pair_hash(before, token))):
+                    h, back = np.unique(grams, return_inverse=True)
+                    n = np.bincount(back, weight, len(h)).astype(np.int32)
+                    lot = lot_of(h, lot_bits)
+                    cuts = [0, *(np.flatnonzero(np.diff(lot)) + 1).tolist(), len(lot)]
+                    out[0] += (lot[cuts[:-1]] + (order << lot_bits)).tolist()
+                    for values, cells in ((h, out[1]), (n, out[2])):
+                        cells += [values[a:b].tobytes() for a, b in zip(cuts[:-1], cuts[1:], strict=True)]
+                yield pa.RecordBatch.from_arrays(
+                    [pa.array(out[0], pa.int32()), pa.array([blk] * len(out[0]), pa.int64()), pa.array(out[1], pa.binary()), pa.array(out[2], pa.binary())], ["lot", "blk", "h", "n"]
+                )
+
+    return blocks.select("blk", "z", "sizes", "learn").mapInArrow(run, "lot int, blk long, h binary, n binary")
+
+
+def answered(grams: DataFrame, lot_bits: int) -> DataFrame:
+    """blk, lot, levels, counts (of 1-grams only); and, with null blk, one row for each lot: the bits of its segment (of 1-grams
+    only), the sum of its counts and how many n-grams have one."""
+    schema = "blk long, lot int, levels binary, counts binary, bits binary, total long, distinct long"
+    names = ["blk", "lot", "levels", "counts", "bits", "total", "distinct"]
+    one = 1 << lot_bits
+
+    def finish(lot, blks, hs, ns):
+        h, back = np.unique(np.concatenate(hs), return_inverse=True)
+        counts = np.bincount(back, np.concatenate(ns), len(h)).astype(np.int64)
+        known = counts > 0
+        segment = build_segment(h[known], counts[known]).tobytes() if known.any() else b""
+        levels = Filter({lot % one: segment} if segment else {}, lot_bits).levels(h)[back]
+        exact, m = counts[back], len(blks)
+        ends = np.cumsum([len(x) for x in hs]).tolist()
+        cells = lambda values: [values[a:b].tobytes() for a, b in zip([0, *ends[:-1]], ends, strict=True)]
+        yield pa.RecordBatch.from_arrays(
+            [
+                pa.array([*blks, None], pa.int64()), pa.array([lot] * (m + 1), pa.int32()), pa.array([*cells(levels), None], pa.binary()),
+                pa.array([*(cells(exact) if lot < one else [None] * m), None], pa.binary()), pa.array([*[None] * m, segment if lot < one else None], pa.binary()),
+                pa.array([*[None] * m, int(counts.sum())], pa.int64()), pa.array([*[None] * m, int(known.sum())], pa.int64()),
+            ],
+            names,
+        )
 
     def run(batches):
-        part, slice_of = shared.value
+        at, held = None, ([], [], [])
         for batch in batches:
-            known, at = buffers(batch.column(2)) if begun else (None, None)
-            for a, b, raw, offsets in text_blocks(batch, "text"):
-                token, doc, _ = token_hashes(raw, offsets)
-                words, back = np.unique(token, return_inverse=True)
-                mine = slice_of[(words >> np.uint64(64 - SEGMENT_BITS)).astype(np.int64)] == which
-                levels = np.zeros(len(words), np.uint8)
-                levels[mine] = part.levels(words[mine])
-                levels = levels[back]
-                if begun:
-                    levels += known[at[a] : at[b]]
-                ends = np.cumsum(np.bincount(doc, minlength=b - a)).tolist()
-                cells = [levels[x:y].tobytes() for x, y in zip([0, *ends[:-1]], ends, strict=True)]
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, b - a), batch.column(1).slice(a, b - a), pa.array(cells, pa.binary())], schema.fieldNames())
-
-    return docs.mapInArrow(run, schema)
-
-
-def pass_over(docs: DataFrame, tables: Tables, which: int) -> DataFrame:
-    """doc_id, key (of the text), n_tokens, known, base, score and ``rest``: tokens outside the head."""
-    shared = docs.sparkSession.sparkContext.broadcast(tables)
-    pair = T.StructType([T.StructField("h", T.LongType()), T.StructField("times", T.LongType())])
+            for lot, blk, h, n in zip(*(batch.column(k).to_pylist() for k in range(4)), strict=True):
+                if lot != at:
+                    if held[0]:
+                        yield from finish(at, *held)
+                    at, held = lot, ([], [], [])
+                for out, x in zip(held, (blk, np.frombuffer(h, np.uint64), np.frombuffer(n, np.int32)), strict=True):
+                    out.append(x)
+        if held[0]:
+            yield from finish(at, *held)
+
+    return grams.repartition("lot").sortWithinPartitions("lot").mapInArrow(run, schema)
+
+
+class Smoothing:
+    """N and V of the training texts, and the broadcast filter of 1-grams (None: levels come with the answers)."""
+
+    def __init__(self, total: int, distinct: int, ones: Filter | None):
+        self.total, self.distinct, self.ones = total, distinct, ones and vars(ones)
+
+    def filter(self) -> Filter | None:
+        if self.ones is None:
+            return None
+        out = Filter.__new__(Filter)
+        out.__dict__.update(self.ones)
+        return out
+
+
+def scored(raw: np.ndarray, offsets: np.ndarray, levels: list[np.ndarray], counts: np.ndarray, s: Smoothing, ones: Filter | None):
+    """Per text: tokens, known tokens, base score, model score.  levels: of the block's distinct 1- and 2-grams in order; counts: of its 1-grams."""
+    m = len(offsets) - 1
+    token, doc, before = token_hashes(raw, offsets)
+    words, back = np.unique(token, return_inverse=True)
+    grams, gram_back = np.unique(pair_hash(before, token), return_inverse=True)
+    scale = s.total + 0.1 * (s.distinct + 1)
+    known = np.bincount(doc, counts[back] > 0, m).astype(np.int64)
+    base = np.bincount(doc, np.log10((counts + 0.1) / scale)[back], m)
+    c_word = restored(levels[0] if ones is None else ones.levels(words))[back]
+    together = restored(levels[1])[gram_back]
+    # A text's first token follows an end mark, which counts as much as the text's own.
+    last = np.cumsum(np.bincount(doc, minlength=m)) - 1
+    c_before = np.roll(c_word, 1)
+    c_before[np.append(0, last[:-1] + 1)] = c_word[last]
+    share = MIX * c_before / (c_before + HALF)
+    p = share * np.minimum(together, c_before) / np.maximum(c_before, 1) + (1 - share) * (c_word + 0.1) / scale
+    return np.bincount(doc, minlength=m), known, base, np.bincount(doc, np.log10(np.minimum(p, 1.0)), m)
+
+
+def score(docs: DataFrame, training: F.Column, max_filter_bytes: int = MAX_FILTER_BYTES) -> DataFrame:
+    """doc_id, n_tokens, n_known, train_tokens, base_score, score for each row of ``docs``."""
+    lot_bits = lot_bits_for(docs)
+    one = 1 << lot_bits
+    blocks = cut(blocked(docs, training))
+    answers = cut(answered(asked(blocks, lot_bits), lot_bits))
+    lots = answers.where(f"blk is null and lot < {one}")
+    n, v, size = lots.agg(F.coalesce(F.sum("total"), F.lit(0)), F.coalesce(F.sum("distinct"), F.lit(0)), F.coalesce(F.sum(F.length("bits")), F.lit(0))).first()
+    ones = None
+    if size <= max_filter_bytes:
+        found = lots.where("length(bits) > 0").select("lot", "bits").toArrow()
+        ones = Filter(dict(zip(found.column(0).to_pylist(), found.column(1).to_pylist(), strict=True)), lot_bits)
+    shared = sent(docs, Smoothing(n, v, ones))
+    id_field = docs.schema["doc_id"]
     schema = T.StructType(
-        [docs.schema["doc_id"], T.StructField("key", T.LongType()), T.StructField("n_tokens", T.LongType()), T.StructField("known", T.LongType())]
-        + [T.StructField(x, T.DoubleType()) for x in ("base", "score")]
-        + [T.StructField("rest", T.ArrayType(pair))]
+        [id_field, *(T.StructField(x, T.LongType()) for x in ("n_tokens", "n_known", "train_tokens")), *(T.StructField(x, T.DoubleType()) for x in ("base_score", "score"))]
     )
+    nothing = F.lit(None)
+    texts = blocks.select("blk", F.lit(-1).alias("lot"), "z", "sizes", "ids", nothing.cast("binary").alias("levels"), nothing.cast("binary").alias("counts"))
+    marks = answers.where("blk is not null").select("blk", "lot", nothing.cast("binary").alias("z"), *(nothing.cast(blocks.schema[c].dataType).alias(c) for c in ("sizes", "ids")), "levels", "counts")
 
     def run(batches):
-        tables = shared.value
-        for batch in batches:
-            levels, at = (None, None) if tables.ones else buffers(batch.column(2))
-            for a, b, raw, offsets in text_blocks(batch, "text"):
-                n, known, base, score, (tail, times) = tables.block(raw, offsets, which, None if tables.ones else levels[at[a] : at[b]])
-                of, h = tail[0].astype(np.int64), tail[1].view(np.int64)
-                cuts = np.searchsorted(of, np.arange(b - a + 1)) if not which else np.zeros(b - a + 1, np.int64)
-                rest = pa.ListArray.from_arrays(pa.array(cuts.astype(np.int32)), pa.StructArray.from_arrays([pa.array(h), pa.array(times)], ["h", "times"]))
-                key = Spans(raw, int(_TURN)).hash(offsets[:-1], offsets[1:]).view(np.int64)
-                yield pa.RecordBatch.from_arrays(
-                    [batch.column(0).slice(a, b - a), pa.array(key), *(pa.array(x) for x in (n, known, base, score)), rest], schema.fieldNames()
-                )
+        s = opened(Smoothing, shared)
+        ones, block, levels, counts = s.filter(), None, ([], []), []
 
-    return docs.mapInArrow(run, schema)
+        def finish():
+            z, sizes, ids = block
+            kinds = [np.frombuffer(b"".join(x), np.uint8) for x in levels]
+            found = scored(*_texts(z, sizes), kinds, np.frombuffer(b"".join(counts), np.int64), s, ones)
+            total = pa.array(np.full(len(ids), s.total, np.int64))
+            return pa.RecordBatch.from_arrays([ids, *(pa.array(x) for x in found[:2]), total, *(pa.array(x) for x in found[2:])], schema.fieldNames())
+
+        for batch in batches:
+            lot, z, sizes, marked, exact = (batch.column(k) for k in (1, 2, 3, 5, 6))
+            for k, number in enumerate(lot.to_pylist()):
+                if number < 0:
+                    if block:
+                        yield finish()
+                    block, levels, counts = (z[k].as_py(), sizes[k].as_py(), batch.column(4)[k].values), ([], []), []
+                else:
+                    levels[number >= one].append(marked[k].as_py())
+                    if number < one:
+                        counts.append(exact[k].as_py())
+        if block:
+            yield finish()
+
+    return texts.union(marks).repartition("blk").sortWithinPartitions("blk", "lot").mapInArrow(run, schema)
 
 
 def held_out(modulus: int = 10, rest: int = 0) -> F.Column:
     return F.pmod(F.crc32(F.coalesce(F.col("doc_id").cast("string"), F.lit("")).cast("binary")), F.lit(modulus)) == rest
 
 
-def score(docs: DataFrame, training: F.Column, head_size: int = HEAD, max_filter_bytes: int = MAX_FILTER_BYTES) -> DataFrame:
-    """doc_id, n_tokens, n_known, train_tokens, base_score, score for each row of ``docs``."""
-    built = cut(segments(count_grams(docs.where(training))))
-    words = built.where("bits is null").select("h", "n")
-    stats = words.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("total"), F.count("*").alias("distinct")).first()
-    # The head: words whose count has at least as many bits as leaves at most head_size of them.
-    by_bits = dict(words.groupBy(F.floor(F.log2("n")).cast("int").alias("b")).agg(F.count("*").alias("k")).collect())
-    least, so_far = 64, 0
-    for b in sorted(by_bits, reverse=True):
-        so_far += by_bits[b]
-        if so_far > head_size:
-            break
-        least = b
-    head = words.where(F.col("n") >= F.lit(1 << min(least, 62))).orderBy(F.expr("h < 0"), "h").toArrow()
-    tail = words.where(F.col("n") < F.lit(1 << min(least, 62)))
-    exact = (head.column("h").to_numpy().view(np.uint64), head.column("n").to_numpy())
-
-    bits = built.where("bits is not null")
-    sizes = dict(bits.select("seg", F.length("bits")).collect())  # one number a segment, of which there are 2**(SEGMENT_BITS + 1)
-    one = 1 << SEGMENT_BITS
-    ones_of, twos_of = sliced(sizes, 0, max_filter_bytes), sliced(sizes, one, max_filter_bytes)
-
-    def load(slice_of, which, low):
-        mine = np.flatnonzero(slice_of == which) + low
-        found = bits.where(F.col("seg").between(int(mine[0]), int(mine[-1]))).select("seg", "bits").toArrow()
-        # Views of Arrow's memory, so the driver holds a slice twice at most.
-        return Filter({seg - low: x.as_buffer() for seg, x in zip(found.column(0).to_pylist(), found.column(1), strict=True)}, one)
-
-    texts, ones = docs.select("doc_id", "text"), None
-    if ones_of.max():
-        for s in range(int(ones_of.max()) + 1):
-            texts = cut(with_levels(texts, load(ones_of, s, 0), ones_of, s))
-    else:
-        ones = load(ones_of, 0, 0)
-    slices = int(twos_of.max()) + 1
-    passes = [cut(pass_over(texts, Tables(ones, load(twos_of, s, one), exact, stats["total"], stats["distinct"], twos_of), s)) for s in range(slices)]
-    rows = passes[0]
-    if slices > 1:
-        more = reduce(DataFrame.union, [p.groupBy("doc_id", "key").agg(F.max("score").alias("score")) for p in passes[1:]])
-        more = more.groupBy("doc_id", "key").agg(F.sum("score").alias("more")).select(F.col("doc_id").alias("i"), F.col("key").alias("k"), "more")
-        rows = rows.join(more, F.col("doc_id").eqNullSafe(F.col("i")) & (F.col("key") == F.col("k"))).withColumn("score", F.col("score") + F.col("more")).drop("i", "k", "more")
-    # Counts of the rarer words reach the texts that hold them.
-    asked = rows.select("doc_id", "key", F.explode("rest").alias("r")).select("doc_id", "key", "r.h", "r.times").dropDuplicates(["doc_id", "key", "h"])
-    met = asked.join(tail, "h", "left").groupBy("doc_id", "key").agg(
-        F.sum(F.col("times") * F.log10(F.coalesce("n", F.lit(0)) + 0.1)).alias("rare"), F.sum(F.when(F.col("n").isNotNull(), F.col("times"))).alias("seen")
-    )
-    met = met.select(F.col("doc_id").alias("i"), F.col("key").alias("k"), "rare", "seen")
-    denominator = float(np.log10(stats["total"] + 0.1 * (stats["distinct"] + 1)))
-    return rows.join(met, F.col("doc_id").eqNullSafe(F.col("i")) & (F.col("key") == F.col("k")), "left").select(
-        "doc_id",
-        "n_tokens",
-        (F.col("known") + F.coalesce("seen", F.lit(0))).alias("n_known"),
-        F.lit(stats["total"]).cast("long").alias("train_tokens"),
-        (F.col("base") + F.coalesce("rare", F.lit(0.0)) - F.col("n_tokens") * denominator).alias("base_score"),
-        "score",
-    )
-
-
-def report(docs: DataFrame, head_size: int = HEAD, max_filter_bytes: int = MAX_FILTER_BYTES) -> DataFrame:
+def report(docs: DataFrame, max_filter_bytes: int = MAX_FILTER_BYTES) -> DataFrame:
     """The scores, learning from the rows that are not held out; ``held_out`` tells which are."""
-    found = score(docs, ~held_out(), head_size, max_filter_bytes)
+    found = score(docs, ~held_out(), max_filter_bytes)
     return found.select("doc_id", held_out().alias("held_out"), "n_tokens", "n_known", "train_tokens", "base_score", "score")
