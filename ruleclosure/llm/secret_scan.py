@@ -6,14 +6,16 @@ random strings and one on identifiers; tokens whose log-likelihood ratio exceeds
 base finding are findings of kind ``random``.
 
 All of it is SQL functions.  Matches are located by setting marks around them (marks in the text itself become
-another private character first, which keeps lengths), cutting at the marks and adding up lengths.
+another private character first, which keeps lengths), cutting at the marks and adding up lengths.  Sums run in portions
+(:func:`with_running`), and spans meet in one sorted list, so a text of very many matches costs little more than in proportion.
 
-The identifiers of the labelled sample are words of about ``SAMPLE_DOCS`` documents, alone and joined in snake
-and camel case; the random strings are digests in several alphabets.  Training counts pairs of characters, so
+The identifiers of the labelled sample are words of about ``SAMPLE_DOCS`` documents, alone and joined in runs of ``JOINED``
+in snake and camel case; the random strings are digests in several alphabets.  Training counts pairs of characters, so
 what reaches the driver is bounded by the alphabet.
 
 Edge cases: null is the empty text, without findings; offsets are code points, end exclusive; repeated rows are
-scanned alike; an empty table gives an empty result (and a model from random strings alone).
+scanned alike; an empty table gives an empty result (and a model from random strings alone); input columns of any
+name stay as they are, since working columns lie in structs of their own.
 """
 
 from __future__ import annotations
@@ -27,6 +29,11 @@ MIN_TOKEN = 20
 THRESHOLD = 12.0
 SAMPLE_DOCS = 2000
 RANDOM_STRINGS = 3000
+#: Words that are joined to one identifier.
+JOINED = 40
+#: Elements that a running sum takes at a time.
+PORTION = 128
+PAGE = 4096
 #: Hashes are drawn from so many that the share of a sample stays exact in any number of documents.
 LOTS = 1 << 48
 MASK = "<secret>"
@@ -42,39 +49,62 @@ _SEARCH = {"hex": r"[0-9a-f]{32,}"}
 TOKEN = rf"[A-Za-z0-9+/_-]{{{MIN_TOKEN},}}"
 ALPHABET = "abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789+/_-"
 
+_FAR = (1 << 31) - 1
 _OPEN, _CLOSE, _OTHER = "\ue000", "\ue001", "\ue002"
 
 
-def matches(text: F.Column, pattern: str) -> F.Column:
-    """Array of (start, end, hit) of the leftmost non-overlapping matches of a pattern in ``text``."""
-    clean = F.translate(text, _OPEN + _CLOSE, _OTHER + _OTHER)
-    marked = F.regexp_replace(clean, f"({pattern})", f"{_OPEN}$1{_CLOSE}")
+def _larger(a: F.Column, b: F.Column) -> F.Column:
+    return F.greatest(a, b)
+
+
+def with_running(rows: DataFrame, wanted: dict[str, str], best=None) -> DataFrame:
+    """``rows`` with arrays of running sums (or of running bests); wanted: their names by those of arrays of whole numbers, none
+    below zero.
+
+    Appending to an array copies it, so one running pass would be quadratic; portions are summed alone and moved by what came
+    before them.  Arrays must be columns: an expression inside a lambda would be computed again for each element.
+    """
+    best = best or (lambda a, b: a + b)
+    start = F.array(F.lit(0))
+    extend = lambda acc, x: F.concat(acc, F.array(best(F.element_at(acc, -1), x)))
+    portions = {}
+    for name in wanted:
+        numbers = F.sequence(F.lit(0), F.floor((F.greatest(F.size(name), F.lit(1)) - 1) / PORTION).cast("int"))
+        portions[f"{name}_portions"] = F.transform(numbers, (lambda name: lambda k: F.aggregate(F.slice(name, k * PORTION + 1, PORTION), start, extend))(name))
+    moved = {}
+    for name, out in wanted.items():
+        inner = F.col(f"{name}_portions")
+        before = F.aggregate(F.transform(inner, lambda p: F.element_at(p, -1)), start, extend)
+        moved[out] = F.flatten(F.zip_with(inner, F.slice(before, 1, F.size(inner)), lambda p, b: F.transform(F.slice(p, 2, PORTION), lambda x: best(x, b))))
+    return rows.withColumns(portions).withColumns(moved).drop(*portions)
+
+
+MATCH = "array<struct<start:int,end:int,hit:string>>"
+
+
+def with_matches(rows: DataFrame, patterns: dict[str, str]) -> DataFrame:
+    """``rows`` (with a column ``text``) with arrays of (start, end, hit): the leftmost non-overlapping matches of patterns."""
+    rows = rows.withColumn("clean", F.translate("text", _OPEN + _CLOSE, _OTHER + _OTHER))
+    rows = rows.withColumns({f"{k}_pieces": F.split(F.regexp_replace("clean", f"({p})", f"{_OPEN}$1{_CLOSE}"), _OPEN) for k, p in patterns.items()})
     # Each piece after the first is a match and what follows it.
-    pieces = F.split(marked, _OPEN)
-    split = F.transform(pieces, lambda x: F.struct(F.length(x).alias("n"), F.instr(x, _CLOSE).alias("m"), F.substring_index(x, _CLOSE, 1).alias("hit")))
-    start = F.struct(F.lit(0).alias("at"), F.array().cast("array<struct<start:int,end:int,hit:string>>").alias("found"))
+    rows = rows.withColumns({f"{k}_sizes": F.transform(f"{k}_pieces", lambda x: F.length(x) - F.when(F.instr(x, _CLOSE) > 0, 1).otherwise(0)) for k in patterns})
+    rows = with_running(rows, {f"{k}_sizes": f"{k}_sums" for k in patterns})
+    found = {}
+    for k in patterns:
+        n = F.size(f"{k}_pieces") - 1
+        met = F.zip_with(F.slice(f"{k}_sums", 1, n), F.slice(f"{k}_pieces", 2, n), lambda at, x: F.struct(at.alias("start"), (at + F.instr(x, _CLOSE) - 1).alias("end"), F.substring_index(x, _CLOSE, 1).alias("hit")))
+        found[k] = F.when(n > 0, met.cast(MATCH)).otherwise(F.array().cast(MATCH))
+    return rows.withColumns(found).drop("clean", *[f"{k}_{x}" for k in patterns for x in ("pieces", "sizes", "sums")])
 
-    def step(acc, x):
-        inside = x["m"] > 0
-        size = F.when(inside, x["m"] - 1).otherwise(0)
-        found = F.struct(acc["at"].alias("start"), (acc["at"] + size).alias("end"), x["hit"].alias("hit"))
-        return F.struct(
-            (acc["at"] + x["n"] - F.when(inside, 1).otherwise(0)).alias("at"),
-            F.when(inside, F.concat(acc["found"], F.array(found))).otherwise(acc["found"]).alias("found"),
-        )
 
-    return F.when(marked == clean, F.array().cast("array<struct<start:int,end:int,hit:string>>")).otherwise(F.aggregate(split, start, step, lambda acc: acc["found"]))
+def shaped(found: F.Column, order: int, kind: str) -> F.Column:
+    return F.transform(found, lambda m: F.struct(m["start"].alias("start"), F.lit(order).alias("order"), m["end"].alias("end"), F.lit(kind).alias("kind")))
 
 
-def base_findings(docs: DataFrame, text: F.Column) -> DataFrame:
-    """``docs`` with arrays ``assign_``, ``access_``, ``hex_`` of (start, order, end, kind)."""
-    for k, (kind, pattern, group, least) in enumerate(KINDS):
-        found = matches(text, _SEARCH.get(kind, pattern))
-        size = (lambda p: lambda m: F.length(F.regexp_extract(m["hit"], p, 1)))(pattern) if group else (lambda m: m["end"] - m["start"])
-        good = F.filter(found, (lambda size, least: lambda m: size(m) >= least)(size, least))
-        shaped = (lambda k, kind: lambda m: F.struct(m["start"].alias("start"), F.lit(k).alias("order"), m["end"].alias("end"), F.lit(kind).alias("kind")))(k, kind)
-        docs = docs.withColumn(f"{kind}_", F.transform(good, shaped))
-    return docs
+def base_kind(order: int, kind: str, pattern: str, group: int, least: int) -> F.Column:
+    """The spans of a base kind from the matches in the column of its name: those whose tested group is long enough."""
+    size = (lambda m: F.length(F.regexp_extract(m["hit"], pattern, group))) if group else (lambda m: m["end"] - m["start"])
+    return shaped(F.filter(kind, lambda m: size(m) >= least), order, kind)
 
 
 def labelled(docs: DataFrame, sample_docs: int = SAMPLE_DOCS) -> DataFrame:
@@ -83,7 +113,10 @@ def labelled(docs: DataFrame, sample_docs: int = SAMPLE_DOCS) -> DataFrame:
     lot = F.pmod(F.xxhash64(F.lit("secrets"), F.col("doc_id")), F.lit(LOTS))
     chosen = docs.where(lot < float(LOTS) * sample_docs / n).select(F.regexp_extract_all("text", F.lit(r"(?<![A-Za-z0-9+/_-])([A-Za-z]{3,})(?![A-Za-z0-9+/_-])")).alias("w"))
     words = chosen.select(F.explode(F.filter(F.array_distinct("w"), lambda x: F.length(x) < MIN_TOKEN)).alias("s"))
-    joined = chosen.select(F.explode(F.array(F.array_join(F.slice("w", 1, 40), "_"), F.array_join(F.transform(F.slice("w", 41, 40), F.initcap), ""))).alias("s"))
+    # Words in runs, by turns in snake and in camel case.
+    runs = chosen.where(F.size("w") > 0).select("w", F.explode(F.sequence(F.lit(0), F.floor((F.size("w") - 1) / JOINED).cast("int"))).alias("k"))
+    run = F.slice("w", F.col("k") * JOINED + 1, JOINED)
+    joined = runs.select(F.when(F.col("k") % 2 == 0, F.array_join(run, "_")).otherwise(F.array_join(F.transform(run, F.initcap), "")).alias("s"))
     digest = F.sha2(F.col("id").cast("string").cast("binary"), 256)
     strings = docs.sparkSession.range(RANDOM_STRINGS).select(
         F.explode(F.array(digest, F.upper(digest), F.base64(F.unhex(digest)), F.translate(F.base64(F.unhex(digest)), "+/=", "-_"), F.upper(F.translate(F.base64(F.unhex(digest)), "+/=", "")))).alias("s")
@@ -117,12 +150,30 @@ def ratio(token: F.Column, table: list[float]) -> F.Column:
 
 
 def scan(docs: DataFrame, table: list[float], threshold: float = THRESHOLD) -> DataFrame:
-    """``docs`` with ``base_`` and ``spans_``: sorted arrays of (start, order, end, kind)."""
-    text = F.coalesce(F.col("text"), F.lit(""))
-    found = base_findings(docs, text).withColumn("base_", F.array_sort(F.concat("assign_", "access_", "hex_"))).withColumn("token_", matches(text, TOKEN))
-    free = F.filter("token_", lambda t: (ratio(t["hit"], table) > threshold) & ~F.exists("base_", lambda b: (b["start"] < t["end"]) & (t["start"] < b["end"])))
-    extra = F.transform(free, lambda t: F.struct(t["start"].alias("start"), F.lit(len(KINDS)).alias("order"), t["end"].alias("end"), F.lit("random").alias("kind")))
-    return found.withColumn("spans_", F.array_sort(F.concat("base_", extra))).drop("token_")
+    """row (a struct of the columns of ``docs``) and found: a struct of ``n_<kind>`` for each base kind, and of ``base`` and ``spans``,
+    sorted arrays of (start, order, end, kind)."""
+    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.coalesce(F.col("text"), F.lit("")).alias("text"))
+    rows = with_matches(rows, {kind: _SEARCH.get(kind, pattern) for kind, pattern, *_ in KINDS} | {"token": TOKEN}).drop("text")
+    rows = rows.select("row", *[base_kind(k, *x).alias(x[0]) for k, x in enumerate(KINDS)], shaped(F.filter("token", lambda t: ratio(t["hit"], table) > threshold), len(KINDS), "random").alias("random"))
+    rows = rows.withColumn("base", F.array_sort(F.concat(*[kind for kind, *_ in KINDS])))
+    rows = rows.withColumn("every", F.array_sort(F.concat("base", "random")))
+    # A random span goes where a base span before it ends inside or beyond, or one behind it begins inside.
+    is_base = lambda s: s["order"] < len(KINDS)
+    rows = rows.withColumns(
+        {
+            "ends": F.transform("every", lambda s: F.when(is_base(s), s["end"]).otherwise(0)),
+            "begins": F.reverse(F.transform("every", lambda s: F.when(is_base(s), _FAR - s["start"]).otherwise(0))),
+        }
+    )
+    rows = with_running(rows, {"ends": "reached", "begins": "ahead"}, _larger)
+    judged = F.zip_with(
+        F.zip_with("every", "reached", lambda s, e: F.struct(s.alias("s"), (is_base(s) | (e <= s["start"])).alias("free"))),
+        F.reverse("ahead"),
+        lambda x, a: F.struct(x["s"].alias("s"), (x["free"] & (is_base(x["s"]) | (_FAR - a >= x["s"]["end"]))).alias("free")),
+    )
+    spans = F.transform(F.filter(judged, lambda x: x["free"]), lambda x: x["s"])
+    counts = [F.size(kind).cast("long").alias(f"n_{kind}") for kind, *_ in KINDS]
+    return rows.select("row", F.struct(*counts, F.col("base"), F.when(F.size("random") > 0, spans).otherwise(F.col("base")).alias("spans")).alias("found"))
 
 
 def listed(spans: F.Column) -> F.Column:
@@ -132,8 +183,16 @@ def listed(spans: F.Column) -> F.Column:
 def report(docs: DataFrame) -> DataFrame:
     """doc_id, n_assign, n_access, n_hex, base_sha256, spans."""
     found = scan(docs.select("doc_id", "text"), train(labelled(docs)))
-    counts = [F.size(f"{kind}_").cast("long").alias(f"n_{kind}") for kind, *_ in KINDS]
-    return found.select("doc_id", *counts, F.sha2(listed(F.col("base_")).cast("binary"), 256).alias("base_sha256"), listed(F.col("spans_")).alias("spans"))
+    counts = [f"found.n_{kind}" for kind, *_ in KINDS]
+    return found.select("row.doc_id", *counts, F.sha2(listed(F.col("found.base")).cast("binary"), 256).alias("base_sha256"), listed(F.col("found.spans")).alias("spans"))
+
+
+def _piece(pages: F.Column, a: F.Column, b: F.Column) -> F.Column:
+    """Code points a to b of a text in pages."""
+    first, last = F.floor(a / PAGE).cast("int"), F.floor(b / PAGE).cast("int")
+    middle = F.array_join(F.slice(pages, first + 2, F.greatest(last - first - 1, F.lit(0))), "")
+    apart = F.concat(F.substring(F.get(pages, first), a % PAGE + 1, F.lit(PAGE)), middle, F.substring(F.get(pages, last), F.lit(1), b % PAGE))
+    return F.when(first == last, F.substring(F.get(pages, first), a % PAGE + 1, b - a)).otherwise(apart)
 
 
 def redact(docs: DataFrame) -> DataFrame:
@@ -141,21 +200,26 @@ def redact(docs: DataFrame) -> DataFrame:
 
     Null texts stay null; texts without findings and all other columns stay as they were.
     """
-    own = [c for c in docs.columns]
     found = scan(docs, train(labelled(docs)))
-    start = F.array().cast("array<struct<start:int,end:int>>")
-
-    def merge(acc, s):
-        span = lambda a, b: F.array(F.struct(a.alias("start"), b.alias("end")))
-        joins = (F.size(acc) > 0) & (F.get(acc, F.size(acc) - 1)["end"] > s["start"])
-        tail = F.get(acc, F.size(acc) - 1)
-        return F.when(joins, F.concat(F.slice(acc, 1, F.greatest(F.size(acc) - 1, F.lit(0))), span(tail["start"], F.greatest(tail["end"], s["end"])))).otherwise(F.concat(acc, span(s["start"], s["end"])))
-
-    found = found.withColumn("cut_", F.aggregate("spans_", start, merge))
-    ends = F.concat(F.array(F.lit(0)), F.transform("cut_", lambda s: s["end"]))
-    starts = F.concat(F.transform("cut_", lambda s: s["start"]), F.array(F.length("text")))
-    pieces = F.zip_with(ends, starts, lambda a, b: F.substring(F.col("text"), a + 1, b - a))
-    changed = F.size("cut_") > 0
-    new = F.when(changed, F.array_join(pieces, MASK)).otherwise(F.col("text"))
-    out = found.withColumn("new_", new)
-    return out.select(*[F.col("new_").alias("text") if c == "text" else F.when(changed, F.length("new_")).otherwise(F.col(c)).cast(docs.schema[c].dataType).alias(c) if c == "n_chars" else F.col(c) for c in own])
+    found = found.select("row", F.col("row")["text"].alias("text"), F.col("found.spans").alias("spans"))
+    found = with_running(found.withColumn("ends", F.transform("spans", lambda s: s["end"])), {"ends": "reach"}, _larger)
+    # A span that begins before an earlier one ends belongs to it: the furthest end so far tells.
+    earlier = F.concat(F.array(F.lit(0)), F.slice("reach", 1, F.greatest(F.size("reach") - 1, F.lit(0))))
+    first = F.zip_with("spans", F.slice(earlier, 1, F.size("spans")), lambda s, e: F.struct(s["start"].alias("start"), e.alias("before")))
+    # Finding a place in a text walks from its begin, so pieces are cut from pages.
+    pages = F.transform(F.sequence(F.lit(0), F.floor(F.length("text") / PAGE).cast("int")), lambda k: F.substring(F.col("text"), k * PAGE + 1, F.lit(PAGE)))
+    found = found.select("row", "text", "reach", F.filter(first, lambda s: s["start"] >= s["before"]).alias("cuts"), F.when(F.size("spans") > 0, pages).alias("pages"))
+    starts = F.concat(F.transform("cuts", lambda s: s["start"]), F.array(F.length("text")))
+    ends = F.concat(F.transform("cuts", lambda s: s["before"]), F.array(F.try_element_at("reach", F.lit(-1))))
+    pieces = F.zip_with(ends, starts, lambda a, b: _piece(F.col("pages"), a, b))
+    changed = F.size("cuts") > 0
+    found = found.select("row", changed.alias("changed"), F.when(changed, F.array_join(pieces, MASK)).otherwise(F.col("text")).alias("new"))
+    out = []
+    for c in docs.columns:
+        own = F.col("row")[c]
+        if c == "text":
+            own = F.col("new")
+        elif c == "n_chars":
+            own = F.when(F.col("changed"), F.length("new")).otherwise(own).cast(docs.schema[c].dataType)
+        out.append(own.alias(c))
+    return found.select(*out)
