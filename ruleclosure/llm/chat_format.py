@@ -6,8 +6,9 @@ independent 64-bit hashes).  A conversation whose whole hash occurs as a proper
 by an anti-join; of equal conversations that with the smallest conv_id stays.  What remains is rendered in
 chunks of at most ``CHUNK`` turns, which joined in order are the conversation.
 
-A long conversation is worked on in blocks of turn numbers: rows are numbered and hashed within a block, and
-block totals, far fewer, are summed over the conversation.
+Rows are sorted by conversation and turn over ranges, so a long conversation lies in several of them: rows are numbered and
+hashed within a range (``block``), and block totals, far fewer, are summed over the conversation.  A long conversation, or many
+turns with one number or none, thus spread over tasks; only turns alike in number, role and their first ``SEEN`` characters meet.
 
 Edge cases: turns with a null conv_id belong to no conversation and are left out; turns are ordered by turn
 (null first), role, text; repeated rows are turns of their own; null role or text renders as empty and is
@@ -20,8 +21,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import window as W
 
-BLOCK = 512
+from ..durable import cut
+
 CHUNK = 64
+#: Characters of role and text by which equal turn numbers are spread.
+SEEN = 128
 OPEN, BETWEEN, CLOSE = "<|", "|>\n", "\n<|end|>\n"
 
 
@@ -40,8 +44,12 @@ def _running(df: DataFrame, inside: W.WindowSpec, value: dict[str, F.Column], to
 
 def prefixes(conversations: DataFrame) -> DataFrame:
     """conv_id, pos, role, text, h1, h2: hashes of the first ``pos`` turns."""
-    rows = conversations.where("conv_id is not null").select("conv_id", "turn", "role", "text", F.coalesce(F.floor(F.col("turn") / BLOCK), F.lit(-(1 << 40))).alias("block"))
-    inside = W.Window.partitionBy("conv_id", "block").orderBy(F.asc_nulls_first("turn"), F.asc_nulls_first("role"), F.asc_nulls_first("text")).rowsBetween(W.Window.unboundedPreceding, 0)
+    rows = conversations.where("conv_id is not null").select("conv_id", "turn", "role", "text")
+    order = [F.asc_nulls_first(c) for c in ("turn", "role", "text")]
+    # Ranges are drawn from a sample of keys that reaches the driver, so these hold begins of texts only.
+    near = [F.asc("conv_id"), F.asc_nulls_first("turn"), *[F.asc_nulls_first(F.substring(c, 1, SEEN)) for c in ("role", "text")]]
+    rows = cut(rows.repartitionByRange(*near).withColumn("block", F.spark_partition_id()))
+    inside = W.Window.partitionBy("conv_id", "block").orderBy(*order).rowsBetween(W.Window.unboundedPreceding, 0)
     numbered = _running(rows, inside, {"n": F.count("*")}, {"n": F.count("*")}, F.sum).withColumn("pos", F.col("n_i") + F.col("n_b"))
     role, text = F.coalesce("role", F.lit("")), F.coalesce("text", F.lit(""))
     bound = numbered.select("conv_id", "block", "pos", "role", "text", F.xxhash64(F.lit(1), "pos", role, text).alias("a"), F.xxhash64(F.lit("second"), text, "pos", role).alias("b"))
@@ -63,7 +71,7 @@ def maximal(prefix: DataFrame) -> DataFrame:
 
 def render(conversations: DataFrame, chunk: int = CHUNK) -> DataFrame:
     """conv_id, n_turns, chunk (from 0), rendered."""
-    prefix = prefixes(conversations)
+    prefix = cut(prefixes(conversations))
     kept = prefix.join(maximal(prefix), "conv_id")
     place = F.floor((F.col("pos") - 1) / chunk).alias("chunk")
     parts = kept.groupBy("conv_id", "n_turns", place).agg(F.sort_array(F.collect_list(F.struct("pos", rendered(F.col("role"), F.col("text")).alias("r")))).alias("t"))

@@ -7,12 +7,15 @@ parent's own budget never exceeds its capacity.  Shares come in closed form from
 of capacity per weight; all amounts are integers.
 
 A leaf takes whole epochs as long as its budget covers them and then a prefix of one more, seeded, epoch: rows in
-order of md5(seed:epoch:doc_id), up to the last that fits.  The end of the prefix is found from sums over buckets of
-that hash and the rows of one bucket; after that, selecting is a comparison in each row.
+order of md5(seed:epoch:doc_id), up to the last that fits.  The end of the prefix is found digit by digit: sums over 256 buckets of
+the hash name the bucket it lies in, that bucket is split by the next two digits, and so on until no leaf has more than
+``FEW`` different hashes left in its bucket.  So no task holds more than a few hundred rows of a leaf; after that, selecting is a
+comparison in each row.
 
 Edge cases: null domain, language or source is a node of its own; a null or empty text has no tokens and
-comes with its leaf's epochs; rows with one doc_id come in or stay out together; leaves with weight 0 get nothing;
-an empty table gives an empty result.
+comes with its leaf's epochs; rows with one doc_id come in or stay out together; nodes with weight 0 get nothing, and what they
+hold counts for no capacity; an empty table gives an empty result.  Input columns stay as they are, whatever their names; the
+added ones take underscores where a name is taken.
 """
 
 from __future__ import annotations
@@ -24,10 +27,13 @@ from pyspark.sql import functions as F
 from pyspark.sql import window as W
 
 from ..durable import cut
+from .common import free_name
 
 LEVELS = ("domain", "lang", "source")
 WORDS = r"[^\x20\x09-\x0D]+"
 MAX_BROADCAST_LEAVES = 100_000
+#: Different hashes of a border bucket that are ranked at once, and hash digits a step.
+FEW, DIGITS = 512, 2
 
 
 @dataclass(frozen=True)
@@ -75,7 +81,8 @@ def share(children: DataFrame, parent: list[str], budget: F.Column) -> DataFrame
 
 def leaf_budgets(leaves: DataFrame, recipe: Recipe, budget: int) -> DataFrame:
     """domain, lang, source, tokens, give for each leaf (``leaves``: the three names and tokens)."""
-    weighed = leaves.select("*", (F.col("tokens") * recipe.max_epochs).alias("cap"))
+    closed = " OR ".join(f"({_case(x, recipe)}) = 0" for x in LEVELS)
+    weighed = leaves.select("*", F.expr(f"CASE WHEN {closed} THEN 0 ELSE tokens * {recipe.max_epochs} END").alias("cap"))
     total, parent = F.lit(budget).cast("bigint"), []
     given = None
     for k, level in enumerate(LEVELS):
@@ -116,30 +123,52 @@ def plan(docs: DataFrame, recipe: Recipe = RECIPE) -> DataFrame:
     )
     given = cut(given)
     small = F.broadcast(given) if given.count() <= MAX_BROADCAST_LEAVES else given
-    drawn = rows.join(small, [F.col(c).eqNullSafe(F.col(f"mix_{c}")) for c in LEVELS]).where("more > 0")
-    drawn = drawn.withColumn("lot", _lot(F.col("full"), F.col("id"), recipe.seed)).withColumn("bucket", F.substring("lot", 1, 3))
     names = [f"mix_{c}" for c in LEVELS]
-    buckets = drawn.groupBy(*names, "more", "bucket").agg(F.sum("tokens").alias("n"))
-    order = W.Window.partitionBy(*names).orderBy("bucket").rowsBetween(W.Window.unboundedPreceding, 0)
-    border = buckets.withColumn("upto_n", F.sum("n").over(order)).where("upto_n > more").groupBy(*names).agg(F.min_by(F.struct("bucket", (F.col("upto_n") - F.col("n")).alias("before")), "bucket").alias("b"))
-    border = border.select(*[F.col(c).alias(f"{c}_b") for c in names], "b.bucket", "b.before")
-    inside = drawn.select(*names, "more", "lot", "tokens", F.col("bucket").alias("bucket_")).join(border, [*[F.col(c).eqNullSafe(F.col(f"{c}_b")) for c in names], F.col("bucket_") == F.col("bucket")])
-    tie = W.Window.partitionBy(*names).orderBy("lot").rangeBetween(W.Window.unboundedPreceding, 0)
-    last = inside.withColumn("run", F.sum("tokens").over(tie) + F.col("before")).groupBy(*names).agg(F.coalesce(F.max(F.when(F.col("run") <= F.col("more"), F.col("lot"))), F.min("bucket")).alias("upto"))
-    last = last.select(*[F.col(c).alias(f"{c}_l") for c in names], "upto")
+    # Rows of one hash, those of one doc_id above all, count as one.
+    drawn = rows.join(small, [F.col(c).eqNullSafe(F.col(f"mix_{c}")) for c in LEVELS]).where("more > 0")
+    drawn = cut(drawn.groupBy(*names, "more", _lot(F.col("full"), F.col("id"), recipe.seed).alias("lot")).agg(F.sum("tokens").alias("tokens")))
+    last = prefix_ends(drawn, names).select(*[F.col(c).alias(f"{c}_l") for c in names], "upto")
     return given.join(last, [F.col(c).eqNullSafe(F.col(f"{c}_l")) for c in names], "left").select(*names, "leaf_tokens", "give", "full", F.coalesce("upto", F.lit("")).alias("upto"))
 
 
+def prefix_ends(drawn: DataFrame, names: list[str]) -> DataFrame:
+    """``names`` and ``upto``, the last hash whose running sum of tokens is within ``more``, for each leaf (drawn: names, more, lot, tokens;
+    different lots)."""
+    border = drawn.groupBy(*names).agg(F.lit("").alias("prefix"), F.lit(0).cast("bigint").alias("before"), F.count("*").alias("rows"))
+    same = lambda: [F.col(c).eqNullSafe(F.col(f"{c}_b")) for c in names]
+    for step in range(1, 32 // DIGITS + 1):
+        border = cut(border)
+        side = border.select(*[F.col(c).alias(f"{c}_b") for c in names], "prefix", "before")
+        side = F.broadcast(side) if border.count() <= MAX_BROADCAST_LEAVES else side
+        inside = drawn.join(side, [*same(), F.substring("lot", 1, DIGITS * (step - 1)) == F.col("prefix")]).select(*names, "more", "lot", "tokens", "before")
+        if (border.agg(F.max("rows")).first()[0] or 0) <= FEW:
+            break
+        buckets = inside.groupBy(*names, "more", "before", F.substring("lot", 1, DIGITS * step).alias("prefix")).agg(F.sum("tokens").alias("n"), F.count("*").alias("rows"))
+        order = W.Window.partitionBy(*names).orderBy("prefix").rowsBetween(W.Window.unboundedPreceding, 0)
+        over = buckets.withColumn("run", F.col("before") + F.sum("n").over(order)).where("run > more")
+        border = over.groupBy(*names).agg(F.min_by(F.struct("prefix", (F.col("run") - F.col("n")).alias("before"), "rows"), "prefix").alias("b")).select(*names, "b.*")
+    order = W.Window.partitionBy(*names).orderBy("lot").rowsBetween(W.Window.unboundedPreceding, 0)
+    ranked = inside.withColumn("run", F.sum("tokens").over(order) + F.col("before"))
+    # Where nothing of the bucket fits, all hashes before the bucket do; its own digits alone sort before its hashes.
+    least = F.min(F.struct("lot")).alias("least")
+    return ranked.groupBy(*names).agg(F.max(F.when(F.col("run") <= F.col("more"), F.col("lot"))).alias("fits"), least).select(
+        *names, F.coalesce("fits", F.expr("substring(least.lot, 1, length(least.lot) - 1)")).alias("upto")
+    )
+
+
 def select(docs: DataFrame, recipe: Recipe = RECIPE) -> DataFrame:
     """The rows that the mixture takes, with ``domain``, ``tokens`` and ``copies`` (how many epochs hold them)."""
     leaves = cut(plan(docs, recipe))
     small = F.broadcast(leaves) if leaves.count() <= MAX_BROADCAST_LEAVES else leaves
-    kept = [c for c in docs.columns if c not in ("domain", "tokens", "copies")]
-    rows = docs.select(*kept, F.expr(recipe.domain_sql).alias("domain"), F.coalesce(F.regexp_count("text", F.lit(WORDS)), F.lit(0)).cast("bigint").alias("tokens"))
+    rows = docs.select(
+        F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.expr(recipe.domain_sql).alias("domain"), "lang", "source",
+        F.coalesce(F.regexp_count("text", F.lit(WORDS)), F.lit(0)).cast("bigint").alias("tokens"), F.coalesce(F.col("doc_id").cast("string"), F.lit("")).alias("id"),
+    )
     met = rows.join(small, [F.col(c).eqNullSafe(F.col(f"mix_{c}")) for c in LEVELS])
-    lot = _lot(F.col("full"), F.coalesce(F.col("doc_id").cast("string"), F.lit("")), recipe.seed)
-    copies = (F.col("full") + (lot <= F.col("upto")).cast("bigint")).alias("copies")
-    return met.select(*kept, "domain", "tokens", copies).where("copies > 0")
+    copies = (F.col("full") + (_lot(F.col("full"), F.col("id"), recipe.seed) <= F.col("upto")).cast("bigint")).alias("copies")
+    taken = met.select("row", "domain", "tokens", copies).where("copies > 0")
+    added = [F.col(c).alias(free_name(c, docs.columns)) for c in ("domain", "tokens", "copies")]
+    return taken.select(*[F.col("row")[c].alias(c) for c in docs.columns], *added)
 
 
 def report(docs: DataFrame, recipe: Recipe = RECIPE) -> DataFrame:
@@ -147,12 +176,14 @@ def report(docs: DataFrame, recipe: Recipe = RECIPE) -> DataFrame:
 
 
 def sql(recipe: Recipe = RECIPE) -> str:
+    closed = " OR ".join(f"({_case(x, recipe)}) = 0" for x in LEVELS)
+
     def level(k: int) -> str:
         names = LEVELS[: k + 1]
         cols, up = ", ".join(names), ", ".join(LEVELS[:k])
         part = f"PARTITION BY {up}" if up else ""
         budget = "least(CAST(total * PCT // 100 AS BIGINT), sum(cap) OVER ())".replace("PCT", str(recipe.budget_percent)) if not k else "from_above"
-        source = f"(SELECT {cols}, CAST(sum(tokens) * {recipe.max_epochs} AS BIGINT) AS cap, CAST(sum(tokens) AS BIGINT) AS tokens FROM leaves GROUP BY ALL)"
+        source = f"(SELECT {cols}, CAST(sum(CASE WHEN {closed} THEN 0 ELSE tokens END) * {recipe.max_epochs} AS BIGINT) AS cap, CAST(sum(tokens) AS BIGINT) AS tokens FROM leaves GROUP BY ALL)"
         if k:
             on = " AND ".join(f"c.{x} IS NOT DISTINCT FROM u.{x}" for x in LEVELS[:k])
             source = f"(SELECT c.*, u.give AS from_above FROM {source} c JOIN g{k - 1} u ON {on})"

@@ -18,7 +18,8 @@ Copies collapse to one fingerprint before anything is compared; components are f
 fingerprints by alternating large and small stars, each round cut into the shared folder.
 
 Edge cases: repeated rows each get their row; an empty table gives an empty result; a null doc_id keeps
-its row and never names a component unless all ids of it are null.
+its row and never names a component unless all ids of it are null; different texts under one doc_id are rows of their own,
+in the components of their texts; extra columns of any name stay as they are.
 """
 
 from __future__ import annotations
@@ -154,15 +155,16 @@ def components(edges: DataFrame, max_rounds: int = 100) -> DataFrame:
     raise RuntimeError(f"components did not settle in {max_rounds} rounds")
 
 
-def near_duplicates(docs: DataFrame, shingle: int = SHINGLE, max_bits: int = MAX_BITS, hot: int = HOT) -> DataFrame:
-    """doc_id, fp and component_id (the smallest doc_id reachable over links) for each row of ``docs``."""
-    marked = cut(fingerprints(docs, ("doc_id",), shingle))
+def near_duplicates(docs: DataFrame, shingle: int = SHINGLE, max_bits: int = MAX_BITS, hot: int = HOT, extra: tuple[str, ...] = ()) -> DataFrame:
+    """doc_id, ``extra`` columns, fp, root (the smallest fingerprint of the component) and component_id (the smallest doc_id
+    reachable over links) for each row of ``docs``."""
+    marked = cut(fingerprints(docs, ("doc_id", *extra), shingle))
     distinct = cut(marked.groupBy("fp").agg(F.min("doc_id").alias("first_id")))
     roots = components(links(distinct, max_bits, hot))
     named = distinct.join(roots, distinct["fp"] == roots["node"], "left").select("fp", "first_id", F.coalesce("root", "fp").alias("root"))
     smallest = named.groupBy("root").agg(F.min("first_id").alias("component_id"))
-    ids = named.join(smallest, "root").select(F.col("fp").alias("fp_"), "component_id")
-    return marked.join(ids, marked["fp"] == ids["fp_"]).select("doc_id", "fp", "component_id")
+    ids = named.join(smallest, "root").select(F.col("fp").alias("fp_"), "root", "component_id")
+    return marked.join(ids, marked["fp"] == ids["fp_"]).select("doc_id", *extra, "fp", "root", "component_id")
 
 
 def report(docs: DataFrame) -> DataFrame:
@@ -171,9 +173,17 @@ def report(docs: DataFrame) -> DataFrame:
 
 
 def keep_first(docs: DataFrame) -> DataFrame:
-    """One row of each component: that with the smallest doc_id (of rows with one doc_id, one).  Rows
-    without a doc_id can't stand for others and all stay."""
-    found = near_duplicates(docs.select("doc_id", "text"))
-    kept = found.where(F.col("doc_id") == F.col("component_id")).select("doc_id")
-    rows = docs.join(kept, "doc_id", "left_semi").dropDuplicates(["doc_id"])
-    return rows.select(docs.columns).union(docs.where(F.col("doc_id").isNull()))
+    """One row of each component: that with the smallest doc_id, of texts under one doc_id that with the smallest hash, and
+    of rows that share both that whose other columns (maps and variants aside) have the smallest hash.  Rows without a
+    doc_id can't stand for others and all stay."""
+    keyed = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.col("doc_id").alias("doc_id"), F.xxhash64("text").alias("h"))
+    found = near_duplicates(docs.select("doc_id", F.xxhash64("text").alias("h"), "text"), extra=("h",))
+    kept = found.where("doc_id is not null").groupBy("root").agg(F.min(F.struct("doc_id", "h")).alias("k")).select("k.doc_id", "k.h")
+    plain = [F.col("row")[f.name] for f in docs.schema.fields if not _hides_map(f.dataType)]
+    rows = keyed.join(kept, ["doc_id", "h"], "left_semi").groupBy("doc_id", "h").agg(F.min_by("row", F.xxhash64(*plain)).alias("row"))
+    every = rows.select("row").union(keyed.where("doc_id is null").select("row"))
+    return every.select(*[F.col("row")[c].alias(c) for c in docs.columns])
+
+
+def _hides_map(kind: T.DataType) -> bool:
+    return any(x in kind.simpleString() for x in ("map<", "variant"))

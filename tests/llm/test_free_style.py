@@ -141,6 +141,14 @@ def test_simhash_odd_rows(odd, none):
     assert got.count(None) == 1 and len(set(got)) == len(got)
 
 
+def test_texts_under_one_id_are_told_apart(spark):
+    a, b = "one two three four five six", "completely other words stand right here now"
+    data = [(3, a, {"k": 1}, 7), (5, a, {"k": 2}, 8), (5, b, {"k": 3}, 9), (5, b, {"k": 3}, 2), (None, a, None, 1)]
+    df = spark.createDataFrame(data, "doc_id long, text string, `row` map<string,int>, h int")
+    seen = [sorted(((r.doc_id, r.text, r.h) for r in simhash.keep_first(df.repartition(n)).collect()), key=repr) for n in (1, 3)]
+    assert seen[0] == seen[1] and [x[:2] for x in seen[0]] == [(3, a), (5, b), (None, a)]
+
+
 def closure(edges):
     group = {}
     for a, b in edges:

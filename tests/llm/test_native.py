@@ -93,6 +93,7 @@ def test_chat_snapshots_collapse(spark):
         data += [(c, t, "user" if t % 2 else "assistant", f"text {seed} {t}") for t in range(n)]
     data += [(100, t * 300, "user", f"t{t}") for t in range(200)] + [(101, t * 300, "user", f"t{t}") for t in range(150)]
     data += [(200, None, None, None), (200, 1, "user", ""), (201, 1, None, "x"), (None, 1, "user", "lost"), (202, 1, "user", "dup"), (202, 1, "user", "dup")]
+    data += [(300, None, "user", f"no number {t % 170}") for t in range(400)] + [(301, 7, None, f"{'same begin ' * 20}{t}") for t in range(90)]
     df = spark.createDataFrame(data, TURN).repartition(5)
     found = chat_format.render(df)
     got = rows(found)
@@ -143,6 +144,39 @@ def test_shortages_go_to_siblings_before_ancestors(spark):
     assert abs(top["a"] - 900) < 1e-3 and abs(top["c"] - 10) < 1e-3
 
 
+def test_nothing_is_kept_for_nodes_of_weight_zero(spark):
+    leaves = spark.createDataFrame([("a", "en", "s1", 100), ("a", "xx", "s2", 900), ("b", "en", "s3", 5000)], "domain string, lang string, source string, tokens long")
+    got = {r.source: r.give for r in mixture.leaf_budgets(leaves, mixture.Recipe({"lang": {"xx": 0}}, max_epochs=1), 2000).collect()}
+    assert got == {"s1": 100, "s3": 1900}
+
+
+@pytest.mark.parametrize(("few", "n"), [(1, 700), (3, 2000), (512, 5000)])
+def test_prefix_ends_equal_brute_force(spark, monkeypatch, few, n):
+    monkeypatch.setattr(mixture, "FEW", few)
+    rng = random.Random(n)
+    data = [(rng.choice(["a", None, "c"]), hashlib.md5(str(k).encode()).hexdigest(), rng.randrange(0, 50)) for k in range(n)]
+    more = {leaf: rng.randrange(1, sum(t for x, _, t in data if x == leaf)) for leaf in ("a", "c")} | {None: 0}
+    df = spark.createDataFrame([(a, more[a], lot, t) for a, lot, t in data], "mix_a string, more long, lot string, tokens long")
+    ends = {r.mix_a: r.upto for r in mixture.prefix_ends(df, ["mix_a"]).collect()}
+    for leaf, limit in more.items():
+        run, want = 0, set()
+        for lot, t in sorted((lot, t) for a, lot, t in data if a == leaf):
+            run += t
+            if run <= limit:
+                want.add(lot)
+        assert {lot for a, lot, _ in data if a == leaf and lot <= ends[leaf]} == want
+
+
+def test_mixture_keeps_columns_with_its_own_names(spark, odd):
+    clash = ["domain", "tokens", "copies", "full", "upto", "give", "leaf_tokens", "mix_lang", "row", "id", "a.b"]
+    more = odd.select("*", *[F.lit(k).alias(c) for k, c in enumerate(clash)])
+    found = mixture.select(more)
+    assert found.columns == [*more.columns, "domain_", "tokens_", "copies_"]
+    plain = {(r.doc_id, r.copies) for r in mixture.select(odd).collect()}
+    assert {(r.doc_id, r.copies_) for r in found.collect()} == plain
+    assert all([r[k] for k in range(len(odd.columns), len(more.columns))] == list(range(len(clash))) for r in found.collect())
+
+
 def test_shares_equal_brute_force(spark):
     rng = random.Random(5)
     data = [(f"d{rng.randrange(4)}", f"l{rng.randrange(3)}", f"s{k}", rng.randrange(0, 4000)) for k in range(40)]
