@@ -8,9 +8,13 @@ Two digests are compared by a difference score: bucket codes differ by 0 to 3 (a
 and length codes by their distance, beyond one step times 12.  The score is bounded by ``MAX_DIFFERENCE``; the
 likeness is 1 - score / bound.
 
+Next documents: rows are sorted over ranges, so many that each holds about ``RANGE_BYTES``; a task sees its rows in order, and its
+first and last row are written with the results into the shared folder, where each last row meets the first of the next range.
+
 Edge cases: null is the empty text; texts under five bytes have no triplets and the all-zero bucket code;
 equal texts have equal digests; the next document of the last one is the first, of an only one itself;
-rows are ordered by doc_id (null first), then text; an empty table gives an empty result.
+rows are ordered by doc_id (null first) of any type that sorts, then a hash of the text, then text; an empty table gives an empty
+result; extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -31,6 +35,7 @@ BUCKETS = 128
 SPAN = 5
 MAX_DIFFERENCE = 300
 LENGTH_STEP = 12
+RANGE_BYTES = 64_000_000
 
 #: Offsets back from the newest byte, two for each of the six triplets.
 _PAIRS = list(itertools.combinations(range(1, SPAN), 2))
@@ -117,83 +122,80 @@ def edited(text: str, following: str) -> str:
     return text[: len(text) - half] + following[:half]
 
 
-def with_next(docs: DataFrame, slices: int | None = None) -> DataFrame:
-    """doc_id, text, slice, guest: rows dealt by ranges of doc_id, each range closed by a *guest* copy of
-    the row that follows its last one (the first row of all, after the last range).
-
-    One shuffle of the texts; ranges are found from the ids alone, and only ids of range borders reach the driver.
-    """
-    base = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text"))
-    n = slices or max(1, int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")))
-    borders = docs.select("doc_id").where("doc_id is not null").agg(F.percentile_approx("doc_id", [k / n for k in range(1, n)] or [1.0], 20 * n + 1000)).first()[0] or []
-    borders = sorted(set(borders))
-    row_slice = F.lit(0)
-    if borders:
-        # The number of borders that do not exceed the id.
-        row_slice = F.coalesce(F.size(F.filter(F.array(*[F.lit(x) for x in borders]), lambda x: x <= F.col("doc_id"))), F.lit(0))
-    ids = docs.select("doc_id").withColumn("slice", row_slice)
-    first = sorted(ids.groupBy("slice").agg(F.min("doc_id").alias("lo"), F.max(F.col("doc_id").isNull()).alias("nulls")).collect())
-    if not first:
-        return base.withColumn("slice", F.lit(0)).withColumn("guest", F.lit(False))
-    # Where a slice holds null ids, its first row is one of those.
-    at = [(r["slice"], None if r["nulls"] else r["lo"]) for r in first]
-    visits = [(at[k - 1][0], lo) for k, (_, lo) in enumerate(at)]
-    named = F.array(*[F.struct(F.lit(s).alias("slice"), F.lit(lo).cast(docs.schema["doc_id"].dataType).alias("lo")) for s, lo in visits])
-    guests = F.transform(F.filter(named, lambda v: v["lo"].eqNullSafe(F.col("doc_id"))), lambda v: F.struct(v["slice"].alias("slice"), F.lit(True).alias("guest")))
-    places = F.concat(F.array(F.struct(row_slice.alias("slice"), F.lit(False).alias("guest"))), guests)
-    dealt = base.select("doc_id", "text", F.explode(places).alias("p")).select("doc_id", "text", "p.slice", "p.guest")
-    return dealt.repartition(n, "slice").sortWithinPartitions("slice", "guest", F.asc_nulls_first("doc_id"), "text")
-
-
-def report(docs: DataFrame, slices: int | None = None) -> DataFrame:
+def ordered(docs: DataFrame, ranges: int | None = None) -> DataFrame:
+    """doc_id, text: sorted over ranges."""
+    base = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).withColumn("h", F.xxhash64("text"))
+    n = ranges or 1 + (docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0) // RANGE_BYTES
+    n = max(n, int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))) if ranges is None else n
+    # Ranges are drawn from a sample of short keys; chance parts only rows that are the same.
+    dealt = base.withColumn("chance", F.rand(3)).repartitionByRange(n, F.asc_nulls_first("doc_id"), "h", "chance")
+    return dealt.sortWithinPartitions(F.asc_nulls_first("doc_id"), "h", "text").select("doc_id", "text")
+
+
+NAMES = ["doc_id", "n_chars", "edited_sha256", "fingerprint", "edited_fingerprint", "near_edited", "near_next"]
+
+
+def judged(rows: list[tuple], id_type: pa.DataType) -> list[pa.Array]:
+    """The columns ``NAMES`` for rows (doc_id, text) in order; the last one only follows."""
+    texts = [t for _, t in rows]
+    raw = [t.encode() for t in texts]
+    changed = [edited(t, u).encode() for t, u in itertools.pairwise(texts)]
+    own, other = _of_texts(raw), _of_texts(changed)
+    return [
+        pa.array([i for i, _ in rows[:-1]], id_type),
+        pa.array([len(t) for t in texts[:-1]], pa.int64()),
+        pa.array([hashlib.sha256(x).hexdigest() for x in changed], pa.string()),
+        pa.array(packed(own[:-1]), pa.string()),
+        pa.array(packed(other), pa.string()),
+        pa.array(likeness(own[:-1], other)),
+        pa.array(likeness(own[:-1], own[1:])),
+    ]
+
+
+def report(docs: DataFrame, ranges: int | None = None) -> DataFrame:
     """doc_id, n_chars, edited_sha256, fingerprint, edited_fingerprint, near_edited, near_next."""
-    schema = T.StructType(
-        [
-            docs.schema["doc_id"],
-            T.StructField("n_chars", T.LongType()),
-            T.StructField("edited_sha256", T.StringType()),
-            T.StructField("fingerprint", T.StringType()),
-            T.StructField("edited_fingerprint", T.StringType()),
-            T.StructField("near_edited", T.DoubleType()),
-            T.StructField("near_next", T.DoubleType()),
-        ]
-    )
-    names = [f.name for f in schema.fields]
-
-    def judged(rows, id_type):
-        """rows: (doc_id, text) in order; the last one only follows."""
-        texts = [t for _, t in rows]
-        raw = [t.encode() for t in texts]
-        changed = [edited(t, u).encode() for t, u in itertools.pairwise(texts)]
-        own, other = _of_texts(raw), _of_texts(changed)
-        return pa.RecordBatch.from_arrays(
-            [
-                pa.array([i for i, _ in rows[:-1]], id_type),
-                pa.array([len(t) for t in texts[:-1]], pa.int64()),
-                pa.array([hashlib.sha256(x).hexdigest() for x in changed], pa.string()),
-                pa.array(packed(own[:-1]), pa.string()),
-                pa.array(packed(other), pa.string()),
-                pa.array(likeness(own[:-1], other)),
-                pa.array(likeness(own[:-1], own[1:])),
-            ],
-            names,
-        )
+    kinds = [T.LongType(), T.StringType(), T.StringType(), T.StringType(), T.DoubleType(), T.DoubleType()]
+    schema = T.StructType([docs.schema["doc_id"], *(T.StructField(n, k) for n, k in zip(NAMES[1:], kinds, strict=True))])
+    edges = T.StructType([*schema.fields, T.StructField("edge", T.StringType()), T.StructField("place", T.IntegerType()), T.StructField("text", T.StringType())])
 
     def run(batches):
-        held, held_bytes, at, id_type, closed = [], 0, None, None, False
+        import pyspark
+
+        place, first, held, held_bytes, id_type = pyspark.TaskContext.get().partitionId(), None, [], 0, None
+
+        def out(rows):
+            found = judged(rows, id_type)
+            n = len(found[0])
+            return pa.RecordBatch.from_arrays([*found, pa.nulls(n, pa.string()), pa.nulls(n, pa.int32()), pa.nulls(n, pa.string())], edges.fieldNames())
+
+        for batch in batches:
+            id_type = batch.schema.field("doc_id").type
+            for row in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                first = first or row
+                held.append(row)
+                held_bytes += len(row[1])
+                if len(held) > 1 and held_bytes > 1_000_000:
+                    yield out(held)
+                    held, held_bytes = held[-1:], len(row[1])
+        if len(held) > 1:
+            yield out(held)
+        if held:
+            rest = [pa.nulls(2, t) for t in (pa.int64(), pa.string(), pa.string(), pa.string(), pa.float64(), pa.float64())]
+            ends = [first, held[-1]]
+            named = [pa.array(["first", "last"]), pa.array([place] * 2, pa.int32()), pa.array([t for _, t in ends], pa.string())]
+            yield pa.RecordBatch.from_arrays([pa.array([i for i, _ in ends], id_type), *rest, *named], edges.fieldNames())
+
+    def close(batches):
         for batch in batches:
             id_type = batch.schema.field("doc_id").type
-            for doc_id, text, where, guest in zip(*(batch.column(k).to_pylist() for k in range(4)), strict=True):
-                if where != at:
-                    held, held_bytes, at, closed = [], 0, where, False
-                if closed:
-                    continue  # only the first guest follows
-                held.append((doc_id, text))
-                held_bytes += len(text)
-                closed = guest
-                if len(held) > 1 and (guest or held_bytes > 1_000_000):
-                    yield judged(held, id_type)
-                    held = held[-1:]
-                    held_bytes = len(text)
-
-    return with_next(docs, slices).mapInArrow(run, schema)
+            for i, t, u in zip(*(batch.column(k).to_pylist() for k in range(3)), strict=True):
+                yield pa.RecordBatch.from_arrays(judged([(i, t), (None, u)], id_type), NAMES)
+
+    found = cut(ordered(docs, ranges).mapInArrow(run, edges))
+    # Ranges with rows, a number each; the numbers alone say which follows which.
+    places = sorted(r[0] for r in found.where("edge = 'first'").select("place").collect())
+    follows = docs.sparkSession.createDataFrame(list(zip(places, [*places[1:], *places[:1]], strict=True)), "at int, following int")
+    last = found.where("edge = 'last'").select("doc_id", "text", "place").join(follows, F.col("place") == F.col("at"))
+    first = found.where("edge = 'first'").select(F.col("text").alias("next_text"), F.col("place").alias("next_place"))
+    met = last.join(first, F.col("following") == F.col("next_place")).select("doc_id", "text", "next_text")
+    return found.where("edge is null").select(NAMES).union(met.mapInArrow(close, schema))
