@@ -7,21 +7,23 @@ shards are cut by content instead:
 1. In every 200-byte window the 32-byte gram with the smallest hash is its *anchor*.  Equal windows have equal
    anchors at equal places.  Anchors, about one in 85 bytes, are kept with a hash of their *region*, the bytes of all
    windows around them.
-2. Only anchors that occur twice can lie in a repeated window; one exchange of all anchors finds them.  A region that
-   occurs twice is repeated as a whole.
-3. Of anchors with several different regions, one copy of each region goes to the shard that owns the anchor.
-   Regions no stretch of which occurs twice in the shard are set aside; of the others a shard sorts the suffixes by Larsson and Sadakane's refinement (ranks of prefixes double in length, only groups
-   that are still tied are sorted again) and takes common prefixes by Kasai's method, all regions in step.
-   Neighbours that share 200 bytes from different places are repeats.
-4. An anchor with more region bytes than a shard holds is sorted in parts; each part's sorted window keys are merged
-   into the others' by binary search, and what meets is compared byte by byte.
+2. Only anchors that occur twice can lie in a repeated window; one exchange of all anchors finds them.
+3. Of each distinct region of such an anchor one copy, with the number of copies, goes to the shard that owns the anchor.
+   Regions that occur once and no stretch of which occurs twice in the shard are set aside; of all others a shard sorts
+   the suffixes by Larsson and Sadakane's refinement (ranks of prefixes double in length, only groups that are still tied are
+   sorted again) and takes common prefixes by Kasai's method, all regions in step.  Neighbours that share 200 bytes
+   from different places, or from a region of several copies, are repeats.
+4. The regions of an anchor that outgrow a shard are dealt by their hash into several.  Each shard's different window keys,
+   sorted, meet those of the others over ranges of keys, where they are merged by binary search; keys that two
+   shards hold return to them.
 5. Verdicts return to all occurrences of their region, and per document to its bytes.
 
-Hashes only choose and group candidates (64 bits of anchor and 64 of region together name a region).
+Hashes only choose and group candidates: a document compares a 128-bit BLAKE2b digest of the region that was judged with that of its
+own bytes before any go, and window keys that shards merge are such digests.
 
 Edge cases: null is the empty text; texts under 200 bytes keep everything; repeated rows repeat each other
 and lose all 200-byte strings; a document can repeat itself; runs of one character repeat themselves from 201
-bytes on; an empty table gives an empty result.
+bytes on; an empty table gives an empty result; extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -41,6 +43,10 @@ from .common import BASE_B, Spans, mix, text_blocks
 WINDOW = 200
 GRAM = 32
 SHARD_BYTES = 1_500_000
+#: What a region holds on average, to know how many make a shard.
+REGION_BYTES = 300
+KEYS_IN_RANGE = 1_000_000
+MAX_BROADCAST_ROWS = 100_000
 BLOCK = 500_000
 
 _DOC_ID, _PLACE = np.uint64(0x8CB92BA72F3D8DD7), np.uint64(0xA0761D6478BD642F)
@@ -171,8 +177,12 @@ def packed_texts(docs: DataFrame) -> DataFrame:
 # --- suffix arrays of one shard
 
 
-def suffix_array(data: np.ndarray, depth: int | None = None) -> np.ndarray:
-    """Starts of all suffixes of ``data`` (small integers), in full order or by at least ``depth`` first values."""
+def suffix_array(data: np.ndarray, depth: int | None = None, left: np.ndarray | None = None) -> np.ndarray:
+    """Starts of all suffixes of ``data`` (small integers), in full order or by at least ``depth`` first values.
+
+    left: how many values stand before the end of each suffix's region, whose last value is a separator; separators differ
+    from each other, in the order of their places, so suffixes that reach theirs are sorted.
+    """
     n = len(data)
     depth = depth or n
     # As many first values as fit one word, in as few bits as the alphabet takes.
@@ -185,10 +195,12 @@ def suffix_array(data: np.ndarray, depth: int | None = None) -> np.ndarray:
     wide[:n] = code[data]
     key = np.zeros(n, np.uint64)
     for k in range(h):
-        key = key << np.uint64(bits) | wide[k : k + n]
+        key = key << np.uint64(bits) | (wide[k : k + n] if left is None else np.where(left >= k, wide[k : k + n], 0))
     order = np.argsort(key, kind="stable")
     ranked = key[order]
     new = np.concatenate([[True], ranked[1:] != ranked[:-1]])
+    if left is not None:
+        new |= left[order] < h
     begin = np.flatnonzero(new)
     rank = np.empty(n + 1, np.int64)
     del key, ranked, wide
@@ -212,61 +224,66 @@ def suffix_array(data: np.ndarray, depth: int | None = None) -> np.ndarray:
     return order
 
 
-def common_prefixes(data: np.ndarray, order: np.ndarray, starts: np.ndarray, sizes: np.ndarray, cap: int) -> np.ndarray:
-    """lcp[k]: common prefix, up to ``cap``, of the suffixes at order[k-1] and order[k], for suffixes inside the
-    given regions.  Kasai's method, all regions in step: a prefix shrinks by at most one from one suffix to the next."""
-    n = len(data)
+def common_prefixes(raw: np.ndarray, order: np.ndarray, left: np.ndarray, starts: np.ndarray, wanted: np.ndarray, cap: int) -> np.ndarray:
+    """lcp[k]: common prefix, up to ``cap``, of the suffixes at order[k-1] and order[k], for the ``wanted`` first suffixes of each
+    region; prefixes end with their region.  Kasai's method, all regions in step: a prefix shrinks by at most one from one suffix
+    to the next; it grows by eight bytes at a time."""
+    n = len(raw)
     place = np.empty(n, np.int64)
     place[order] = np.arange(n)
     before = np.full(n, -1, np.int64)
     before[order[1:]] = order[:-1]
-    padded = np.append(data, data.dtype.type(-1))
+    word = np.ndarray((n,), "<u8", np.concatenate([raw, np.zeros(8, np.uint8)]), strides=(1,)).copy()
     lcp = np.zeros(n, np.int64)
+    longest = np.argsort(-wanted, kind="stable")
+    starts, wanted = starts[longest], wanted[longest]
     length = np.zeros(len(starts), np.int64)
-    for t in range(int(sizes.max(initial=0))):
-        live = np.flatnonzero(sizes > t)
-        i = starts[live] + t
+    for t in range(int(wanted.max(initial=0))):
+        live = int(np.searchsorted(-wanted, -t, side="left"))  # those with more than t
+        i = starts[:live] + t
         j = before[i]
-        m = np.where(j >= 0, np.maximum(length[live] - 1, 0), 0)
-        grow = np.flatnonzero((j >= 0) & (m < cap))
+        most = np.where(j >= 0, np.minimum(np.minimum(left[i], left[j]), cap), 0)
+        m = np.minimum(np.maximum(length[:live] - 1, 0), most)
+        grow = np.flatnonzero(m < most)
         while len(grow):
-            a, b = i[grow] + m[grow], j[grow] + m[grow]
-            same = (a < n) & (b < n)
-            same &= padded[np.minimum(a, n)] == padded[np.minimum(b, n)]
-            grow = grow[same]
-            m[grow] += 1
-            grow = grow[m[grow] < cap]
-        length[live] = m
+            differ = word[i[grow] + m[grow]] ^ word[j[grow] + m[grow]]
+            lowest = differ & (~differ + np.uint64(1))  # the lowest bit that differs, a power of two
+            run = np.where(differ == 0, 8, np.log2(np.maximum(lowest, 1).astype(np.float64)).astype(np.int64) >> 3)
+            m[grow] = np.minimum(m[grow] + run, most[grow])
+            grow = grow[(run == 8) & (m[grow] < most[grow])]
+        length[:live] = m
         lcp[place[i]] = m
     return lcp
 
 
-def repeats(texts: list[bytes], places: np.ndarray, window: int = WINDOW) -> list[np.ndarray]:
+def repeats(texts: list[bytes], places: np.ndarray, several: np.ndarray | None = None, window: int = WINDOW) -> list[np.ndarray]:
     """For each region: which of its windows occur at another place.  places: a 64-bit name for each region's first
-    byte such that equal bytes of one document have equal names in all regions (name + offset)."""
+    byte such that equal bytes of one document have equal names in all regions (name + offset).  several: regions that stand for
+    more than one copy."""
     sizes = np.array([len(t) for t in texts], np.int64)
     starts = np.cumsum(sizes + 1) - sizes - 1
-    data = np.full(int((sizes + 1).sum()), 256, np.int16)
-    inside = np.ones(len(data), bool)
-    inside[starts + sizes] = False
-    data[inside] = np.frombuffer(b"".join(texts), np.uint8)
-    # Kasai's method needs the full order: ties would break the bound from one suffix to the next.
-    order = suffix_array(data)
-    lcp = common_prefixes(data, order, starts, sizes, window)
+    n = int((sizes + 1).sum())
     region = np.repeat(np.arange(len(texts)), sizes + 1)
-    offset = np.arange(len(data)) - starts[region]
-    whole = offset <= sizes[region] - window
-    name = places[region] + offset.astype(np.uint64)
+    offset = np.arange(n) - starts[region]
+    left = sizes[region] - offset
+    raw = np.zeros(n, np.uint8)
+    raw[left > 0] = np.frombuffer(b"".join(texts), np.uint8)
+    data = raw.astype(np.int16)
+    data[left == 0] = 256
+    # Kasai's method needs the full order: ties would break the bound from one suffix to the next.
+    order = suffix_array(data, None, left)
+    lcp = common_prefixes(raw, order, left, starts, np.maximum(0, sizes - window + 1), window)
     # Runs of suffixes that share a window's length; a run from one place only is no repeat.
-    new = lcp < window
-    run_begin = np.flatnonzero(new)
-    names = name[order]
+    run_begin = np.flatnonzero(lcp < window)
+    names = (places[region] + offset.astype(np.uint64))[order]
     low, high = np.minimum.reduceat(names, run_begin), np.maximum.reduceat(names, run_begin)
-    again = np.repeat(low != high, np.diff(np.append(run_begin, len(order))))
-    found = np.zeros(len(data), bool)
-    found[order] = again
-    found &= whole
-    return [found[a : a + max(0, n - window + 1)] for a, n in zip(starts.tolist(), sizes.tolist(), strict=True)]
+    again = low != high
+    if several is not None:
+        again |= np.logical_or.reduceat(several[region[order]], run_begin)
+    found = np.zeros(n, bool)
+    found[order] = np.repeat(again, np.diff(np.append(run_begin, n)))
+    found &= left >= window
+    return [found[a : a + max(0, m - window + 1)] for a, m in zip(starts.tolist(), sizes.tolist(), strict=True)]
 
 
 def promising(texts: list[bytes], before: np.ndarray, window: int = WINDOW, gram: int = GRAM, cases: int = 8) -> np.ndarray:
@@ -290,38 +307,39 @@ def promising(texts: list[bytes], before: np.ndarray, window: int = WINDOW, gram
     return out
 
 
-class Merged:
-    """Window keys of the parts of one anchor's regions, sorted, with where each window stands."""
-
-    def __init__(self, window: int = WINDOW):
-        self.window, self.texts, self.places, self.found = window, [], [], []
-        self.keys, self.at = np.zeros(0, np.uint64), np.zeros((2, 0), np.int64)
-
-    def add(self, texts: list[bytes], places: np.ndarray) -> None:
-        first = len(self.texts)
-        self.texts += texts
-        self.places += places.tolist()
-        self.found += [f.copy() for f in repeats(texts, places, self.window)]
-        keys, at = [], []
-        for k, t in enumerate(texts):
-            n = max(0, len(t) - self.window + 1)
-            x = np.arange(n)
-            keys.append(Spans(np.frombuffer(t, np.uint8)).hash(x, x + self.window))
-            at.append(np.stack([np.full(n, first + k), x]))
-        keys, at = np.concatenate(keys), np.concatenate(at, axis=1)
-        if len(self.keys):
-            place = np.minimum(np.searchsorted(self.keys, keys), len(self.keys) - 1)
-            for k in np.flatnonzero(self.keys[place] == keys).tolist():
-                j = int(place[k])
-                while j < len(self.keys) and self.keys[j] == keys[k]:
-                    (r, x), (s, y) = at[:, k].tolist(), self.at[:, j].tolist()
-                    same = self.texts[r][x : x + self.window] == self.texts[s][y : y + self.window]
-                    if same and (self.places[r] + x) % 2**64 != (self.places[s] + y) % 2**64:
-                        self.found[r][x] = self.found[s][y] = True
-                    j += 1
-        keys, at = np.concatenate([self.keys, keys]), np.concatenate([self.at, at], axis=1)
-        order = np.argsort(keys, kind="stable")
-        self.keys, self.at = keys[order], at[:, order]
+def digest(data: bytes) -> bytes:
+    return hashlib.blake2b(data, digest_size=16).digest()
+
+
+def window_keys(texts: list[bytes], window: int = WINDOW) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(keys, region, offset) of all windows; a key is a digest as two words (most significant first, in order)."""
+    cells = [(digest(t[x : x + window]), k, x) for k, t in enumerate(texts) for x in range(len(t) - window + 1)]
+    raw = np.frombuffer(b"".join(c[0] for c in cells), ">u8").astype(np.uint64).reshape(-1, 2)
+    return raw, np.array([c[1] for c in cells], np.int64), np.array([c[2] for c in cells], np.int64)
+
+
+def packed_keys(keys: np.ndarray) -> np.ndarray:
+    """Keys as one sortable value each."""
+    return np.ascontiguousarray(keys.astype(">u8")).view("S16").ravel()
+
+
+def met_by_search(runs: list[tuple[np.ndarray, np.ndarray, np.ndarray]]) -> list[np.ndarray]:
+    """For each run (sorted different keys, lowest and highest place of each key): which of its keys stand at another
+    place too, in any run.  Runs are merged one by one into what was merged before, by binary search."""
+    merged, low, high = np.zeros(0, "S16"), np.zeros(0, np.uint64), np.zeros(0, np.uint64)
+    for keys, a, b in runs:
+        at = np.searchsorted(merged, keys)
+        same = np.zeros(len(keys), bool)
+        inside = at < len(merged)
+        same[inside] = merged[at[inside]] == keys[inside]
+        low[at[same]], high[at[same]] = np.minimum(low[at[same]], a[same]), np.maximum(high[at[same]], b[same])
+        rest = ~same
+        merged, low, high = (np.insert(x, at[rest], y[rest]) for x, y in ((merged, keys), (low, a), (high, b)))
+    out = []
+    for keys, _, _ in runs:
+        at = np.searchsorted(merged, keys)
+        out.append(low[at] != high[at])
+    return out
 
 
 def spans_of(found: np.ndarray, window: int = WINDOW) -> list[tuple[int, int]]:
@@ -337,66 +355,123 @@ def spans_of(found: np.ndarray, window: int = WINDOW) -> list[tuple[int, int]]:
 SPANS = "array<struct<a:int,b:int>>"
 
 
+REGION = "ha long, part int, hr long, place long, n long, region binary, before long"
+
+
 def judge_regions(regions: DataFrame, shard_bytes: int = SHARD_BYTES) -> DataFrame:
-    """ha, hr, spans: covered ranges of regions (those left out have none); ``regions``: ha, hr, place, region, before,
-    dealt and sorted by ha."""
+    """ha, hr, sum (digest), spans: covered ranges of regions (those without are left out).  ``regions`` (see REGION) and, with no region
+    but in ``keys``, what other shards of the anchor hold too; dealt and sorted by ha, part, and keys first."""
     kind = pa.list_(pa.struct([("a", pa.int32()), ("b", pa.int32())]))
 
-    def verdicts(names, found):
-        return pa.RecordBatch.from_arrays(
-            [pa.array([h for h, _ in names], pa.int64()), pa.array([r for _, r in names], pa.int64()), pa.array([[{"a": a, "b": b} for a, b in spans_of(f)] for f in found], kind)],
-            ["ha", "hr", "spans"],
-        )
+    def verdicts(shard, found):
+        rows = [(x[0], x[2], digest(x[5]), [{"a": a, "b": b} for a, b in spans]) for x, f in zip(shard, found, strict=True) if (spans := spans_of(f))]
+        if rows:
+            ha, hr, sums, spans = zip(*rows, strict=True)
+            yield pa.RecordBatch.from_arrays([pa.array(ha, pa.int64()), pa.array(hr, pa.int64()), pa.array(sums, pa.binary()), pa.array(spans, kind)], ["ha", "hr", "sum", "spans"])
+
+    def judged(shard, elsewhere=None):
+        several = np.array([x[4] > 1 for x in shard])
+        names = np.array([x[3] for x in shard], np.int64).view(np.uint64)
+        texts = [x[5] for x in shard]
+        if elsewhere is None:
+            likely = promising(texts, np.array([x[6] for x in shard], np.int64)) | several
+            some = np.flatnonzero(likely).tolist()
+            if some:
+                yield from verdicts([shard[k] for k in some], repeats([texts[k] for k in some], names[some], several[some]))
+            return
+        found = repeats(texts, names, several)
+        keys, of, x = window_keys(texts)
+        if len(keys):
+            for k in np.flatnonzero(np.isin(packed_keys(keys), elsewhere)).tolist():
+                found[of[k]][x[k]] = True
+        yield from verdicts(shard, found)
 
     def run(batches):
         shard, size = [], 0  # whole groups of anchors
-        group, group_size, merged, merged_names = [], 0, None, []
-
-        def shard_out():
-            if shard:
-                likely = promising([x[3] for x in shard], np.array([x[4] for x in shard], np.int64))
-                some = [x for x, good in zip(shard, likely.tolist(), strict=True) if good]
-                if some:
-                    yield verdicts([x[:2] for x in some], repeats([x[3] for x in some], np.array([x[2] for x in some], np.int64).view(np.uint64)))
-
-        def part():
-            nonlocal merged, merged_names
-            merged = merged or Merged()
-            merged.add([x[3] for x in group], np.array([x[2] for x in group], np.int64).view(np.uint64))
-            merged_names += [x[:2] for x in group]
+        group, group_size, keys, at = [], 0, [], None
 
         def close():
-            nonlocal shard, size, group, group_size, merged, merged_names
-            if merged:
-                part()
-                yield verdicts(merged_names, merged.found)
-                merged, merged_names = None, []
+            nonlocal shard, size, group, group_size, keys
+            if keys or (at is not None and at[1] is not None and at[1] >= 0):  # one of several shards of its anchor
+                if group:
+                    yield from judged(group, np.array(keys, "S16") if keys else np.zeros(0, "S16"))
             elif group:
-                if size + group_size > shard_bytes:
-                    yield from shard_out()
+                if shard and size + group_size > shard_bytes:
+                    yield from judged(shard)
                     shard, size = [], 0
                 shard, size = shard + group, size + group_size
-            group, group_size = [], 0
+            group, group_size, keys = [], 0, []
 
-        at = None
         for batch in batches:
-            for row in zip(*(batch.column(k).to_pylist() for k in range(5)), strict=True):
-                if row[0] != at:
+            for row in zip(*(batch.column(k).to_pylist() for k in range(8)), strict=True):
+                if row[:2] != at:
                     yield from close()
-                    at = row[0]
-                elif group_size > shard_bytes:
-                    part()
-                    group, group_size = [], 0
-                group.append(row)
-                group_size += len(row[3])
+                    at = row[:2]
+                if row[7] is not None:
+                    raw = row[7]
+                    keys += [raw[k : k + 16] for k in range(0, len(raw), 16)]
+                else:
+                    group.append(row)
+                    group_size += len(row[5])
         yield from close()
-        yield from shard_out()
-
-    return regions.select("ha", "hr", "place", "region", "before").mapInArrow(run, f"ha long, hr long, spans {SPANS}")
+        if shard:
+            yield from judged(shard)
+
+    return regions.select("ha", "part", "hr", "place", "n", "region", "before", "keys").mapInArrow(run, f"ha long, hr long, sum binary, spans {SPANS}")
+
+
+def shared_keys(regions: DataFrame) -> DataFrame:
+    """ha, part, keys (digests one after another): windows of the shards of an anchor that another of its shards holds too."""
+
+    def keyed(batches):
+        def out(group, at):
+            texts, names = [x[5] for x in group], np.array([x[3] for x in group], np.int64).view(np.uint64)
+            keys, of, x = window_keys(texts)
+            if not len(keys):
+                return
+            packed, places = packed_keys(keys), names[of] + x.astype(np.uint64)
+            order = np.lexsort((places, packed))
+            packed, places = packed[order], places[order]
+            begin = np.flatnonzero(np.concatenate([[True], packed[1:] != packed[:-1]]))
+            last = np.append(begin[1:], len(packed)) - 1
+            hi, lo = (keys[order][begin][:, k].view(np.int64) for k in (0, 1))
+            for a in range(0, len(begin), 50_000):
+                cells = [x[a : a + 50_000] for x in (hi, lo, places[begin].view(np.int64), places[last].view(np.int64))]
+                yield pa.RecordBatch.from_arrays([*(pa.array(c) for c in cells), *(pa.array(np.full(len(cells[0]), v), t) for v, t in zip(at, (pa.int64(), pa.int32()), strict=True))], ["k1", "k2", "low", "high", "ha", "part"])
+
+        group, at = [], None
+        for batch in batches:
+            for row in zip(*(batch.column(k).to_pylist() for k in range(7)), strict=True):
+                if row[:2] != at:
+                    yield from out(group, at)
+                    group, at = [], row[:2]
+                group.append(row)
+        yield from out(group, at)
+
+    def merged(batches):
+        """A range of keys, all runs in it, by anchor and part."""
+        rows = [np.concatenate(x) for x in zip(*[[batch.column(k).to_numpy() for k in range(6)] for batch in batches], strict=True)]
+        if not rows or not len(rows[0]):
+            return
+        k1, k2, low, high, ha, part = rows
+        packed = packed_keys(np.stack([k1.view(np.uint64), k2.view(np.uint64)], axis=1))
+        order = np.lexsort((packed, part, ha))
+        names = np.stack([ha, part], axis=1)[order]
+        begin = np.flatnonzero(np.concatenate([[True], (names[1:] != names[:-1]).any(axis=1)]))
+        cuts = [*begin.tolist(), len(order)]
+        runs = [(packed[o], low[o].view(np.uint64), high[o].view(np.uint64)) for o in (order[a:b] for a, b in zip(cuts[:-1], cuts[1:], strict=True))]
+        for a, (keys, _, _), good in zip(cuts[:-1], runs, met_by_search(runs), strict=True):
+            if good.any():
+                raw = np.ascontiguousarray(keys[good]).tobytes()
+                yield pa.RecordBatch.from_arrays([pa.array([names[a][0]]), pa.array([names[a][1]], pa.int32()), pa.array([raw], pa.binary())], ["ha", "part", "keys"])
+
+    rows = cut(regions.repartition("ha", "part").sortWithinPartitions("ha", "part").select("ha", "part", "hr", "place", "n", "region", "before").mapInArrow(keyed, "k1 long, k2 long, low long, high long, ha long, part int"))
+    ranges = 1 + rows.count() // KEYS_IN_RANGE
+    return rows.repartitionByRange(ranges, "k1").mapInArrow(merged, "ha long, part int, keys binary")
 
 
 def extract(wanted: DataFrame) -> DataFrame:
-    """ha, hr, place, region, before from rows of (rk, z, asked: array of (ha, hr, loc))."""
+    """ha, part, hr, place, n, region, before from rows of (rk, z, asked: array of (ha, part, hr, loc, n))."""
 
     def run(batches):
         open_ = zstandard.ZstdDecompressor()
@@ -407,45 +482,59 @@ def extract(wanted: DataFrame) -> DataFrame:
                 for x in asked:
                     place, before, size = x["loc"] >> 18, x["loc"] >> 9 & 511, x["loc"] & 511
                     a = place - before
-                    out.append((x["ha"], x["hr"], ((rk & (1 << 64) - 1) + a + (1 << 63)) % (1 << 64) - (1 << 63), text[a : a + size], before))
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array(c, t) for c, t in zip(zip(*out, strict=True), (pa.int64(), pa.int64(), pa.int64(), pa.binary(), pa.int64()), strict=True)], ["ha", "hr", "place", "region", "before"]
-                )
+                    out.append((x["ha"], x["part"], x["hr"], ((rk & (1 << 64) - 1) + a + (1 << 63)) % (1 << 64) - (1 << 63), x["n"], text[a : a + size], before))
+                kinds = (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.binary(), pa.int64())
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out, strict=True), kinds, strict=True)], ["ha", "part", "hr", "place", "n", "region", "before"])
 
-    return wanted.select("rk", "z", "asked").mapInArrow(run, "ha long, hr long, place long, region binary, before long")
+    return wanted.select("rk", "z", "asked").mapInArrow(run, REGION)
 
 
-def covered(docs: DataFrame) -> DataFrame:
-    """rk and cuts (array of byte ranges) of the documents that hold repeated strings."""
+def covered(docs: DataFrame, shard_bytes: int = SHARD_BYTES) -> DataFrame:
+    """rk and cuts (array of loc, sum, spans: a region of the document, the digest of the judged one, covered ranges in it) of the
+    documents that hold repeated strings."""
     again = cut(repeated_anchors(docs))
-    regions = again.groupBy("ha", "hr").agg(F.count("*").alias("n"), F.first("rk").alias("rk"), F.first("loc").alias("loc"))
-    regions = cut(regions)
-    several = regions.groupBy("ha").agg(F.count("*").alias("k")).where("k > 1").select("ha")
-    asked = regions.join(several, "ha", "left_semi").groupBy("rk").agg(F.collect_list(F.struct("ha", "hr", "loc")).alias("asked"))
+    regions = again.groupBy("ha", "hr").agg(F.count("*").alias("n"), F.min(F.struct("rk", "loc")).alias("at"))
+    regions = cut(regions.select("ha", "hr", "n", "at.rk", "at.loc"))
+    # Anchors with more regions than a shard holds go to several shards: part 0, 1, ..; all others are whole (part -1).
+    most = max(1, shard_bytes // REGION_BYTES)
+    large = cut(regions.groupBy("ha").agg(F.count("*").alias("k")).where(F.col("k") > most))
+    several = not large.isEmpty()
+    dealt = regions.withColumn("part", F.lit(-1))
+    if several:
+        side = large.select(F.col("ha").alias("h"), F.ceil(F.col("k") / most).cast("int").alias("parts"))
+        side = F.broadcast(side) if large.count() <= MAX_BROADCAST_ROWS else side
+        dealt = regions.join(side, F.col("ha") == F.col("h"), "left").withColumn("part", F.coalesce(F.pmod(F.xxhash64("hr"), F.col("parts")).cast("int"), F.lit(-1)))
+    asked = dealt.groupBy("rk").agg(F.collect_list(F.struct("ha", "part", "hr", "loc", "n")).alias("asked"))
     # Of repeated rows one copy of the text is enough.
     texts = packed_texts(docs).select(F.col("rk").alias("k"), "z")
     fetched = extract(asked.join(texts, F.col("rk") == F.col("k")).select("rk", "z", "asked"))
-    dealt = fetched.repartition("ha").sortWithinPartitions("ha", "hr", "place")
-    verdict = judge_regions(dealt).groupBy("ha", "hr").agg(F.first("spans").alias("spans"))
-    size = F.col("loc").bitwiseAND(F.lit(511)).cast("int")
-    whole = regions.where("n > 1").select("ha", "hr", F.array(F.struct(F.lit(0).alias("a"), size.alias("b"))).cast(SPANS).alias("spans"))
-    known = whole.union(verdict.join(whole, ["ha", "hr"], "left_anti").where(F.size("spans") > 0))
-    start = (F.shiftright("loc", 18) - F.shiftright("loc", 9).bitwiseAND(F.lit(511))).cast("long")
-    hits = again.join(known, ["ha", "hr"]).select("rk", start.alias("s"), F.explode("spans").alias("c")).select("rk", F.struct((F.col("s") + F.col("c.a")).alias("a"), (F.col("s") + F.col("c.b")).alias("b")).alias("c"))
+    rows = fetched.withColumn("keys", F.lit(None).cast("binary"))
+    if several:
+        fetched = cut(fetched)
+        more = shared_keys(fetched.where("part >= 0"))
+        nothing = [F.lit(None).cast(t).alias(c) for c, t in (("hr", "long"), ("place", "long"), ("n", "long"), ("region", "binary"), ("before", "long"))]
+        rows = fetched.withColumn("keys", F.lit(None).cast("binary")).unionByName(more.select("ha", "part", *nothing, "keys"))
+    dealt = rows.repartition("ha", "part").sortWithinPartitions("ha", "part", "hr", "place")
+    verdict = judge_regions(dealt, shard_bytes).groupBy("ha", "hr").agg(F.min(F.struct("sum", "spans")).alias("v")).select("ha", "hr", "v.sum", "v.spans")
+    hits = again.join(verdict, ["ha", "hr"]).select("rk", F.struct("loc", "sum", "spans").alias("c"))
     return hits.groupBy("rk").agg(F.collect_set("c").alias("cuts"))
 
 
-def keep_mask(n: int, cuts: list[dict] | None) -> np.ndarray:
-    change = np.zeros(n + 1, np.int64)
+def keep_mask(text: bytes, cuts: list[dict] | None) -> np.ndarray:
+    """What stays of a document; a region whose bytes are not those that were judged loses nothing."""
+    change = np.zeros(len(text) + 1, np.int64)
     for c in cuts or ():
-        change[c["a"]] += 1
-        change[c["b"]] -= 1
-    return np.cumsum(change[:n]) == 0
+        a = (c["loc"] >> 18) - (c["loc"] >> 9 & 511)
+        if digest(text[a : a + (c["loc"] & 511)]) == c["sum"]:
+            for x in c["spans"]:
+                change[a + x["a"]] += 1
+                change[a + x["b"]] -= 1
+    return np.cumsum(change[:-1]) == 0
 
 
-def with_kept(docs: DataFrame, each, schema) -> DataFrame:
+def with_kept(docs: DataFrame, each, schema, shard_bytes: int = SHARD_BYTES) -> DataFrame:
     """Rows (doc_id, text bytes, keep mask) of all documents through ``each``, a function of a list of them."""
-    found = covered(docs).withColumnRenamed("rk", "k")
+    found = covered(docs, shard_bytes).withColumnRenamed("rk", "k")
     rows = packed_texts(docs)
     met = rows.join(found, F.col("rk") == F.col("k"), "left").select("doc_id", "z", "cuts")
 
@@ -457,13 +546,13 @@ def with_kept(docs: DataFrame, each, schema) -> DataFrame:
                 out = []
                 for doc_id, z, cuts in zip(*(part.column(k).to_pylist() for k in range(3)), strict=True):
                     text = open_.decompress(z)
-                    out.append((doc_id, text, keep_mask(len(text), cuts)))
+                    out.append((doc_id, text, keep_mask(text, cuts)))
                 yield each(out, part.column(0))
 
     return met.mapInArrow(run, schema)
 
 
-def report(docs: DataFrame) -> DataFrame:
+def report(docs: DataFrame, shard_bytes: int = SHARD_BYTES) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256."""
     longs = [T.StructField(x, T.LongType()) for x in ("n_bytes", "n_removed", "n_spans")]
     schema = T.StructType([docs.schema["doc_id"], *longs, T.StructField("kept_sha256", T.StringType())])
@@ -478,7 +567,7 @@ def report(docs: DataFrame) -> DataFrame:
             out[3].append(hashlib.sha256(np.frombuffer(text, np.uint8)[keep].tobytes()).hexdigest())
         return pa.RecordBatch.from_arrays([ids, *(pa.array(x, pa.int64()) for x in out[:3]), pa.array(out[3], pa.string())], schema.fieldNames())
 
-    return with_kept(docs, each, schema)
+    return with_kept(docs, each, schema, shard_bytes)
 
 
 def remove(docs: DataFrame) -> DataFrame:

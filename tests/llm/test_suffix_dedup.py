@@ -38,19 +38,28 @@ def test_suffix_array_sorts_to_its_depth(depth):
     assert all(a[:depth] <= b[:depth] for a, b in zip(heads[:-1], heads[1:], strict=True))
 
 
-def test_common_prefixes_equal_a_plain_loop():
+def test_regions_are_sorted_whole_and_common_prefixes_equal_a_plain_loop():
     rng = np.random.default_rng(4)
-    data = np.concatenate([rng.integers(0, 2, 300), [9], np.zeros(100), [9], rng.integers(0, 2, 300), [9]]).astype(np.int16)
-    starts, sizes = np.array([0, 301, 402]), np.array([300, 100, 300])
-    order = S.suffix_array(data)
-    lcp = S.common_prefixes(data, order, starts, sizes, 60)
-    inside = {k for a, n in zip(starts, sizes, strict=True) for k in range(a, a + n)}
+    parts = [rng.integers(0, 2, 300), np.zeros(100), rng.integers(0, 2, 300), rng.integers(0, 2, 7), np.zeros(100), [], rng.integers(0, 2, 40)]
+    parts[4], parts[6] = parts[1], parts[0][100:180]
+    sizes = np.array([len(x) for x in parts])
+    starts = np.cumsum(sizes + 1) - sizes - 1
+    raw = np.concatenate([np.append(x, 0) for x in parts]).astype(np.uint8)
+    region = np.repeat(np.arange(len(parts)), sizes + 1)
+    left = sizes[region] - np.arange(len(raw)) + starts[region]
+    data = raw.astype(np.int16)
+    data[left == 0] = 256
+    order = S.suffix_array(data, None, left)
+    whole = [(*data[k : k + left[k]].tolist(), 256 + int(region[k])) for k in range(len(raw))]
+    assert [whole[k] for k in order.tolist()] == sorted(whole)
+    wanted = np.array([300, 60, 300, 7, 100, 0, 1])
+    lcp = S.common_prefixes(raw, order, left, starts, wanted, 60)
+    inside = {k for a, n in zip(starts, wanted, strict=True) for k in range(a, a + n)}
     for k in range(1, len(order)):
         i, j, m = int(order[k]), int(order[k - 1]), 0
-        while m < 60 and i + m < len(data) and j + m < len(data) and data[i + m] == data[j + m]:
+        while m < min(60, left[i], left[j]) and data[i + m] == data[j + m]:
             m += 1
-        if i in inside:
-            assert lcp[k] == m
+        assert lcp[k] == (m if i in inside else 0)
 
 
 def texts(seed):
@@ -91,26 +100,50 @@ def test_odd_rows(odd, none):
     assert S.report(none).count() == 0
 
 
-def test_parts_of_one_anchor_are_merged(spark):
+@pytest.mark.parametrize("shard", [900, 6_000])
+def test_large_anchors_over_several_shards(spark, shard):
+    """One line in 300 different settings: its anchors have many times the regions of a shard."""
     rng = random.Random(9)
-    core = bytes(rng.randrange(97, 123) for _ in range(230))
-    regions = [bytes(rng.randrange(97, 123) for _ in range(60)) + core[rng.randrange(0, 25) :] + bytes(rng.randrange(97, 123) for _ in range(50)) for _ in range(40)]
-    names = np.array([1000 * k for k in range(40)], np.uint64)
-    want = [f.tolist() for f in S.repeats(regions, names)]
-    merged = S.Merged()
-    for k in range(0, 40, 7):
-        merged.add(regions[k : k + 7], names[k : k + 7])
-    assert [f.tolist() for f in merged.found] == want
-    anchor = core[40:72]
-    before = [r.index(anchor) for r in regions]
-    regions = [r[max(0, b - 168) : b + 200] for r, b in zip(regions, before, strict=True)]
-    names = np.array([1000 * k for k in range(40)], np.uint64)
-    want = [f.tolist() for f in S.repeats(regions, names)]
-    rows = [(5, k, 1000 * k, bytearray(r), min(b, 168)) for k, (r, b) in enumerate(zip(regions, before, strict=True))]
-    table = spark.createDataFrame(rows, "ha long, hr long, place long, region binary, before long").coalesce(1)
-    for size in (10**6, 1500):
-        got = {r.hr: [(s.a, s.b) for s in r.spans] for r in S.judge_regions(table, size).collect() if r.spans}
-        assert got == {k: S.spans_of(np.array(w)) for k, w in enumerate(want) if any(w)}
+    word = lambda n: "".join(rng.choice("abcdefghij ") for _ in range(n))
+    line, halves = word(190), [word(150), word(150)]
+    data = [(k, word(rng.randrange(0, 200)) + rng.choice(halves)[rng.randrange(0, 60) :] + line + rng.choice(halves)[: rng.randrange(1, 120)] + word(150)) for k in range(300)]
+    data += [(1000, data[0][1]), (1001, line + line)]
+    df = spark.createDataFrame(data, "doc_id long, text string").repartition(3)
+    assert rows(S.report(df, shard)) == brute(data)
+
+
+def test_keys_met_by_search_equal_a_plain_count():
+    rng = np.random.default_rng(2)
+    runs, places = [], {}
+    for _ in range(6):
+        keys = np.unique(rng.integers(0, 60, 25).astype("S16"))
+        low = rng.integers(0, 4, len(keys)).astype(np.uint64)
+        high = low + rng.integers(0, 2, len(keys)).astype(np.uint64)
+        runs.append((keys, low, high))
+        for k, a, b in zip(keys.tolist(), low.tolist(), high.tolist(), strict=True):
+            places.setdefault(k, set()).update((a, b))
+    for (keys, _, _), good in zip(runs, S.met_by_search(runs), strict=True):
+        assert good.tolist() == [len(places[k]) > 1 for k in keys.tolist()]
+
+
+def test_a_region_of_several_copies_repeats():
+    rng = random.Random(3)
+    text = bytes(rng.randrange(97, 123) for _ in range(260))
+    one, other = S.repeats([text, text[::-1]], np.array([7, 99], np.uint64), np.array([True, False]))
+    assert one.all() and not other.any()
+
+
+def test_nothing_goes_but_by_suffix_arrays(spark, monkeypatch):
+    data = list(enumerate(texts(1)))
+    monkeypatch.setattr(S, "repeats", lambda texts, places, several=None, window=200: [np.zeros(max(0, len(t) - window + 1), bool) for t in texts])
+    assert not [r for r in S.report(spark.createDataFrame(data, "doc_id long, text string")).collect() if r.n_removed]
+
+
+def test_other_bytes_under_the_same_hashes_stay():
+    text = bytes(range(97, 123)) * 20
+    cut = {"loc": 10 << 18 | 5 << 9 | 250, "sum": S.digest(text[5:255]), "spans": [{"a": 0, "b": 200}]}
+    assert S.keep_mask(text, [cut]).sum() == len(text) - 200
+    assert S.keep_mask(text, [cut | {"sum": S.digest(b"x")}]).all()
 
 
 def test_one_place_in_two_regions_is_no_repeat():
