@@ -9,7 +9,7 @@ by probing 1, 2, ... until a probe misses, and stands for the middle of its rang
 
 The filter grows with the corpus, so it is never in one place.  It is a row of segments, each sized for its own entries:
 
-1. Texts are put into blocks of about ``BLOCK_BYTES`` with a number each, cut compressed into the shared folder.
+1. Texts are put into blocks of at most ``BLOCK`` bytes (or one text) with a number each, cut compressed into the shared folder.
 2. A block sends its distinct n-grams, with how often its training texts hold them, to the ``lots`` that own them (top bits of
    the hash).  A lot adds up the counts, builds its segment, probes it for every n-gram it was asked for, and answers
    block by block: a level a 2-gram, a level and the exact count a 1-gram.
@@ -39,6 +39,8 @@ from .common import MASK64, Spans, lower_table, mix, opened, sent, text_blocks
 
 LOG_BASE = 1.5
 BITS, PROBES = 10, 4
+#: Bytes of text in a block; a larger block repeats more of its n-grams.
+BLOCK = 4_000_000
 #: Distinct n-grams of blocks that a lot takes on average.
 LOT_GRAMS = 1 << 18
 MIX, HALF = 0.3, 20.0
@@ -160,7 +162,7 @@ def blocked(docs: DataFrame, training: F.Column) -> DataFrame:
     def run(batches):
         press = zstandard.ZstdCompressor(level=1)
         for batch in batches:
-            for a, b, raw, offsets in text_blocks(batch, "text"):
+            for a, b, raw, offsets in text_blocks(batch, "text", BLOCK):
                 ends = pa.array([0, b - a], pa.int32())
                 lists = [pa.ListArray.from_arrays(ends, x) for x in (pa.array(np.diff(offsets).astype(np.int32)), batch.column(0).slice(a, b - a), batch.column(2).slice(a, b - a))]
                 yield pa.RecordBatch.from_arrays([pa.array([press.compress(raw.tobytes())], pa.binary()), *lists], schema.fieldNames())
@@ -174,6 +176,16 @@ def _texts(z: bytes, sizes: list[int]) -> tuple[np.ndarray, np.ndarray]:
     return raw, np.concatenate([[0], np.cumsum(np.asarray(sizes, np.int64))])
 
 
+def narrow(values: np.ndarray) -> bytes:
+    """Counts in as few bytes each as the largest takes, that number first."""
+    width = next(w for w in (1, 2, 4, 8) if w == 8 or values.max(initial=0) < 1 << 8 * w)
+    return bytes([width]) + values.astype(f"<u{width}").tobytes()
+
+
+def wide(cell: bytes) -> np.ndarray:
+    return np.frombuffer(cell, f"<u{cell[0]}", offset=1).astype(np.int64)
+
+
 def asked(blocks: DataFrame, lot_bits: int) -> DataFrame:
     """lot, blk, h, n: the distinct n-grams of each block in order, by lot, and how often its training texts hold each."""
 
@@ -190,8 +202,8 @@ def asked(blocks: DataFrame, lot_bits: int) -> DataFrame:
                     lot = lot_of(h, lot_bits)
                     cuts = [0, *(np.flatnonzero(np.diff(lot)) + 1).tolist(), len(lot)]
                     out[0] += (lot[cuts[:-1]] + (order << lot_bits)).tolist()
-                    for values, cells in ((h, out[1]), (n, out[2])):
-                        cells += [values[a:b].tobytes() for a, b in zip(cuts[:-1], cuts[1:], strict=True)]
+                    for values, cells, pack in ((h, out[1], np.ndarray.tobytes), (n, out[2], narrow)):
+                        cells += [pack(values[a:b]) for a, b in zip(cuts[:-1], cuts[1:], strict=True)]
                 yield pa.RecordBatch.from_arrays(
                     [pa.array(out[0], pa.int32()), pa.array([blk] * len(out[0]), pa.int64()), pa.array(out[1], pa.binary()), pa.array(out[2], pa.binary())], ["lot", "blk", "h", "n"]
                 )
@@ -214,11 +226,11 @@ def answered(grams: DataFrame, lot_bits: int) -> DataFrame:
         levels = Filter({lot % one: segment} if segment else {}, lot_bits).levels(h)[back]
         exact, m = counts[back], len(blks)
         ends = np.cumsum([len(x) for x in hs]).tolist()
-        cells = lambda values: [values[a:b].tobytes() for a, b in zip([0, *ends[:-1]], ends, strict=True)]
+        cells = lambda values, pack: [pack(values[a:b]) for a, b in zip([0, *ends[:-1]], ends, strict=True)]
         yield pa.RecordBatch.from_arrays(
             [
-                pa.array([*blks, None], pa.int64()), pa.array([lot] * (m + 1), pa.int32()), pa.array([*cells(levels), None], pa.binary()),
-                pa.array([*(cells(exact) if lot < one else [None] * m), None], pa.binary()), pa.array([*[None] * m, segment if lot < one else None], pa.binary()),
+                pa.array([*blks, None], pa.int64()), pa.array([lot] * (m + 1), pa.int32()), pa.array([*cells(levels, np.ndarray.tobytes), None], pa.binary()),
+                pa.array([*(cells(exact, narrow) if lot < one else [None] * m), None], pa.binary()), pa.array([*[None] * m, segment if lot < one else None], pa.binary()),
                 pa.array([*[None] * m, int(counts.sum())], pa.int64()), pa.array([*[None] * m, int(known.sum())], pa.int64()),
             ],
             names,
@@ -232,7 +244,7 @@ def answered(grams: DataFrame, lot_bits: int) -> DataFrame:
                     if held[0]:
                         yield from finish(at, *held)
                     at, held = lot, ([], [], [])
-                for out, x in zip(held, (blk, np.frombuffer(h, np.uint64), np.frombuffer(n, np.int32)), strict=True):
+                for out, x in zip(held, (blk, np.frombuffer(h, np.uint64), wide(n)), strict=True):
                     out.append(x)
         if held[0]:
             yield from finish(at, *held)
@@ -302,7 +314,7 @@ def score(docs: DataFrame, training: F.Column, max_filter_bytes: int = MAX_FILTE
         def finish():
             z, sizes, ids = block
             kinds = [np.frombuffer(b"".join(x), np.uint8) for x in levels]
-            found = scored(*_texts(z, sizes), kinds, np.frombuffer(b"".join(counts), np.int64), s, ones)
+            found = scored(*_texts(z, sizes), kinds, np.concatenate([wide(x) for x in counts]), s, ones)
             total = pa.array(np.full(len(ids), s.total, np.int64))
             return pa.RecordBatch.from_arrays([ids, *(pa.array(x) for x in found[:2]), total, *(pa.array(x) for x in found[2:])], schema.fieldNames())
 
