@@ -46,6 +46,8 @@ SHARD_BYTES = 1_500_000
 #: What a region holds on average, to know how many make a shard.
 REGION_BYTES = 300
 KEYS_IN_RANGE = 1_000_000
+#: A region is hot if it has so many copies and more than one in ``HOT_SHARE`` of all rows: so fewer than ``HOT_SHARE`` are.
+HOT_COPIES, HOT_SHARE = 1_000, 2_000
 MAX_BROADCAST_ROWS = 100_000
 BLOCK = 500_000
 
@@ -515,8 +517,13 @@ def covered(docs: DataFrame, shard_bytes: int = SHARD_BYTES) -> DataFrame:
         nothing = [F.lit(None).cast(t).alias(c) for c, t in (("hr", "long"), ("place", "long"), ("n", "long"), ("region", "binary"), ("before", "long"))]
         rows = fetched.withColumn("keys", F.lit(None).cast("binary")).unionByName(more.select("ha", "part", *nothing, "keys"))
     dealt = rows.repartition("ha", "part").sortWithinPartitions("ha", "part", "hr", "place")
-    verdict = judge_regions(dealt, shard_bytes).groupBy("ha", "hr").agg(F.min(F.struct("sum", "spans")).alias("v")).select("ha", "hr", "v.sum", "v.spans")
-    hits = again.join(verdict, ["ha", "hr"]).select("rk", F.struct("loc", "sum", "spans").alias("c"))
+    verdict = cut(judge_regions(dealt, shard_bytes).groupBy("ha", "hr").agg(F.min(F.struct("sum", "spans")).alias("v")).select("ha", "hr", "v.sum", "v.spans"))
+    # Regions of very many copies, which are few by their number, are broadcast, so their copies stay where they are.
+    often = max(HOT_COPIES, again.count() // HOT_SHARE)
+    hot = cut(regions.where(F.col("n") > often).select("ha", "hr"))
+    hits = again.join(F.broadcast(hot), ["ha", "hr"], "left_anti").join(verdict, ["ha", "hr"])
+    hits = hits.unionByName(again.join(F.broadcast(verdict.join(F.broadcast(hot), ["ha", "hr"], "left_semi")), ["ha", "hr"]))
+    hits = hits.select("rk", F.struct("loc", "sum", "spans").alias("c"))
     return hits.groupBy("rk").agg(F.collect_set("c").alias("cuts"))
 
 

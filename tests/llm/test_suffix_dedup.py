@@ -112,6 +112,14 @@ def test_large_anchors_over_several_shards(spark, shard):
     assert rows(S.report(df, shard)) == brute(data)
 
 
+@pytest.mark.parametrize("hot", [0, 10])
+def test_regions_of_many_copies(spark, monkeypatch, hot):
+    monkeypatch.setattr(S, "HOT_COPIES", hot)
+    monkeypatch.setattr(S, "HOT_SHARE", 10**9 if hot == 0 else 2_000)
+    data = list(enumerate(texts(1)[:30] + [texts(1)[5]] * 20))
+    assert rows(S.report(spark.createDataFrame(data, "doc_id long, text string"))) == brute(data)
+
+
 def test_keys_met_by_search_equal_a_plain_count():
     rng = np.random.default_rng(2)
     runs, places = [], {}
