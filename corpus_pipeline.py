@@ -7,6 +7,11 @@
 5. mixture: documents that target weights take, with how often each comes.
 
 Every stage but the last returns the columns of ``documents``.
+
+Edge cases, stage by stage: texts that are null or hold no letter have no language and go (1); rows that share a doc_id but not the text
+are judged by their texts, repeated rows count as one, rows without a doc_id stay (2); texts without words are clean (3) and
+without findings stay as they are (4); rows without a language, source or tokens belong to a leaf of their own (5).  Extra columns
+are kept by every stage, whatever their names; an empty table gives an empty one.
 """
 
 from __future__ import annotations
@@ -15,7 +20,7 @@ import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
-from ruleclosure.durable import shared_folder
+from ruleclosure.durable import forget, shared_folder
 from ruleclosure.llm import decontaminate, language_id, mixture, secret_scan, ship_by_value, simhash
 
 ship_by_value()
@@ -54,10 +59,12 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages over ``documents``."""
+    """All stages over ``documents``; each stage's files go once the next one has written its own."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     folder = f"{shared_folder(spark)}/pipeline-{uuid.uuid4().hex}"
     for k, (name, stage) in enumerate(STAGES):
         stage(spark, docs, sf_dir).write.parquet(f"{folder}/{k}-{name}")
         docs = spark.read.parquet(f"{folder}/{k}-{name}")
+        if k:
+            forget(spark, f"{folder}/{k - 1}-{STAGES[k - 1][0]}")
     return docs
