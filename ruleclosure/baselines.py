@@ -14,7 +14,7 @@ from functools import reduce
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .durable import cut, shared_folder
+from .durable import cut, forget, shared_folder
 from .operators.firing import Schema, fire
 from .plans.orders import fixed_plan
 from .plans.rules import MERGING, RULES, Rule
@@ -104,7 +104,7 @@ def late_dedup(triples: DataFrame, max_rounds: int = 100, rules: tuple[str, ...]
 
 
 def disk_staged(triples: DataFrame, folder: str | None = None, rules: tuple[str, ...] | None = None, max_rounds: int = 100) -> DataFrame:
-    """Each rule's output goes to files and is read again before the next rule runs."""
+    """Each rule's output goes to files and is read again before the next rule runs; the files go at the end."""
     spark = triples.sparkSession
     folder = folder or f"{shared_folder(spark)}/staged-{uuid.uuid4().hex}"
     plan = Config().plan
@@ -125,7 +125,9 @@ def disk_staged(triples: DataFrame, folder: str | None = None, rules: tuple[str,
                 paths.append(path)
                 grown = True
         if not grown:
-            return spark.read.parquet(*paths)
+            closure = cut(spark.read.parquet(*paths))
+            forget(spark, folder)
+            return closure
     raise RuntimeError(f"no fixpoint in {max_rounds} rounds")
 
 
@@ -147,7 +149,7 @@ def local_fixpoint(rows: set[tuple[str, str, str]], rules: dict[str, Rule] = RUL
                 for a, b in same:
                     ids_of.setdefault(a, set()).add(b)
                 for s, p, o in known:
-                    if p not in words:
+                    if p not in words or p == vocab.type and o not in vocab.schema_classes():
                         new |= {(x, p, y) for x in (s, *ids_of.get(s, ())) for y in (o, *ids_of.get(o, ()))}
                 continue
             for a in rule.body:

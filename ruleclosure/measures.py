@@ -30,6 +30,23 @@ def measure(work: Callable[[], DataFrame], runs: int = 3) -> float:
     return sum(times) / runs
 
 
+def shuffled(spark: SparkSession, work: Callable[[], object]) -> tuple[object, int]:
+    """(what ``work`` returns, bytes its stages wrote to shuffles), from the status store."""
+    before = _shuffle_bytes(spark)
+    out = work()
+    return out, sum(n for k, n in _shuffle_bytes(spark).items() if k not in before)
+
+
+def _shuffle_bytes(spark: SparkSession) -> dict[tuple[int, int], int]:
+    """Bytes by stage and attempt.  The store keeps the last stages only (spark.ui.retainedStages)."""
+    sc = spark.sparkContext
+    sc._jsc.sc().listenerBus().waitUntilEmpty(60_000)
+    none = sc._jvm.java.util.ArrayList()
+    empty = sc._gateway.new_array(sc._jvm.double, 0)
+    found = sc._jsc.sc().statusStore().stageList(none, False, False, empty, none)
+    return {(x.stageId(), x.attemptId()): x.shuffleWriteBytes() for x in (found.apply(k) for k in range(found.size()))}
+
+
 def inferred_count(result: ReasonResult) -> int:
     return result.derived.count()
 

@@ -5,13 +5,18 @@ joins the last delta with the edges, one step a round; ``naive`` joins everythin
 recursive query (acyclic, few levels; deeper relations are finished by doubling); ``grouped`` closes each group of an acyclic forest in one worker; ``local``
 closes a relation of checked size on the driver.  All give the same pairs.
 
-Every round is cut into the shared folder, so a lost executor costs one round, and the plan does not grow.
+A closed relation that gains edges is closed again from the new ones alone (:func:`extend_relation`).
+
+Every round is cut into the shared folder, so a lost executor costs one round, and the plan does not grow.  With
+``partitions`` all sides of a round are dealt by property and the node they meet in before the first round, so that
+edges and frontier move once a round.
 """
 
 from __future__ import annotations
 
 from collections import defaultdict
 from collections.abc import Iterable
+from functools import reduce
 
 import pandas as pd
 from pyspark.sql import DataFrame
@@ -32,6 +37,11 @@ def _compose(a: DataFrame, b: DataFrame) -> DataFrame:
     return left.join(right, ["p", "via"]).select("p", "src", "dst")
 
 
+def _dealt(rows: DataFrame, partitions: int | None, node: str) -> DataFrame:
+    """``rows`` dealt by property and ``node``, as the joins of a round want them; the checkpoint keeps that partitioning."""
+    return rows if partitions is None else rows.repartition(partitions, "p", node)
+
+
 def _less(a: DataFrame, known: DataFrame) -> DataFrame:
     return a.join(known, ["p", "src", "dst"], "left_anti")
 
@@ -40,7 +50,7 @@ class Limit(RuntimeError):
     """A closure outgrew what its caller allows."""
 
 
-def close_relation(edges: DataFrame, method: str = "doubling", max_rounds: int = 200, max_rows: int | None = None, group: str | None = None) -> DataFrame:
+def close_relation(edges: DataFrame, method: str = "doubling", max_rounds: int = 200, max_rows: int | None = None, group: str | None = None, partitions: int | None = None) -> DataFrame:
     """All pairs connected by at least one edge of the same ``p``."""
     edges = edges.select("p", "src", "dst").distinct()
     if method == "local":
@@ -49,16 +59,17 @@ def close_relation(edges: DataFrame, method: str = "doubling", max_rounds: int =
         return close_in_sql(edges)
     if method == "grouped":
         return close_groups(edges, group)
-    edges = cut(edges)
+    # Edges are looked up by their source in every linear round.
+    edges = cut(_dealt(edges, partitions, "src"))
     known, delta, rounds = edges, edges, 0
     while True:
         rounds += 1
         if rounds > max_rounds:
             raise Limit(f"no fixpoint in {max_rounds} rounds")
         if method == "doubling":
-            new = cut(_less(_compose(delta, delta).distinct(), known))
+            new = cut(_dealt(_less(_compose(_dealt(delta, partitions, "dst"), delta).distinct(), known), partitions, "src"))
         elif method == "linear":
-            new = cut(_less(_compose(delta, edges).distinct(), known))
+            new = cut(_less(_compose(_dealt(delta, partitions, "dst"), edges).distinct(), known))
         elif method == "naive":
             new = cut(_less(_compose(known, known).distinct(), known))
         else:
@@ -75,6 +86,25 @@ def close_relation(edges: DataFrame, method: str = "doubling", max_rounds: int =
             raise Limit(f"the closure has more than {max_rows} rows")
 
 
+def extend_relation(closed: DataFrame, edges: DataFrame, max_rounds: int = 200) -> tuple[DataFrame, DataFrame, int]:
+    """(the closure of ``closed``, which is closed, with ``edges``; what it gained; number of edges that were new).
+
+    Each round joins the frontier with everything on both sides; the frontier begins with the new edges, so a closed relation
+    without any costs one anti-join.
+    """
+    delta = cut(_less(edges.select("p", "src", "dst").distinct(), closed))
+    n = delta.count()
+    gained: list[DataFrame] = []
+    known = closed
+    for _ in range(max_rounds):
+        if delta.isEmpty():
+            return known, reduce(DataFrame.union, gained) if gained else closed.limit(0), n
+        gained.append(delta)
+        known = known.union(delta)
+        delta = cut(_less(_compose(delta, known).union(_compose(known, delta)).distinct(), known))
+    raise Limit(f"no fixpoint in {max_rounds} rounds")
+
+
 def closed_pairs(pairs: Iterable[tuple[str, str, str]]) -> set[tuple[str, str, str]]:
     """The closure of (p, src, dst) rows in memory."""
     follow: dict[tuple[str, str], set[str]] = defaultdict(set)

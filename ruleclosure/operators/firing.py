@@ -32,14 +32,15 @@ class Schema:
     #: The triples where the driver holds them anyway; premises are then joined there.
     rows: frozenset[tuple[str, str, str]] | None = None
     _joined: dict[str, tuple[DataFrame, int]] = field(default_factory=dict)
+    _local: dict[str, tuple[list[str], set[tuple[str, ...]]] | None] = field(default_factory=dict)
 
     def bindings(self, rule: Rule) -> tuple[DataFrame, int] | None:
         """(one row per way to satisfy the schema premises, number of rows)."""
         atoms = [a for a in rule.body if a.kind(self.vocab) == "schema"]
         if not atoms:
             return None
-        if rule.id not in self._joined and self.rows is not None:
-            names, found = joined_locally(atoms, self.rows)
+        if rule.id not in self._joined and self.local(rule) is not None:
+            names, found = self.local(rule)
             kind = ", ".join(f"{n} string" for n in names)
             self._joined[rule.id] = (self.triples.sparkSession.createDataFrame(sorted(found), kind), len(found))
         if rule.id not in self._joined:
@@ -49,14 +50,39 @@ class Schema:
             self._joined[rule.id] = (self.triples.sparkSession.createDataFrame(found, rows.schema) if small else rows, len(found))
         return self._joined[rule.id]
 
+    def local(self, rule: Rule) -> tuple[list[str], set[tuple[str, ...]]] | None:
+        """The bindings in memory; None where the driver does not hold the schema or there are too many."""
+        if rule.id not in self._local:
+            atoms = [a for a in rule.body if a.kind(self.vocab) == "schema"]
+            self._local[rule.id] = joined_locally(atoms, self.rows, BROADCAST_ROWS) if self.rows is not None else None
+        return self._local[rule.id]
+
+    def reach(self, rule: Rule) -> tuple[set[str], set[str]] | None:
+        """(predicates, classes) that the rule's consequences can have, classes where the predicate is that of types; None where
+        the schema does not say."""
+        head, v = rule.head, self.vocab
+        found = self.local(rule) if any(a.kind(v) == "schema" for a in rule.body) else ([], {()})
+        if found is None:
+            return None
+        names, rows = found
+        values = lambda term: {term} if not term.startswith("?") else {r[names.index(variable(term))] for r in rows} if variable(term) in names else None
+        predicates = values(head.p)
+        if predicates is None:
+            return None
+        if v.type not in predicates:
+            return predicates, set()
+        classes = values(head.o)
+        return None if classes is None else (predicates, classes)
+
     def side(self, rule: Rule, columns: list[str] | None = None) -> DataFrame:
         rows, n = self.bindings(rule)
         rows = rows if columns is None else rows.select(*columns).distinct()
         return F.broadcast(rows) if self.broadcast and n <= BROADCAST_ROWS else rows
 
 
-def joined_locally(atoms: list[Atom], rows) -> tuple[list[str], set[tuple[str, ...]]]:
-    """(column names, rows) of the conjunction of atoms over triples in memory, by hash joins."""
+def joined_locally(atoms: list[Atom], rows, limit: int | None = None) -> tuple[list[str], set[tuple[str, ...]]] | None:
+    """(column names, rows) of the conjunction of atoms over triples in memory, by hash joins; None beyond ``limit`` rows, which are
+    counted before they are made."""
     names: list[str] = []
     found: list[tuple[str, ...]] = [()]
     for a in atoms:
@@ -68,6 +94,8 @@ def joined_locally(atoms: list[Atom], rows) -> tuple[list[str], set[tuple[str, .
             if all(bound.setdefault(variable(x), y) == y if x.startswith("?") else x == y for x, y in zip(a.terms(), t, strict=True)):
                 index.setdefault(tuple(bound[n] for n in shared), []).append(tuple(bound[n] for n in own if n not in shared))
         at = [names.index(n) for n in shared]
+        if limit is not None and sum(len(index.get(tuple(f[k] for k in at), ())) for f in found) > limit:
+            return None
         found = [(*f, *more) for f in found for more in index.get(tuple(f[k] for k in at), ())]
         names += [n for n in own if n not in shared]
     return names, set(found)
@@ -149,16 +177,22 @@ def _finish(rows: DataFrame | None, literal: Column | None) -> DataFrame | None:
 
 
 def substitute(known: Parts, delta: Parts | None = None) -> DataFrame | None:
-    """Facts with subject, object or both replaced by identical terms (each term counts as identical to itself)."""
-    facts, same = known.get("fact"), known.get("identity")
+    """Facts and types with subject, object or both replaced by identical terms (each term counts as identical to itself).  Schema
+    triples are left to the merging rules, identity triples to symmetry and transitivity."""
+
+    def said(parts: Parts) -> DataFrame | None:
+        found = [parts[k].select("s", "p", "o") for k in ("fact", "type") if parts.get(k) is not None]
+        return reduce(DataFrame.union, found) if found else None
+
+    rows, same = said(known), known.get("identity")
     if delta is None:
-        return None if facts is None or same is None else _replaced(facts, same, same)
+        return None if rows is None or same is None else _replaced(rows, same, same)
     out = []
-    if delta.get("fact") is not None and same is not None:
-        out.append(_replaced(delta["fact"], same, same))
-    if delta.get("identity") is not None and facts is not None:
+    if said(delta) is not None and same is not None:
+        out.append(_replaced(said(delta), same, same))
+    if delta.get("identity") is not None and rows is not None:
         new = delta["identity"]
-        out += [_replaced(facts, new, same), _replaced(facts, same, new)]
+        out += [_replaced(rows, new, same), _replaced(rows, same, new)]
     return reduce(DataFrame.union, out) if out else None
 
 
@@ -209,7 +243,9 @@ def property_rewrites(schema_rows: list[tuple[str, str, str]], vocab: Vocabulary
     return out
 
 
-def fused_facts(facts: DataFrame, rewrites: DataFrame) -> DataFrame:
-    """R3, O3 and O7 to their joint fixpoint in one broadcast join; ``rewrites``: p, q, swap."""
-    met = facts.join(F.broadcast(rewrites), "p")
+def fused_facts(facts: DataFrame, rewrites: DataFrame, n: int | None = None) -> DataFrame:
+    """R3, O3 and O7 to their joint fixpoint in one join; ``rewrites``: p, q, swap, broadcast where there are at most ``BROADCAST_ROWS``
+    (``n``, counted if not given)."""
+    n = rewrites.limit(BROADCAST_ROWS + 1).count() if n is None else n
+    met = facts.join(F.broadcast(rewrites) if n <= BROADCAST_ROWS else rewrites, "p")
     return met.select(F.when(F.col("swap"), F.col("o")).otherwise(F.col("s")).alias("s"), F.col("q").alias("p"), F.when(F.col("swap"), F.col("s")).otherwise(F.col("o")).alias("o"))

@@ -114,6 +114,7 @@ def classify_rules(rules: dict[str, Rule] = RULES, vocab: Vocabulary = VOCAB) ->
 def conjunctive_sql(rule: Rule, source: str, vocab: Vocabulary = VOCAB) -> str:
     """The rule as one SELECT over a relation (s, p, o): a plain reading, for other engines and tests."""
     words = ", ".join(f"'{w}'" for w in (*vocab.schema_predicates(), vocab.type, vocab.identity))
+    classes = ", ".join(f"'{w}'" for w in vocab.schema_classes())
     where, seen, tables = [], {}, []
     for k, a in enumerate(rule.body):
         tables.append(f"{source} t{k}")
@@ -125,7 +126,10 @@ def conjunctive_sql(rule: Rule, source: str, vocab: Vocabulary = VOCAB) -> str:
                 seen.setdefault(term, place)
             else:
                 where.append(f"{place} = '{term}'")
-        if a.p.startswith("?"):
+        if a.p.startswith("?") and rule.id == "O10":  # types are restated too
+            where.append(f"t{k}.p NOT IN ({words.replace(repr(vocab.type), repr(vocab.identity))})")
+            where.append(f"NOT (t{k}.p = '{vocab.type}' AND t{k}.o IN ({classes}))")
+        elif a.p.startswith("?"):
             where.append(f"t{k}.p NOT IN ({words})")
     if rule.differ:
         where.append(f"{seen[rule.differ[0]]} <> {seen[rule.differ[1]]}")

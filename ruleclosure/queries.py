@@ -10,19 +10,20 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from . import baselines, match, measures
-from .durable import cut, shared_folder
+from .durable import cut, forget, shared_folder
 from .functions import terms
 from .operators import identity
 from .operators.closure import close_relation
 from .operators.firing import Schema, fire, fused_facts, fused_inverse, property_rewrites
 from .plans import depgraph, orders
 from .plans.rules import RULES, Rule, classify_rules, conjunctive_sql
-from .reasoner import Config, reason
+from .reasoner import Config, Run, reason
 from .sources import formats
 from .sources.lens import TABLES, bag, bag_sql, lens, lens_sql, projections
 from .sources.ontology import FIXED, ontology, ontology_sql, values_sql
+from .sqlapi import sql_reason
 from .streaming import rules as streams
-from .triples import TRIPLE, class_shares, classify, predicate_profile
+from .triples import TRIPLE, class_shares, classify, multiplied, predicate_profile
 from .vocab import VOCAB as V
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -208,6 +209,16 @@ def o10(spark, d):
     return rows.union(own).distinct()
 
 
+_QUALITY = " UNION ".join(projections(("labels",), (V.type,)))
+
+
+@add("o10_type_substitution", f"SELECT DISTINCT i.o AS s, t.p, t.o FROM ({_QUALITY}) t JOIN ({_PAIRS_SQL}) i ON t.s = i.s")
+def o10_types(spark, d):
+    """What one copy of a text is said to be holds for the others."""
+    pairs = identity.expand_pairs(representatives(spark, d))
+    return fire("O10", Schema(spark.createDataFrame([], TRIPLE)), {"type": lens(spark, d, ("labels",), (V.type,)), "identity": pairs}).distinct()
+
+
 @add(
     "identity_representatives",
     f"SELECT s AS term, min(s) OVER (PARTITION BY o) AS rep FROM ({_SAME}) y WHERE o IN (SELECT o FROM ({_SAME}) z GROUP BY o HAVING count(*) > 1)",
@@ -340,7 +351,10 @@ def global_chains(spark, d):
 
 @add("searched_order")
 def searched(spark, d):
-    found = [(c, *orders.search_order(depgraph.dependency_graph(c), orders.CostModel({"O4": 5.0, "R3": 3.0}), 20)) for c in depgraph.CLASSES]
+    """Orders by what each rule was seen to derive when the core tables were closed."""
+    yields = measures.yields(reason(graph(spark, d, CORE), OFF), spark).collect()
+    model = orders.CostModel({r["rule"]: float(r["fresh"]) for r in yields}, 0.0)
+    found = [(c, *orders.search_order(depgraph.dependency_graph(c), model, 20)) for c in depgraph.CLASSES]
     return spark.createDataFrame([(c, cost, ">".join(o)) for c, cost, o in found], "cls string, cost double, path string")
 
 
@@ -397,16 +411,24 @@ def identity_stage(spark, d):
 
 @add("dedup_new_triples", f"WITH a AS ({lens_sql(('orders',))}), b AS ({lens_sql(('orders',), (V.type,))}) SELECT * FROM a EXCEPT SELECT * FROM b")
 def dedup_new(spark, d):
-    rows = bag(spark, d, ("orders",))
-    return rows.union(rows).distinct().join(bag(spark, d, ("orders",), (V.type,)), ["s", "p", "o"], "left_anti")
+    """The step that ends a stage: two rules derive all triples of orders, of which the types are known."""
+    run, rows = Run(bag(spark, d, ("orders",), (V.type,)), OFF), bag(spark, d, ("orders",))
+    return run.first_seen([("O10", rows), ("O10", rows.union(rows))]).select("s", "p", "o")
+
+
+_FILLERS = ((V.has_value, "O13"), (V.some_values, "O15"), (V.all_values, "O16"))
 
 
 @add("restriction_index", f"WITH t AS ({values_sql(FIXED)}) SELECT p.s AS cls, p.o AS prop, f.o AS filler, f.p AS restr_kind FROM t p JOIN t f ON p.s = f.s AND p.p = '{V.on_property}' AND f.p IN ('{V.has_value}', '{V.some_values}', '{V.all_values}')")
 def restrictions(spark, d):
-    t = spark.createDataFrame(FIXED, TRIPLE)
-    on = t.where(F.col("p") == V.on_property).select(F.col("s").alias("cls"), F.col("o").alias("prop"))
-    kinds = t.where(F.col("p").isin(V.has_value, V.some_values, V.all_values)).select(F.col("s").alias("cls"), F.col("o").alias("filler"), F.col("p").alias("restr_kind"))
-    return on.join(kinds, "cls").select("cls", "prop", "filler", "restr_kind")
+    """The joined schema premises of the restriction rules."""
+    schema = Schema(spark.createDataFrame(FIXED, TRIPLE), rows=frozenset(FIXED))
+    out = None
+    for kind, rule in _FILLERS:
+        filler = RULES[rule].body[0].o
+        rows = schema.bindings(RULES[rule])[0].select(F.col("v_c").alias("cls"), F.col("v_p").alias("prop"), F.col(f"v_{filler[1:]}").alias("filler"), F.lit(kind).alias("restr_kind"))
+        out = rows if out is None else out.union(rows)
+    return out
 
 
 _PRECEDES_SQL = """WITH n AS (SELECT user_id, event_id, row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id) AS k FROM events)
@@ -459,6 +481,28 @@ def w01(spark, d):
     return out
 
 
+#: Terms that the schema names: they stay the same in all copies of a graph.
+_NAMED = sorted({x for t in FIXED for x in (t[0], t[2])})
+_TIMES = (1, 2, 5)
+
+
+def _times_sql() -> str:
+    own = lambda c, k: f"CASE WHEN {k} = 0 OR {c} IN ({words(_NAMED)}) THEN {c} ELSE {c} || '~' || {k} END"
+    rows = f"SELECT k, {own('s', 'k')} AS s, p, CASE WHEN p = '{V.type}' THEN o ELSE {own('o', 'k')} END AS o FROM t, range({max(_TIMES)}) r(k) WHERE {KIND_SQL} <> 'schema' UNION ALL SELECT 0, * FROM t WHERE {KIND_SQL} = 'schema'"
+    one = " UNION ALL ".join(f"SELECT {n} AS times, kind, count(*) AS n FROM (SELECT DISTINCT s, p, o, {KIND_SQL} AS kind FROM m WHERE k < {n}) x GROUP BY 2" for n in _TIMES)
+    return f"WITH t AS MATERIALIZED ({lens_sql(FULL)} UNION {ontology_sql(FULL)}), m AS MATERIALIZED ({rows}) {one}"
+
+
+@add("w01_multiplied_sizes", _times_sql())
+def w01_sizes(spark, d):
+    """The sizes of the scaling curve: copies of the graph over terms of their own."""
+    g, out = cut(graph(spark, d, FULL)), None
+    for n in _TIMES:
+        one = classify(multiplied(g, n, _NAMED).distinct()).groupBy("kind").agg(F.count("*").alias("n")).select(F.lit(n).alias("times"), "kind", "n")
+        out = one if out is None else out.union(one)
+    return out
+
+
 @add("input_triples", f"{_ALL} SELECT count(*) AS n FROM t")
 def input_triples(spark, d):
     return graph(spark, d, TABLES).agg(F.count("*").alias("n"))
@@ -510,15 +554,35 @@ def w04_all(spark, d):
     return measures.closure_counts(baselines.rule_subset(graph(spark, d, TABLES), config=OFF).closure)
 
 
-@add("inferred_by_rule", (lambda c: f"{c[0]} SELECT count(*) AS n FROM (SELECT * FROM {c[1]} EXCEPT SELECT * FROM t0) x")(closure_sql(CORE)))
+def _by_rule_sql(chain: tuple[str, str], rules: list[str]) -> str:
+    ctes, last = chain
+    return f"{ctes} " + " UNION ALL ".join(f"SELECT '{r}' AS rule, count(*) AS n FROM (SELECT DISTINCT * FROM ({conjunctive_sql(RULES[r], last)}) x EXCEPT SELECT * FROM t0) y" for r in rules)
+
+
+@add("inferred_by_rule", _by_rule_sql(closure_sql(FULL), _LOOP))
 def inferred(spark, d):
-    r = reason(graph(spark, d, CORE), OFF)
-    return r.derived.agg(F.count("*").alias("n"))
+    """Triples that each rule derives from the closed graph and that were not asserted: what the rule can contribute, whatever the
+    order (several rules may derive one triple)."""
+    g = cut(graph(spark, d, FULL))
+    schema, parts = parts_of(closed(spark, d, FULL))
+    out = None
+    for r in _LOOP:
+        if r == "O4":
+            edges = parts["fact"].join(schema.side(RULES[r]).select(F.col("v_p").alias("p")), "p", "left_semi")
+            b = edges.select(F.col("s").alias("o"), "p", F.col("o").alias("z"))
+            rows = edges.join(b, ["p", "o"]).select("s", "p", F.col("z").alias("o"))
+        else:
+            rows = fire(r, schema, parts)
+        rows = g.limit(0) if rows is None else rows
+        one = rows.distinct().join(g, ["s", "p", "o"], "left_anti").agg(F.count("*").alias("n")).select(F.lit(r).alias("rule"), "n")
+        out = one if out is None else out.union(one)
+    return out
 
 
 @add("rule_yields")
 def rule_yields(spark, d):
-    return measures.yields(reason(graph(spark, d, _PLACES), Config(identity_mode="off", count_raw=True)), spark)
+    """Raw and new derivations of each rule in the order in which the loop ran it, over the tables on which all rules fire."""
+    return measures.yields(reason(graph(spark, d, FULL), Config(identity_mode="off", count_raw=True)), spark)
 
 
 _WORKED = [("A", V.sub_class, "B"), ("B", V.equivalent_class, "C"), ("C", V.sub_class, "D")]
@@ -604,7 +668,16 @@ def w16(spark, d):
     return reason(ontology(spark, d, ("orders",)), OFF).schema.where(F.col("p").isin(V.equivalent_class, V.equivalent_property))
 
 
-@add("w17_slot_components")
+def _slots_sql(rounds: int = 12) -> str:
+    """Smallest labels travel from parts to slots and back; a round crosses two lines."""
+    parts = ["e AS (SELECT DISTINCT 'part/' || l_partkey AS t, l_orderkey || '/' || l_linenumber AS slot FROM lineitem)", "l0 AS (SELECT DISTINCT t, t AS rep FROM e)"]
+    for k in range(rounds):
+        low = f"SELECT slot, min(rep) AS rep FROM e JOIN l{k} USING (t) GROUP BY slot"
+        parts.append(f"l{k + 1} AS MATERIALIZED (SELECT t, min(rep) AS rep FROM e JOIN ({low}) s USING (slot) GROUP BY t)")
+    return f"WITH {', '.join(parts)} SELECT rep, count(*) AS members FROM l{rounds} GROUP BY rep HAVING count(*) > 1"
+
+
+@add("w17_slot_components", _slots_sql())
 def w17(spark, d):
     """A line slot taken for a functional property: nearly all parts fall into one clique, which only representatives bear."""
     lines = table(spark, d, "lineitem")
@@ -613,13 +686,36 @@ def w17(spark, d):
     return reps.groupBy("rep").agg(F.count("*").alias("members"))
 
 
-@add("w18_incremental_events", " UNION ".join(f"SELECT s, 'precedes' AS p, o FROM ({q}) x" for q in projections(("events",), ("nextEvent",))))
-def w18(spark, d):
+@add("w18_stateless_events", " UNION ".join(f"SELECT s, 'precedes' AS p, o FROM ({q}) x" for q in projections(("events",), ("nextEvent",))))
+def w18_stateless(spark, d):
     """Edges as a stream; the super-property rule on it gives what the batch gives."""
     edges = streams.next_events(streams.table_stream(spark, d, "events"))
     return streams.drain(streams.stateless(edges, Schema(ontology(spark, d, ())), ("R3",))).distinct()
 
 
+def in_order(spark: SparkSession, d: str, files: int = 3) -> tuple[DataFrame, str]:
+    """The events as a stream of ``files`` files that arrive in order of time, one a batch; and their folder."""
+    folder = f"{shared_folder(spark)}/arrivals-{uuid.uuid4().hex}"
+    events = table(spark, d, "events")
+    low, high = events.agg(F.min("ts"), F.max("ts")).first()
+    step = (high - low) / files
+    for k in range(files):
+        events.where((F.col("ts") >= F.lit(low + k * step)) & ((F.col("ts") < F.lit(low + (k + 1) * step)) if k < files - 1 else F.lit(True))).coalesce(1).write.mode("append").parquet(folder)
+    return streams.file_stream(spark, folder, 1), folder
+
+
+@add("w18_incremental_events", _PRECEDES_SQL.format(p="precedes"))
+def w18(spark, d):
+    """Events arrive in three batches; each batch's edges, which may begin at an event of an earlier one, extend the stored closure."""
+    stream, folder = in_order(spark, d)
+    store = {"closed": reason(ontology(spark, d, ()), OFF)}
+    state = f"{shared_folder(spark)}/stream-{uuid.uuid4().hex}"
+    streams.next_events(stream).writeStream.option("checkpointLocation", state).trigger(availableNow=True).foreachBatch(streams.incremental_sink(store, OFF)).start().awaitTermination()
+    for x in (state, folder):
+        forget(spark, x)
+    return store["closed"].closure.where("p = 'precedes'")
+
+
 # --- baselines and ablations: the same closure by other ways
 
 _SMALL = ("customer", "supplier", "nation", "region")
@@ -643,7 +739,6 @@ for _name, _f in {
     "ablation_type_first": lambda g: baselines.type_before_fact(g, OFF).closure,
     "variant_second_orders": lambda g: reason(g, Config(identity_mode="off", plan=orders.compose_plan((1, 3, 1)))).closure,
     "variant_fused_facts": lambda g: reason(g, Config(identity_mode="off", fused=True)).closure,
-    "variant_identity_fixpoint": lambda g: reason(g, Config(identity_mode="fixpoint")).closure,
 }.items():
     add(_name, _SMALL_SQL)(_counted(_f))
 
@@ -655,8 +750,31 @@ def identity_fixpoint(spark, d):
     return rows.where(F.col("p").isin(V.identity, "fromSource"))
 
 
+@add("variant_identity_fixpoint", f"{_PAIRS_SQL} UNION {_QUALITY} UNION {ORACLES['o10_type_substitution']}")
+def identity_fixpoint_types(spark, d):
+    """Identity and types to their joint fixpoint: labels of one copy hold for the others."""
+    rows = reason(graph(spark, d, ("documents", "benchmark", "labels"), ("hasText",)).union(lens(spark, d, ("labels",), (V.type,))), Config(identity_mode="fixpoint")).closure
+    return rows.where((F.col("p") == V.identity) | F.col("o").isin("class/HighQuality", "class/Toxic"))
+
+
+_REPS = f"SELECT s AS term, min(s) OVER (PARTITION BY o) AS rep FROM ({_SAME}) y"
+
+
+@add(
+    "variant_identity_canonical",
+    f"WITH r AS (SELECT DISTINCT * FROM ({_REPS}) x), t AS ({lens_sql(('documents', 'benchmark', 'labels'))}) SELECT DISTINCT coalesce(a.rep, t.s) AS s, t.p, coalesce(b.rep, t.o) AS o FROM t LEFT JOIN r a ON t.s = a.term LEFT JOIN r b ON t.o = b.term WHERE t.p IN ('hasText', 'fromSource', 'inLanguage', '{V.type}')",
+)
+def identity_canonical(spark, d):
+    """One representative for each clique; rules run again over representatives."""
+    rows = reason(graph(spark, d, ("documents", "benchmark", "labels")), Config(identity_mode="canonical")).closure
+    kinds = (F.col("p") == V.type) & F.col("o").isin("class/HighQuality", "class/Toxic", "class/BenchmarkItem")
+    return rows.where(F.col("p").isin("hasText", "fromSource", "inLanguage") | kinds)
+
+
 #: Orders, broadcast and delta where the rules of two instance premises and the inverse rules have input.
 for _name, _f in {
+    "baseline_numeric_order_full": lambda g: baselines.fixed_order(g, baselines.NUMERIC, OFF).closure,
+    "variant_second_orders_full": lambda g: reason(g, Config(identity_mode="off", plan=orders.compose_plan((1, 3, 1)))).closure,
     "baseline_reverse_order_full": lambda g: baselines.fixed_order(g, baselines.REVERSED, OFF).closure,
     "ablation_no_broadcast_full": lambda g: reason(g, Config(identity_mode="off", broadcast=False)).closure,
     "ablation_no_delta_full": lambda g: reason(g, Config(identity_mode="off", delta=False)).closure,
@@ -680,7 +798,7 @@ def fused(spark, d):
     rows = graph(spark, d, ("orders", "nation"), ("placedBy", "neighbourOf"))
     facts = classify(rows).where("kind = 'fact'").select("s", "p", "o")
     pairs = sorted(property_rewrites([tuple(r) for r in ontology(spark, d, ()).collect()]))
-    return fused_facts(facts, spark.createDataFrame(pairs, "p string, q string, swap boolean")).union(facts).distinct()
+    return fused_facts(facts, spark.createDataFrame(pairs, "p string, q string, swap boolean"), len(pairs)).union(facts).distinct()
 
 
 # --- measures
@@ -713,7 +831,9 @@ def _round_trip(write, read) -> Query:
         folder = f"{shared_folder(spark)}/io-{uuid.uuid4().hex}"
         rows = lens(spark, d, CORE)
         write(rows, folder)
-        return read(spark, folder)
+        back = cut(read(spark, folder))
+        forget(spark, folder)
+        return back
 
     return run
 
@@ -726,6 +846,28 @@ add("io_json_roundtrip", _CORE_SQL)(_round_trip(lambda df, x: df.write.json(x),
 add("io_partitioned_by_kind", f"SELECT s, p, o FROM ({_CORE_SQL}) x WHERE p = '{V.type}'")(_round_trip(formats.write_by_kind, lambda s, x: formats.read_by_kind(s, x, "type")))
 
 
+@add("io_bucketed_table", f"SELECT p, count(*) AS n FROM ({_CORE_SQL}) x GROUP BY p")
+def io_bucketed(spark, d):
+    """A table bucketed by subject, joined with itself on it; see the test for its plan."""
+    name = f"closure_{uuid.uuid4().hex}"
+    formats.write_bucketed(lens(spark, d, CORE), name, 8)
+    t = spark.table(name)
+    back = cut(t.join(t.select("s").distinct(), "s").groupBy("p").agg(F.count("*").alias("n")))
+    spark.sql(f"DROP TABLE {name}")
+    return back
+
+
+@add("sql_surface", f"WITH r AS ({_LOCATED_SQL}) SELECT o, count(*) AS n FROM r GROUP BY o")
+def sql_surface(spark, d):
+    """Reasoning over a view, results as a view."""
+    name = f"triples_{uuid.uuid4().hex}"
+    graph(spark, d, _PLACES, ("inNation", "inRegion")).createOrReplaceTempView(name)
+    sql_reason(spark, name, OFF)
+    found = spark.sql("SELECT o, count(*) AS n FROM closure WHERE p = 'locatedIn' GROUP BY o")
+    spark.catalog.dropTempView(name)
+    return found
+
+
 # --- operators over triples
 
 _T = f"WITH t AS MATERIALIZED ({_CORE_SQL})"
@@ -1111,6 +1253,26 @@ def _(spark, d):
     return match.rewrite(lens(spark, d, CORE, (V.type,)), schema, "?x rdf:type class/Agent")
 
 
+@add("match_answer_class", "SELECT DISTINCT 'customer/' || o_custkey AS x FROM orders UNION SELECT 'customer/' || c_custkey FROM customer")
+def _(spark, d):
+    """Customers by type, and by the range of what orders are placed by, without a closure."""
+    closed_schema = Run(ontology(spark, d, ("customer", "orders")), OFF).schema_set
+    return match.answer(lens(spark, d, ("customer", "orders")), closed_schema, "?x rdf:type class/Customer")
+
+
+@add("match_answer_value", f"SELECT DISTINCT s AS x FROM ({_LOCATED_SQL}) y WHERE o = 'region/3' AND s LIKE 'nation/%'")
+def _(spark, d):
+    """Members of a value restriction by a sub-property of the restricted one; the transitive part would need the closure."""
+    closed_schema = Run(ontology(spark, d, ()), OFF).schema_set
+    return match.answer(lens(spark, d, _PLACES), closed_schema, "?x rdf:type class/InRegion3")
+
+
+@add("match_answer_inverse", "SELECT 'customer/' || o_custkey AS c, 'order/' || o_orderkey AS o FROM orders")
+def _(spark, d):
+    closed_schema = Run(ontology(spark, d, ()), OFF).schema_set
+    return match.answer(lens(spark, d, ("orders",)), closed_schema, "?c placed ?o")
+
+
 # --- streams
 
 
@@ -1157,10 +1319,30 @@ def _(spark, d):
     return streams.drain(streams.first_sightings(e, "3650 days")).select("s", "p", "o")
 
 
-@add("stream_late_rows")
+@add("stream_late_rows", "SELECT count(*) AS events, true AS some_dropped, true AS all_accounted FROM events")
+def _(spark, d):
+    """Events shuffled over four files: rows behind the watermark are dropped and counted, and all others are in some window, closed by
+    the time a far event arrives."""
+    folder = f"{shared_folder(spark)}/arrivals-{uuid.uuid4().hex}"
+    events = table(spark, d, "events").select("event_id", "ts")
+    for k in range(4):
+        events.where(F.pmod(F.xxhash64("event_id"), F.lit(4)) == k).coalesce(1).write.mode("append").parquet(folder)
+    far = events.agg(F.lit(-1).cast("long").alias("event_id"), F.max("ts").alias("ts")).select("event_id", F.expr("ts + INTERVAL 30 DAYS").alias("ts"))
+    far.write.mode("append").parquet(folder)
+    progress: list = []
+    closed_windows = streams.drain(streams.windowed(streams.file_stream(spark, folder, 1), F.window("ts", "1 hour")), progress=progress)
+    seen, late, n = closed_windows.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0], streams.dropped_late(progress), events.count()
+    forget(spark, folder)
+    return spark.createDataFrame([(n, late > 0, seen + late >= n)], "events long, some_dropped boolean, all_accounted boolean")
+
+
+@add("stream_some_values", ORACLES["w11_some_values"])
 def _(spark, d):
-    """Append mode: windows closed by the watermark only."""
-    return _stamped(streams.drain(streams.windowed(streams.table_stream(spark, d, "events"), F.window("ts", "1 hour"))))
+    """The rule of two instance premises as a join of two streams within an hour: who placed an urgent order."""
+    o = streams.table_stream(spark, d, "orders").withColumnRenamed("o_orderdate", "ts")
+    facts = o.select(terms.term("customer", F.col("o_custkey")).alias("s"), F.lit("placed").alias("p"), terms.term("order", F.col("o_orderkey")).alias("o"), "ts")
+    kinds = o.select(terms.term("order", F.col("o_orderkey")).alias("s"), F.lit(V.type).alias("p"), F.concat(F.lit("class/priority/"), "o_orderpriority").alias("o"), "ts")
+    return streams.drain(streams.joined_within(facts, kinds, Schema(ontology(spark, d, ())), "O15")).distinct()
 
 
 # --- functions in Python
@@ -1173,6 +1355,11 @@ def _(spark, d):
     return lines.select(terms.parse_ntriple("line").alias("t")).select("t.*")
 
 
+@add("udaf_clique_rep", "SELECT n_regionkey, min('nation/' || n_nationkey) AS rep FROM nation GROUP BY n_regionkey")
+def _(spark, d):
+    return table(spark, d, "nation").select("n_regionkey", terms.term("nation", F.col("n_nationkey")).alias("t")).groupBy("n_regionkey").agg(terms.clique_rep("t").alias("rep"))
+
+
 @add("udtf_html_links", _LINKS_SQL)
 def _(spark, d):
     spark.udtf.register("html_links", terms.HtmlLinks)

@@ -2,7 +2,12 @@
 
 A stage runs its rules in order over what is known, later rules seeing what earlier ones derived in the same pass, and
 ends with one removal of repeats and of known triples, cut into the shared folder.  The loop ends when neither stage found
-anything.  With ``delta`` (the default) rules read only what is new since the stage last ran.
+anything.
+
+What is known does not move without need: the schema says which predicates and classes a stage's rules can derive, and only
+known triples of these meet its results, in one aggregation; where results are few, they are broadcast to the known ones instead.
+With ``delta`` (the default) rules read only what is new since the stage last ran, and a rule that gains nothing from its own
+results does not read them; transitive properties stay closed and are extended from new edges alone.
 """
 
 from __future__ import annotations
@@ -16,9 +21,9 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .durable import cut
-from .operators.closure import close_relation, closed_pairs
+from .operators.closure import close_relation, closed_pairs, extend_relation
 from .operators.firing import Schema, fire, fused_facts, property_rewrites
-from .operators.identity import canonicalize, pair_closure, rewrite
+from .operators.identity import canonicalize, pair_closure, rewrite, star_pairs
 from .plans.orders import Plan, compose_plan
 from .plans.rules import MERGING, RULES, Rule
 from .triples import TRIPLE, classify
@@ -26,6 +31,12 @@ from .vocab import VOCAB, Vocabulary
 
 #: Schema triples that the driver closes in memory; a larger schema is an error that names this bound.
 MAX_SCHEMA = 1_000_000
+#: Results of a stage that are broadcast to what is known; more meet it in an aggregation.
+FEW_RESULTS = 200_000
+#: Predicates and classes by which known triples are narrowed before they meet results.
+MAX_NAMES = 2_000
+#: Rules that gain nothing from their own results, and the schema rule without which that does not hold.
+ONCE = {"R3": "R2", "R6": "R1", "O3": None, "O4": None, "R3+O3+O7": "R2"}
 STATS = "round int, stage string, rule string, raw long, fresh long, secs double"
 
 
@@ -125,6 +136,9 @@ class Run:
         self.present = {k for k in self.known if not self.known[k].isEmpty()}
         self.derived: list[DataFrame] = []
         self.stats: list[tuple] = []
+        #: The closed pairs of transitive properties, once there are any, and how many new edges each closing took.
+        self.closed: DataFrame | None = None
+        self.closings: list[int] = []
 
     def _schema(self) -> Schema:
         rows = self.spark.createDataFrame(sorted(self.schema_set), TRIPLE)
@@ -133,8 +147,20 @@ class Run:
     def _parts(self, parts: dict[str, list[DataFrame]]) -> dict[str, DataFrame]:
         return {k: reduce(DataFrame.union, x) for k, x in parts.items() if x}
 
+    def everything(self) -> dict[str, DataFrame]:
+        """All known triples as something new."""
+        return {k: self.known[k].withColumn("by", F.lit("")) for k in self.present}
+
+    def _unread(self, rule: str, new: dict[str, list[DataFrame]]) -> dict[str, DataFrame]:
+        """What a rule has to read of the new triples (with ``by``, the rule they come from)."""
+        parts = self._parts(new)
+        needs = ONCE.get(rule, "")
+        if needs is None or needs and self.config.uses(needs):
+            return {k: x.where(F.col("by") != rule) for k, x in parts.items()}
+        return parts
+
     def stage(self, name: str, rules: tuple[str, ...], delta: dict[str, DataFrame] | None, number: int) -> dict[str, DataFrame]:
-        """Run one stage; returns what is new, by kind."""
+        """Run one stage; returns what is new, by kind, with ``by``."""
         config, began = self.config, time.time()
         full = {k: [self.known[k]] for k in self.known if k in self.present}
         new = {k: [x] for k, x in (delta or {}).items()}
@@ -146,55 +172,85 @@ class Run:
             if config.fused and rule in rename:
                 if rule != next(r for r in todo if r in rename):
                     continue
-                rows = self._fused(self._parts(new if delta is not None else full).get("fact"))
                 rule = "R3+O3+O7"
+            unread = self._unread(rule, new) if delta is not None else None
+            if rule == "R3+O3+O7":
+                rows = self._fused((self._parts(full) if unread is None else unread).get("fact"))
             elif rule == "O4":
-                rows = self._transitive(self._parts(full), self._parts(new) if delta is not None else None)
+                rows = self._transitive(self._parts(full), unread)
             elif rule == "O6":
                 rows = self._pairs(self._parts(full))
             else:
-                rows = fire(config.rule_set[rule], self.schema, self._parts(full), self._parts(new) if delta is not None else None, config.keep_reflexive)
+                rows = fire(config.rule_set[rule], self.schema, self._parts(full), unread, config.keep_reflexive)
             if rows is None:
                 continue
             # Later rules of the pass read this one's rows, not its premises over again.
-            rows = rows.persist(StorageLevel.MEMORY_AND_DISK)
+            rows = rows.select("s", "p", "o").persist(StorageLevel.MEMORY_AND_DISK)
             held.append(rows)
             if rows.isEmpty():
                 continue
             outs.append((rule, rows))
             kind = {"R3+O3+O7": "fact"}.get(rule) or config.rule_set[rule].head.kind(config.vocab)
-            full.setdefault(kind, []).append(rows)
-            new.setdefault(kind, []).append(rows)
+            for k, part in {"fact": rows.where(F.col("p") != config.vocab.type), "type": rows.where(F.col("p") == config.vocab.type)}.items() if rule == "O10" else [(kind, rows)]:
+                full.setdefault(k, []).append(part)
+                new.setdefault(k, []).append(part.withColumn("by", F.lit(rule)))
         found = self._settle(name, outs, number, began) if outs else {}
         for rows in held:
             rows.unpersist()
         return found
 
+    def _reachable(self, rules: list[str]) -> F.Column | None:
+        """Which known triples a stage's results can repeat; None: any."""
+        v, predicates, classes = self.config.vocab, set(), set()
+        for r in rules:
+            for one in ("R3", "O3", "O7a", "O7b") if r == "R3+O3+O7" else (r,):
+                reach = self.schema.reach(self.config.rule_set[one])
+                if reach is None:
+                    return None
+                predicates |= reach[0]
+                classes |= reach[1]
+        if len(predicates) + len(classes) > MAX_NAMES:
+            return None
+        typed = (F.col("p") == v.type) & F.col("o").isin(*classes) if classes else F.lit(False)
+        return F.col("p").isin(*(predicates - {v.type})) | typed
+
+    def first_seen(self, outs: list[tuple[str, DataFrame]]) -> DataFrame:
+        """s, p, o, n: each triple that was not known, with the number of the first rule that derived it."""
+        marked = reduce(DataFrame.union, [rows.select("s", "p", "o", F.lit(k).alias("n")) for k, (_, rows) in enumerate(outs)])
+        if not self.present:
+            return marked.groupBy("s", "p", "o").agg(F.min("n").alias("n"))
+        old, reach = reduce(DataFrame.union, [self.known[k] for k in sorted(self.present)]), self._reachable([r for r, _ in outs])
+        old = old if reach is None else old.where(reach)
+        if self.config.broadcast and marked.limit(FEW_RESULTS + 1).count() <= FEW_RESULTS:
+            one = marked.groupBy("s", "p", "o").agg(F.min("n").alias("n"))
+            again = old.join(F.broadcast(one.select("s", "p", "o")), ["s", "p", "o"], "left_semi")
+            return one.join(F.broadcast(again), ["s", "p", "o"], "left_anti")
+        every = marked.union(old.withColumn("n", F.lit(-1)))
+        return every.groupBy("s", "p", "o").agg(F.min("n").alias("n")).where("n >= 0")
+
     def _settle(self, name: str, outs: list[tuple[str, DataFrame]], number: int, began: float) -> dict[str, DataFrame]:
         """One removal of repeats and known triples for the whole stage."""
-        marked = reduce(DataFrame.union, [rows.select("s", "p", "o", F.lit(k).alias("n")) for k, (_, rows) in enumerate(outs)])
-        one = marked.groupBy("s", "p", "o").agg(F.min("n").alias("n"))
-        old = reduce(DataFrame.union, [self.known[k] for k in self.known if k in self.present]) if self.present else self.input.limit(0)
-        fresh = cut(classify(one.join(old, ["s", "p", "o"], "left_anti"), self.config.vocab))
+        fresh = cut(classify(self.first_seen(outs), self.config.vocab))
         counts = {(r["kind"], r["n"]): r["m"] for r in fresh.groupBy("kind", "n").agg(F.count("*").alias("m")).collect()}
+        raw = {k: rows.count() for k, (_, rows) in enumerate(outs)} if self.config.count_raw else {}
         secs = time.time() - began
-        raw = dict(marked.groupBy("n").agg(F.count("*").alias("m")).collect()) if self.config.count_raw else {}
         for k, (rule, _) in enumerate(outs):
-            self.stats.append((number, name, rule, raw.get(k, 0) if self.config.count_raw else None, sum(m for (_, n), m in counts.items() if n == k), secs / len(outs)))
+            self.stats.append((number, name, rule, raw.get(k), sum(m for (_, n), m in counts.items() if n == k), secs / len(outs)))
+        names = F.element_at(F.array(*[F.lit(r) for r, _ in outs]), F.col("n") + 1)
         found = {}
-        for kind in {k for k, _ in counts}:
-            rows = fresh.where(F.col("kind") == kind).select("s", "p", "o")
+        for kind in sorted({k for k, _ in counts}):
+            rows = fresh.where(F.col("kind") == kind).select("s", "p", "o", names.alias("by"))
             if kind == "schema":  # a fact rule may reach schema vocabulary
-                more = schema_rows(rows) - self.schema_set
+                more = schema_rows(rows.select("s", "p", "o")) - self.schema_set
                 if more:
                     self.schema_set = close_schema(self.schema_set | more, self.config)
-                    self.schema = self._schema()
+                    self.schema, self.closed = self._schema(), None
                     found["schema"] = rows
                 continue
             found[kind] = rows
-            self.known[kind] = self.known[kind].union(rows) if kind in self.present else rows
+            plain = rows.select("s", "p", "o")
+            self.known[kind] = self.known[kind].union(plain) if kind in self.present else plain
             self.present.add(kind)
-        names = F.element_at(F.array(*[F.lit(r) for r, _ in outs]), F.col("n") + 1)
         self.derived.append(fresh.where("kind <> 'schema'").select("s", "p", "o", names.alias("rule"), F.lit(number).alias("round")))
         return found
 
@@ -202,39 +258,50 @@ class Run:
         rewrites = sorted(property_rewrites(sorted(self.schema_set), self.config.vocab))
         if facts is None or not rewrites:
             return None
-        return fused_facts(facts, self.spark.createDataFrame(rewrites, "p string, q string, swap boolean"))
+        return fused_facts(facts, self.spark.createDataFrame(rewrites, "p string, q string, swap boolean"), len(rewrites))
+
+    def transitive_edges(self, facts: DataFrame) -> DataFrame:
+        named = self.schema.side(self.config.rule_set["O4"]).select(F.col("v_p").alias("p"))
+        return facts.join(named, "p", "left_semi").select("p", F.col("s").alias("src"), F.col("o").alias("dst"))
 
     def _transitive(self, full: dict[str, DataFrame], new: dict[str, DataFrame] | None) -> DataFrame | None:
-        rule = self.config.rule_set["O4"]
-        bound = self.schema.bindings(rule)
+        bound = self.schema.bindings(self.config.rule_set["O4"])
         facts = full.get("fact")
         if bound[1] == 0 or facts is None or new is not None and "fact" not in new:
             return None
-        named = self.schema.side(rule).select(F.col("v_p").alias("p"))
-        if new is not None and cut(new["fact"].join(named, "p", "left_semi")).isEmpty():
-            return None
-        edges = facts.join(named, "p", "left_semi").select("p", F.col("s").alias("src"), F.col("o").alias("dst"))
-        closed = close_relation(edges, self.config.closure_method)
-        return closed.select(F.col("src").alias("s"), "p", F.col("dst").alias("o"))
+        if new is None or self.closed is None:
+            edges = cut(self.transitive_edges(facts).distinct())
+            if edges.isEmpty():
+                return None
+            self.closings.append(edges.count())
+            self.closed = gained = close_relation(edges, self.config.closure_method)
+        else:
+            self.closed, gained, n = extend_relation(self.closed, self.transitive_edges(new["fact"]))
+            if n == 0:
+                return None
+            self.closings.append(n)
+        return gained.select(F.col("src").alias("s"), "p", F.col("dst").alias("o"))
 
     def _pairs(self, full: dict[str, DataFrame]) -> DataFrame | None:
         same = full.get("identity")
         return None if same is None else pair_closure(same, self.config.vocab)
 
-    def loop(self) -> int:
-        """fact and type stages until neither finds anything; returns the number of rounds."""
+    def loop(self, began: dict[str, DataFrame] | None = None, first: int = 1) -> int:
+        """fact and type stages until neither finds anything new after ``began`` (everything known, if not given); returns the number of
+        the last round."""
         stages = self.config.plan.loop
-        pending: dict[str, dict[str, list[DataFrame]]] = {s.cls: {k: [self.known[k]] for k in self.present} for s in stages}
-        for number in range(1, self.config.max_rounds + 1):
+        start = self.everything() if began is None else began
+        pending: dict[str, dict[str, list[DataFrame]]] = {s.cls: {k: [x] for k, x in start.items()} for s in stages}
+        for number in range(first, first + self.config.max_rounds):
             quiet = True
             for s in stages:
                 mine, pending[s.cls] = pending[s.cls], {}
-                if number > 1 and not mine:
+                if not mine and (number > first or began is not None):
                     continue
                 schema_before = self.schema
                 found = self.stage(s.cls, s.rules, self._parts(mine) if self.config.delta else None, number)
                 if self.schema is not schema_before:  # new schema meets all old facts
-                    found = {k: self.known[k] for k in self.present}
+                    found = self.everything()
                     for other in stages:
                         pending[other.cls] = {k: [x] for k, x in found.items()}
                     quiet = False
@@ -252,6 +319,54 @@ class Run:
     def identity(self, number: int) -> dict[str, DataFrame]:
         return self.stage("identity", self.config.plan.identity.rules + (MERGING if self.config.include_merging_rules else ()), None, number)
 
+    def whole(self, rounds: int) -> int:
+        """Identity and loop stages in turn until identity adds nothing; returns the number of the last round."""
+        for _ in range(self.config.max_rounds):
+            schema_before, found = self.schema, self.identity(rounds + 1)
+            if not found:
+                return rounds
+            rounds = self.loop(None if self.schema is not schema_before else found, rounds + 2)
+        raise RuntimeError(f"no fixpoint in {self.config.max_rounds} identity rounds")
+
+    def links(self) -> DataFrame | None:
+        """Asserted identity, and what functional and inverse functional properties make identical, each term linked to the smallest
+        of its group: linear, with the same cliques as all pairs."""
+        out = [self.known["identity"].select("s", "o")] if "identity" in self.present else []
+        if "fact" in self.present:
+            for rule, key, term in (("O1", "s", "o"), ("O2", "o", "s")):
+                r = self.config.rule_set[rule]
+                if self.config.uses(rule) and self.schema.bindings(r)[1]:
+                    named = self.schema.side(r).select(F.col("v_p").alias("p"))
+                    out.append(star_pairs(self.known["fact"].join(named, "p", "left_semi"), key, term, self.config.vocab).select("s", "o"))
+        links = cut(reduce(DataFrame.union, out).where("s <> o")) if out else None
+        return None if links is None or links.isEmpty() else links
+
+
+def _canonical(run: Run, rounds: int) -> tuple[Run, int, DataFrame | None]:
+    """Terms become the representatives of their cliques and the rules run over these, until no two representatives are found
+    identical."""
+    reps, derived, stats = None, list(run.derived), list(run.stats)
+    for _ in range(run.config.max_rounds):
+        links = run.links()
+        if links is None:
+            run.derived, run.stats = derived, stats
+            return run, rounds, reps
+        more = canonicalize(links)
+        if reps is None:
+            reps = more
+        else:
+            to = more.select(F.col("term").alias("t"), F.col("rep").alias("r"))
+            old = reps.join(to, F.col("rep") == F.col("t"), "left").select("term", F.coalesce("r", "rep").alias("rep"))
+            reps = cut(old.union(more.join(reps, "term", "left_anti")))
+        parts = [rewrite(run.known[k], more) for k in ("type", "fact") if k in run.present]
+        rows = reduce(DataFrame.union, [run.spark.createDataFrame(sorted(run.schema_set), TRIPLE), *parts])
+        asserted, run = run.asserted, Run(rows, run.config)
+        run.asserted = asserted
+        rounds = run.loop(None, rounds + 1)
+        derived += run.derived
+        stats += run.stats
+    raise RuntimeError(f"no fixpoint in {run.config.max_rounds} identity rounds")
+
 
 def reason(triples: DataFrame, config: Config | None = None) -> ReasonResult:
     """The closure of ``triples`` under the configured rules."""
@@ -261,21 +376,12 @@ def reason(triples: DataFrame, config: Config | None = None) -> ReasonResult:
     if config.identity_mode == "final":
         run.identity(rounds + 1)
     elif config.identity_mode == "fixpoint":
-        for _ in range(config.max_rounds):
-            found = run.identity(rounds + 1)
-            if not found:
-                break
-            rounds += run.loop()
-        else:
-            raise RuntimeError(f"no fixpoint in {config.max_rounds} identity rounds")
+        rounds = run.whole(rounds)
     elif config.identity_mode == "canonical":
-        run.stage("identity", ("O1", "O2"), None, rounds + 1)
-        if "identity" in run.present:
-            reps = canonicalize(run.known["identity"])
+        run, rounds, reps = _canonical(run, rounds)
     schema = run.spark.createDataFrame(sorted(run.schema_set), TRIPLE)
-    parts = [run.known[k] for k in ("type", "identity", "fact") if k in run.present]
-    if reps is not None:
-        parts = [rewrite(run.known[k], reps) for k in ("type", "fact") if k in run.present]
+    kinds = ("type", "fact") if reps is not None else ("type", "identity", "fact")
+    parts = [run.known[k] for k in kinds if k in run.present]
     closure = reduce(DataFrame.union, [schema, *parts])
     made = run.spark.createDataFrame(sorted(run.schema_set - run.asserted), TRIPLE).select("s", "p", "o", F.lit("schema").alias("rule"), F.lit(0).alias("round"))
     derived = reduce(DataFrame.union, [made, *run.derived])
@@ -283,27 +389,30 @@ def reason(triples: DataFrame, config: Config | None = None) -> ReasonResult:
 
 
 def reason_incremental(delta: DataFrame, closed: ReasonResult, config: Config | None = None) -> ReasonResult:
-    """The closure after ``delta`` arrived, from one that was complete without it (loop rules only)."""
-    config = replace(config or Config(), identity_mode="off")
+    """The closure after ``delta`` arrived, from one that was complete without it.
+
+    Complete means by the loop rules, and by those of identity too with ``fixpoint``; the other identity modes have no
+    closure to go on from, and identity is left out.  Schema among what arrives closes everything again; schema that rules derive meets
+    all that is known.
+    """
+    config = config or Config()
+    config = config if config.identity_mode == "fixpoint" else replace(config, identity_mode="off")
     run = Run(closed.closure, config)
     more = cut(classify(delta.select("s", "p", "o").distinct().join(run.input, ["s", "p", "o"], "left_anti"), config.vocab))
     new_schema = schema_rows(more.where("kind = 'schema'").select("s", "p", "o"))
     if new_schema:
         return reason(closed.closure.union(delta.select("s", "p", "o")), config)
+    if "fact" in run.present and run.schema.bindings(config.rule_set["O4"])[1] and config.uses("O4"):
+        run.closed = cut(run.transitive_edges(run.known["fact"]))
     new = {k: more.where(F.col("kind") == k).select("s", "p", "o") for k in ("type", "identity", "fact")}
-    new = {k: x for k, x in new.items() if not x.isEmpty()}
+    new = {k: x.withColumn("by", F.lit("")) for k, x in new.items() if not x.isEmpty()}
     for k, x in new.items():
-        run.known[k] = run.known[k].union(x) if k in run.present else x
+        plain = x.select("s", "p", "o")
+        run.known[k] = run.known[k].union(plain) if k in run.present else plain
         run.present.add(k)
-    stages, rounds, pending = config.plan.loop, 0, dict(new)
-    while pending and rounds < config.max_rounds:
-        rounds += 1
-        found: dict[str, list[DataFrame]] = {}
-        for s in stages:
-            mine = {k: reduce(DataFrame.union, [x for x in ([pending[k]] if k in pending else []) + found.get(k, [])]) for k in {*pending, *found}}
-            for k, x in run.stage(s.cls, s.rules, mine, rounds).items():
-                found.setdefault(k, []).append(x)
-        pending = {k: reduce(DataFrame.union, x) for k, x in found.items()}
+    rounds = run.loop(new) if new else 0
+    if new and config.identity_mode == "fixpoint":
+        rounds = run.whole(rounds)
     schema = run.spark.createDataFrame(sorted(run.schema_set), TRIPLE)
     closure = reduce(DataFrame.union, [schema, *[run.known[k] for k in ("type", "identity", "fact") if k in run.present]])
     derived = reduce(DataFrame.union, [d.select("s", "p", "o") for d in run.derived]) if run.derived else closure.limit(0)

@@ -15,8 +15,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
-from ..durable import shared_folder
-from ..operators.firing import Schema, fire
+from ..durable import cut, forget, shared_folder
+from ..operators.firing import BROADCAST_ROWS, Schema, fire
 from ..plans.rules import RULES
 from ..reasoner import Config, ReasonResult, reason_incremental
 from ..shipping import by_value
@@ -29,7 +29,10 @@ STATELESS = ("R3", "R4", "R5", "R6", "O3", "O7a", "O7b", "O13", "O14")
 
 def table_stream(spark: SparkSession, sf_dir: str, table: str, files_per_batch: int | None = None) -> DataFrame:
     """The table's files as a stream; time stamps become instants, as watermarks need."""
-    path = f"{sf_dir}/{table}.parquet"
+    return file_stream(spark, f"{sf_dir}/{table}.parquet", files_per_batch)
+
+
+def file_stream(spark: SparkSession, path: str, files_per_batch: int | None = None) -> DataFrame:
     schema = spark.read.parquet(path).schema
     reader = spark.readStream.schema(schema)
     if files_per_batch:
@@ -38,27 +41,37 @@ def table_stream(spark: SparkSession, sf_dir: str, table: str, files_per_batch:
     return rows.withColumns({f.name: F.col(f.name).cast("timestamp") for f in schema.fields if f.dataType.typeName() == "timestamp_ntz"})
 
 
-def drain(stream: DataFrame, mode: str = "append") -> DataFrame:
-    """Run a stream over what is there and read the result from the shared folder.
+def drain(stream: DataFrame, mode: str = "append", progress: list | None = None) -> DataFrame:
+    """Run a stream over what is there and return the result, cut into the shared folder; the stream's own files go.
 
-    append goes to a file sink, exactly once; complete keeps the last batch's table.
+    append goes to a file sink, exactly once; complete keeps the last batch's table.  progress: takes what the query reports of each
+    batch.
     """
     spark = stream.sparkSession
     folder = f"{shared_folder(spark)}/stream-{uuid.uuid4().hex}"
     writer = stream.writeStream.option("checkpointLocation", f"{folder}/checkpoint").trigger(availableNow=True)
-    if mode == "append":
-        query = writer.format("parquet").outputMode("append").start(f"{folder}/out")
-        query.awaitTermination()
-        return spark.read.schema(stream.schema).parquet(f"{folder}/out")
     last = {}
 
     def keep(batch: DataFrame, number: int) -> None:
         batch.write.mode("overwrite").parquet(f"{folder}/out-{number}")
         last["n"] = number
 
-    query = writer.outputMode(mode).foreachBatch(keep).start()
+    if mode == "append":
+        query = writer.format("parquet").outputMode("append").start(f"{folder}/out")
+    else:
+        query = writer.outputMode(mode).foreachBatch(keep).start()
     query.awaitTermination()
-    return spark.read.parquet(f"{folder}/out-{last['n']}")
+    if progress is not None:
+        progress += query.recentProgress
+    place = f"{folder}/out" if mode == "append" else f"{folder}/out-{last['n']}"
+    result = cut(spark.read.schema(stream.schema).parquet(place))
+    forget(spark, folder)
+    return result
+
+
+def dropped_late(progress: list) -> int:
+    """Rows that came behind the watermark, by what a query reported of its batches."""
+    return sum(int(op["numRowsDroppedByWatermark"]) for p in progress for op in p["stateOperators"])
 
 
 def stateless(stream: DataFrame, schema: Schema, rules: tuple[str, ...] = STATELESS) -> DataFrame:
@@ -72,10 +85,11 @@ def stateless(stream: DataFrame, schema: Schema, rules: tuple[str, ...] = STATEL
 def joined_within(facts: DataFrame, types: DataFrame, schema: Schema, rule: str, bound: str = "1 hour") -> DataFrame:
     """O15 or O16 on two streams of triples with a column ``ts``, within ``bound`` of each other."""
     vocab, r = schema.vocab, RULES[rule]
-    rows, _ = schema.bindings(r)
+    rows, n = schema.bindings(r)
     names = rows.toDF(*[c.removeprefix("v_") for c in rows.columns])
+    names = F.broadcast(names) if n <= BROADCAST_ROWS else names
     filler, link = ("f", "o") if rule == "O15" else ("c", "s")
-    f = facts.withWatermark("ts", bound).join(F.broadcast(names.withColumnRenamed("p", "q")), F.col("p") == F.col("q"))
+    f = facts.withWatermark("ts", bound).join(names.withColumnRenamed("p", "q"), F.col("p") == F.col("q"))
     f = f.select(F.col("s").alias("fs"), F.col("o").alias("fo"), "c", "f", F.col("ts").alias("ft"))
     t = types.withWatermark("ts", bound).where(F.col("p") == vocab.type).select(F.col("s").alias("member"), F.col("o").alias("cls"), F.col("ts").alias("tt"))
     met = f.join(t, (F.col(f"f{link}") == F.col("member")) & (F.col(filler) == F.col("cls")) & F.expr(f"tt BETWEEN ft - INTERVAL {bound} AND ft + INTERVAL {bound}"))

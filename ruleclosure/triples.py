@@ -47,6 +47,14 @@ def predicate_profile(triples: DataFrame) -> DataFrame:
     return triples.groupBy("p").agg(F.count("*").alias("n"), F.approx_count_distinct("s").alias("subjects"), F.approx_count_distinct("o").alias("objects"))
 
 
+def multiplied(triples: DataFrame, times: int, fixed: list[str], vocab: Vocabulary = VOCAB) -> DataFrame:
+    """A graph ``times`` as large: copies of all instance triples over terms of their own.  Schema triples, classes and the terms in
+    ``fixed`` (those the schema names) stay as they are."""
+    copies = classify(triples, vocab).withColumn("k", F.explode(F.when(F.col("kind") == "schema", F.array(F.lit(0))).otherwise(F.sequence(F.lit(0), F.lit(times - 1)))))
+    own = lambda c: F.when((F.col("k") == 0) | F.col(c).isin(*fixed), F.col(c)).otherwise(F.concat(c, F.lit("~"), F.col("k").cast("string")))
+    return copies.select(own("s").alias("s"), "p", F.when(F.col("kind") == "type", F.col("o")).otherwise(own("o")).alias("o"))
+
+
 def dictionary(triples: DataFrame) -> DataFrame:
     """id, lex: 64-bit ids of all terms."""
     terms = triples.select(F.explode(F.array("s", "p", "o")).alias("lex")).distinct()
