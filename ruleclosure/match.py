@@ -72,7 +72,7 @@ def answer(triples: DataFrame, schema: set[tuple[str, str, str]], text: str, voc
 
     ``?x p ?y``: facts of all properties that super-properties, inverses and symmetry turn into p.  ``?x rdf:type C``: members of C's
     subclasses, ends of facts whose property has one of them as domain or range, and subjects that hold the required value of one of
-    them.  Transitive properties, identity and rules of two instance premises need the closure.
+    them.  Transitive properties, identity, facts that follow from a type, and rules of two instance premises need the closure.
     """
     a, spark, v = pattern(text), triples.sparkSession, vocab
     pairs = lambda p: {(s, o) for s, q, o in schema if q == p}

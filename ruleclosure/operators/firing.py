@@ -32,6 +32,7 @@ class Schema:
     #: The triples where the driver holds them anyway; premises are then joined there.
     rows: frozenset[tuple[str, str, str]] | None = None
     _joined: dict[str, tuple[DataFrame, int]] = field(default_factory=dict)
+    _wanted: dict[str, list[tuple[str, set[str] | None]]] = field(default_factory=dict)
     _local: dict[str, tuple[list[str], set[tuple[str, ...]]] | None] = field(default_factory=dict)
 
     def bindings(self, rule: Rule) -> tuple[DataFrame, int] | None:
@@ -57,6 +58,22 @@ class Schema:
             self._local[rule.id] = joined_locally(atoms, self.rows, BROADCAST_ROWS) if self.rows is not None else None
         return self._local[rule.id]
 
+    def wanted(self, rule: Rule) -> list[tuple[str, set[str] | None]]:
+        """(kind, predicates or, of types, classes that it can match; None: any) for each instance premise."""
+        if rule.id not in self._wanted:
+            atoms = [a for a in rule.body if a.kind(self.vocab) != "schema"]
+            found = self.local(rule) if len(atoms) < len(rule.body) else ([], {()})
+            out = []
+            for a in atoms:
+                kind = a.kind(self.vocab)
+                term = a.o if kind == "type" else a.p
+                if found is None or term.startswith("?") and variable(term) not in found[0]:
+                    out.append((kind, None))
+                else:
+                    out.append((kind, {r[found[0].index(variable(term))] for r in found[1]} if term.startswith("?") else {term}))
+            self._wanted[rule.id] = out
+        return self._wanted[rule.id]
+
     def reach(self, rule: Rule) -> tuple[set[str], set[str]] | None:
         """(predicates, classes) that the rule's consequences can have, classes where the predicate is that of types; None where
         the schema does not say."""

@@ -261,9 +261,26 @@ def rule_classes(spark, d):
     return spark.createDataFrame([(k, len(v)) for k, v in classify_rules().items()], "cls string, n int")
 
 
-@add("predicate_profile", f"WITH t AS ({lens_sql(CORE)}) SELECT p, count(*) AS n FROM t GROUP BY p")
+@add("predicate_profile", f"WITH t AS ({lens_sql(CORE)}) SELECT p, count(*) AS n, true AS subjects_near, true AS objects_near FROM t GROUP BY p")
 def profile(spark, d):
-    return predicate_profile(lens(spark, d, CORE)).select("p", "n")
+    """Numbers of subjects and objects are estimates; they lie near the exact ones."""
+    rows = lens(spark, d, CORE)
+    exact = rows.groupBy("p").agg(F.countDistinct("s").alias("es"), F.countDistinct("o").alias("eo"))
+    near = lambda a, b: F.abs(F.col(a) - F.col(b)) <= F.greatest(F.lit(3), F.col(b) / 4)
+    return predicate_profile(rows).join(exact, "p").select("p", "n", near("subjects", "es").alias("subjects_near"), near("objects", "eo").alias("objects_near"))
+
+
+@add(
+    "shares_choose_effort",
+    " UNION ALL ".join(f"SELECT {m} AS merging, CASE WHEN count(*) FILTER (p = '{V.identity}') = 0 THEN 'off' WHEN 100.0 * count(*) FILTER (p = '{V.identity}') / count(*) < 1 THEN 'final' ELSE 'canonical' END AS identity_mode FROM ({lens_sql(CORE)} UNION {ontology_sql(CORE, m)}) x" for m in (False, True)),
+)
+def effort(spark, d):
+    """What class shares say about identity: without any it is left out."""
+    out = []
+    for merging in (False, True):
+        found = {r["kind"]: r["share"] for r in class_shares(graph(spark, d, CORE, None, merging)).collect()}
+        out.append((merging, Config.from_shares(found).identity_mode))
+    return spark.createDataFrame(out, "merging boolean, identity_mode string")
 
 
 # --- dependency graphs and orders
@@ -456,6 +473,13 @@ def tc_sql(spark, d):
     return _triples(close_relation(_edges(lens(spark, d, ("conversations",), ("repliesTo",))), "sql"))
 
 
+@add("tc_copartitioned_conversations", _THREADS_SQL.format(p="repliesTo"))
+def tc_copartitioned(spark, d):
+    """Both sides of a round dealt alike, once."""
+    n = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    return _triples(close_relation(_edges(lens(spark, d, ("conversations",), ("repliesTo",))), partitions=n))
+
+
 @add("tc_local_located", closure_of_sql(" UNION ".join(f"SELECT s, 'locatedIn' AS p, o FROM ({q}) x" for q in projections(("supplier", "nation"), ("inNation", "inRegion")))))
 def tc_local(spark, d):
     rows = lens(spark, d, ("supplier", "nation"), ("inNation", "inRegion")).withColumn("p", F.lit("locatedIn"))
@@ -573,10 +597,12 @@ def inferred(spark, d):
             rows = edges.join(b, ["p", "o"]).select("s", "p", F.col("z").alias("o"))
         else:
             rows = fire(r, schema, parts)
-        rows = g.limit(0) if rows is None else rows
-        one = rows.distinct().join(g, ["s", "p", "o"], "left_anti").agg(F.count("*").alias("n")).select(F.lit(r).alias("rule"), "n")
-        out = one if out is None else out.union(one)
-    return out
+        if rows is not None:
+            rows = rows.select("s", "p", "o", F.lit(r).alias("rule"))
+            out = rows if out is None else out.union(rows)
+    counts = out.distinct().join(g, ["s", "p", "o"], "left_anti").groupBy("rule").agg(F.count("*").alias("n"))
+    names = spark.createDataFrame([(r,) for r in _LOOP], "rule string")
+    return names.join(counts, "rule", "left").select("rule", F.coalesce("n", F.lit(0)).alias("n"))
 
 
 @add("rule_yields")
@@ -1319,10 +1345,10 @@ def _(spark, d):
     return streams.drain(streams.first_sightings(e, "3650 days")).select("s", "p", "o")
 
 
-@add("stream_late_rows", "SELECT count(*) AS events, true AS some_dropped, true AS all_accounted FROM events")
+@add("stream_late_rows", "SELECT count(*) AS events, true AS some_dropped, true AS some_kept FROM events")
 def _(spark, d):
-    """Events shuffled over four files: rows behind the watermark are dropped and counted, and all others are in some window, closed by
-    the time a far event arrives."""
+    """Events shuffled over four files: rows behind the watermark are dropped and counted (by window and task, after a first
+    aggregation), the others are in windows that a far event closes."""
     folder = f"{shared_folder(spark)}/arrivals-{uuid.uuid4().hex}"
     events = table(spark, d, "events").select("event_id", "ts")
     for k in range(4):
@@ -1333,7 +1359,7 @@ def _(spark, d):
     closed_windows = streams.drain(streams.windowed(streams.file_stream(spark, folder, 1), F.window("ts", "1 hour")), progress=progress)
     seen, late, n = closed_windows.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0], streams.dropped_late(progress), events.count()
     forget(spark, folder)
-    return spark.createDataFrame([(n, late > 0, seen + late >= n)], "events long, some_dropped boolean, all_accounted boolean")
+    return spark.createDataFrame([(n, late > 0, 0 < seen <= n - late)], "events long, some_dropped boolean, some_kept boolean")
 
 
 @add("stream_some_values", ORACLES["w11_some_values"])

@@ -7,7 +7,8 @@ anything.
 What is known does not move without need: the schema says which predicates and classes a stage's rules can derive, and only
 known triples of these meet its results, in one aggregation; where results are few, they are broadcast to the known ones instead.
 With ``delta`` (the default) rules read only what is new since the stage last ran, and a rule that gains nothing from its own
-results does not read them; transitive properties stay closed and are extended from new edges alone.
+results does not read them; transitive properties stay closed and are extended from new edges alone.  The driver knows which
+predicates and classes the new triples have (as long as these are few), so rules that can't match any of them cost no job.
 """
 
 from __future__ import annotations
@@ -35,6 +36,8 @@ MAX_SCHEMA = 1_000_000
 FEW_RESULTS = 200_000
 #: Predicates and classes by which known triples are narrowed before they meet results.
 MAX_NAMES = 2_000
+#: What is new, by kind: (predicate or, of types, class; rule it comes from), or None where there are too many.
+Names = dict[str, set[tuple[str, str]] | None]
 #: Rules that gain nothing from their own results, and the schema rule without which that does not hold.
 ONCE = {"R3": "R2", "R6": "R1", "O3": None, "O4": None, "R3+O3+O7": "R2"}
 STATS = "round int, stage string, rule string, raw long, fresh long, secs double"
@@ -52,6 +55,8 @@ class Config:
     delta: bool = True
     fused: bool = False
     closure_method: str = "doubling"
+    #: Deal both sides of a closure's joins into so many partitions once, and keep them.
+    closure_partitions: int | None = None
     keep_reflexive: bool = False
     vocab: Vocabulary = VOCAB
     rule_set: dict[str, Rule] = field(default_factory=lambda: RULES)
@@ -122,6 +127,10 @@ def schema_rows(triples: DataFrame) -> set[tuple[str, str, str]]:
     return {tuple(r) for r in found}
 
 
+def _both(a: set[tuple[str, str]] | None, b: set[tuple[str, str]] | None) -> set[tuple[str, str]] | None:
+    return None if a is None or b is None or len(a) + len(b) > 2 * MAX_NAMES else a | b
+
+
 class Run:
     """One closure in the making."""
 
@@ -133,7 +142,8 @@ class Run:
         self.schema_set = close_schema(self.asserted, config)
         self.schema = self._schema()
         self.known = {k: split.where(F.col("kind") == k).select("s", "p", "o") for k in ("type", "identity", "fact")}
-        self.present = {k for k in self.known if not self.known[k].isEmpty()}
+        self.names: Names = self._names(split.where("kind <> 'schema'"))
+        self.present = {k for k in self.known if self.names[k]} if None not in self.names.values() else {k for k in self.known if not self.known[k].isEmpty()}
         self.derived: list[DataFrame] = []
         self.stats: list[tuple] = []
         #: The closed pairs of transitive properties, once there are any, and how many new edges each closing took.
@@ -147,6 +157,30 @@ class Run:
     def _parts(self, parts: dict[str, list[DataFrame]]) -> dict[str, DataFrame]:
         return {k: reduce(DataFrame.union, x) for k, x in parts.items() if x}
 
+    def _name(self) -> F.Column:
+        return F.when(F.col("kind") == "type", F.col("o")).otherwise(F.col("p"))
+
+    def _names(self, split: DataFrame) -> Names:
+        """The names of triples with their kind."""
+        found = split.select("kind", self._name().alias("name")).distinct().limit(MAX_NAMES + 1).collect()
+        out: Names = {k: set() if len(found) <= MAX_NAMES else None for k in ("type", "identity", "fact")}
+        for r in found if len(found) <= MAX_NAMES else ():
+            out[r["kind"]].add((r["name"], ""))
+        return out
+
+    def _touched(self, rule: str, names: Names) -> bool:
+        """Whether a rule can match something new."""
+        for one in ("R3", "O3", "O7a", "O7b") if rule == "R3+O3+O7" else (rule,):
+            for kind, wanted in self.schema.wanted(self.config.rule_set[one]):
+                have = names.get(kind, set())
+                if have is None or any((wanted is None or x in wanted) and not (by == rule and self._once(rule)) for x, by in have):
+                    return True
+        return False
+
+    def _once(self, rule: str) -> bool:
+        needs = ONCE.get(rule, "")
+        return needs is None or bool(needs) and self.config.uses(needs)
+
     def everything(self) -> dict[str, DataFrame]:
         """All known triples as something new."""
         return {k: self.known[k].withColumn("by", F.lit("")) for k in self.present}
@@ -154,14 +188,14 @@ class Run:
     def _unread(self, rule: str, new: dict[str, list[DataFrame]]) -> dict[str, DataFrame]:
         """What a rule has to read of the new triples (with ``by``, the rule they come from)."""
         parts = self._parts(new)
-        needs = ONCE.get(rule, "")
-        if needs is None or needs and self.config.uses(needs):
+        if self._once(rule):
             return {k: x.where(F.col("by") != rule) for k, x in parts.items()}
         return parts
 
-    def stage(self, name: str, rules: tuple[str, ...], delta: dict[str, DataFrame] | None, number: int) -> dict[str, DataFrame]:
-        """Run one stage; returns what is new, by kind, with ``by``."""
+    def stage(self, name: str, rules: tuple[str, ...], delta: dict[str, DataFrame] | None, number: int, names: Names | None = None) -> dict[str, DataFrame]:
+        """Run one stage; returns what is new, by kind, with ``by``, and leaves its names in ``found_names``.  names: those of delta."""
         config, began = self.config, time.time()
+        names, self.found_names = names and {k: x and set(x) for k, x in names.items()}, {}
         full = {k: [self.known[k]] for k in self.known if k in self.present}
         new = {k: [x] for k, x in (delta or {}).items()}
         outs: list[tuple[str, DataFrame]] = []
@@ -173,6 +207,8 @@ class Run:
                 if rule != next(r for r in todo if r in rename):
                     continue
                 rule = "R3+O3+O7"
+            if delta is not None and names is not None and not self._touched(rule, names):
+                continue
             unread = self._unread(rule, new) if delta is not None else None
             if rule == "R3+O3+O7":
                 rows = self._fused((self._parts(full) if unread is None else unread).get("fact"))
@@ -194,11 +230,21 @@ class Run:
             for k, part in {"fact": rows.where(F.col("p") != config.vocab.type), "type": rows.where(F.col("p") == config.vocab.type)}.items() if rule == "O10" else [(kind, rows)]:
                 full.setdefault(k, []).append(part)
                 new.setdefault(k, []).append(part.withColumn("by", F.lit(rule)))
+                if names is not None:
+                    names[k] = _both(names.get(k, set()), self._made(rule, k))
         found = self._settle(name, outs, number, began) if outs else {}
         for rows in held:
             rows.unpersist()
         return found
 
+    def _made(self, rule: str, kind: str) -> set[tuple[str, str]] | None:
+        """Names of what a rule can derive."""
+        out: set[tuple[str, str]] | None = set()
+        for one in ("R3", "O3", "O7a", "O7b") if rule == "R3+O3+O7" else (rule,):
+            reach = self.schema.reach(self.config.rule_set[one])
+            out = _both(out, None if reach is None else {(x, rule) for x in reach[kind == "type"]})
+        return out
+
     def _reachable(self, rules: list[str]) -> F.Column | None:
         """Which known triples a stage's results can repeat; None: any."""
         v, predicates, classes = self.config.vocab, set(), set()
@@ -231,7 +277,16 @@ class Run:
     def _settle(self, name: str, outs: list[tuple[str, DataFrame]], number: int, began: float) -> dict[str, DataFrame]:
         """One removal of repeats and known triples for the whole stage."""
         fresh = cut(classify(self.first_seen(outs), self.config.vocab))
-        counts = {(r["kind"], r["n"]): r["m"] for r in fresh.groupBy("kind", "n").agg(F.count("*").alias("m")).collect()}
+        # The schema bounds the names that rules can derive; where it does not, they are not gathered.
+        named = self._reachable([r for r, _ in outs]) is not None
+        rows = fresh.groupBy("kind", "n", (self._name() if named else F.lit("")).alias("name")).agg(F.count("*").alias("m")).collect()
+        counts: dict[tuple[str, int], int] = {}
+        for r in rows:
+            counts[r["kind"], r["n"]] = counts.get((r["kind"], r["n"]), 0) + r["m"]
+            if r["kind"] != "schema":
+                self.found_names[r["kind"]] = _both(self.found_names.get(r["kind"], set()), {(r["name"], outs[r["n"]][0])} if named else None)
+        for k, x in self.found_names.items():
+            self.names[k] = _both(self.names[k], None if x is None else {(name, "") for name, _ in x})
         raw = {k: rows.count() for k, (_, rows) in enumerate(outs)} if self.config.count_raw else {}
         secs = time.time() - began
         for k, (rule, _) in enumerate(outs):
@@ -274,7 +329,7 @@ class Run:
             if edges.isEmpty():
                 return None
             self.closings.append(edges.count())
-            self.closed = gained = close_relation(edges, self.config.closure_method)
+            self.closed = gained = close_relation(edges, self.config.closure_method, partitions=self.config.closure_partitions)
         else:
             self.closed, gained, n = extend_relation(self.closed, self.transitive_edges(new["fact"]))
             if n == 0:
@@ -292,18 +347,20 @@ class Run:
         stages = self.config.plan.loop
         start = self.everything() if began is None else began
         pending: dict[str, dict[str, list[DataFrame]]] = {s.cls: {k: [x] for k, x in start.items()} for s in stages}
+        names: dict[str, Names] = {s.cls: dict(self.names) if began is None else dict.fromkeys(start) for s in stages}
         for number in range(first, first + self.config.max_rounds):
             quiet = True
             for s in stages:
                 mine, pending[s.cls] = pending[s.cls], {}
+                named, names[s.cls] = names[s.cls], {}
                 if not mine and (number > first or began is not None):
                     continue
                 schema_before = self.schema
-                found = self.stage(s.cls, s.rules, self._parts(mine) if self.config.delta else None, number)
+                found = self.stage(s.cls, s.rules, self._parts(mine) if self.config.delta else None, number, named)
                 if self.schema is not schema_before:  # new schema meets all old facts
                     found = self.everything()
                     for other in stages:
-                        pending[other.cls] = {k: [x] for k, x in found.items()}
+                        pending[other.cls], names[other.cls] = {k: [x] for k, x in found.items()}, dict(self.names)
                     quiet = False
                     continue
                 if found:
@@ -312,6 +369,7 @@ class Run:
                         for k, x in found.items():
                             # A stage sees its own results in its pass, but not those of rules before their producers.
                             pending[other.cls].setdefault(k, []).append(x)
+                            names[other.cls][k] = _both(names[other.cls].get(k, set()), self.found_names.get(k))
             if quiet:
                 return number
         raise RuntimeError(f"no fixpoint in {self.config.max_rounds} rounds")
@@ -343,8 +401,8 @@ class Run:
 
 
 def _canonical(run: Run, rounds: int) -> tuple[Run, int, DataFrame | None]:
-    """Terms become the representatives of their cliques and the rules run over these, until no two representatives are found
-    identical."""
+    """Terms, values that restrictions require among them, become the representatives of their cliques and the rules run over
+    these, until no two representatives are found identical."""
     reps, derived, stats = None, list(run.derived), list(run.stats)
     for _ in range(run.config.max_rounds):
         links = run.links()
@@ -359,7 +417,11 @@ def _canonical(run: Run, rounds: int) -> tuple[Run, int, DataFrame | None]:
             old = reps.join(to, F.col("rep") == F.col("t"), "left").select("term", F.coalesce("r", "rep").alias("rep"))
             reps = cut(old.union(more.join(reps, "term", "left_anti")))
         parts = [rewrite(run.known[k], more) for k in ("type", "fact") if k in run.present]
-        rows = reduce(DataFrame.union, [run.spark.createDataFrame(sorted(run.schema_set), TRIPLE), *parts])
+        has_value = run.config.vocab.has_value
+        values = run.spark.createDataFrame(sorted({(o,) for _, p, o in run.schema_set if p == has_value}), "term string")
+        moved = {r["term"]: r["rep"] for r in more.join(F.broadcast(values), "term").collect()}  # no more than the schema holds
+        schema = sorted({(s, p, moved.get(o, o) if p == has_value else o) for s, p, o in run.schema_set})
+        rows = reduce(DataFrame.union, [run.spark.createDataFrame(schema, TRIPLE), *parts])
         asserted, run = run.asserted, Run(rows, run.config)
         run.asserted = asserted
         rounds = run.loop(None, rounds + 1)
@@ -410,6 +472,7 @@ def reason_incremental(delta: DataFrame, closed: ReasonResult, config: Config |
         plain = x.select("s", "p", "o")
         run.known[k] = run.known[k].union(plain) if k in run.present else plain
         run.present.add(k)
+        run.names[k] = None
     rounds = run.loop(new) if new else 0
     if new and config.identity_mode == "fixpoint":
         rounds = run.whole(rounds)
