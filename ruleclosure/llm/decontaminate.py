@@ -31,6 +31,8 @@ WINDOW = 13
 #: Benchmark text in one broadcast set; the set takes about six times as much memory.
 PART_BYTES = 24_000_000
 MAP_BITS = 20
+#: Bytes of text that a worker looks at together.
+BLOCK = 1_000_000
 
 _LOWER = lower_table()
 _WORD = np.zeros(256, bool)
@@ -158,19 +160,20 @@ HITS = T.StructType(
 _HITS = pa.struct([("n_words", pa.int64()), *((c, pa.list_(pa.int64())) for c in ("words", "starts", "ends")), ("items", pa.list_(pa.string()))])
 
 
-def scan(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, part_bytes: int = PART_BYTES, into: str = "hits") -> DataFrame:
+def scan(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, part_bytes: int = PART_BYTES, into: str = "hits", clean: bool = False) -> DataFrame:
     """``docs`` with a struct ``into``: n_words; for each word inside a window its number, first byte and end in the text
-    (``words``, ``starts``, ``ends``); and the sorted ids of the items met (``items``)."""
+    (``words``, ``starts``, ``ends``); and the sorted ids of the items met (``items``).  clean: instead, the rows that are not
+    contaminated, as they were."""
     schema = T.StructType([*docs.schema.fields, T.StructField(into, HITS)])
     parts = parts_of(benchmark, part_bytes)
     for k, part in enumerate(parts):
-        docs = _pass(docs, part, window, schema, k > 0)
+        docs = _pass(docs, part, window, schema, k > 0, clean and k == len(parts) - 1)
         if len(parts) > 1:
             docs = cut(docs)
     return docs
 
 
-def _pass(docs: DataFrame, part: DataFrame, window: int, schema: T.StructType, begun: bool) -> DataFrame:
+def _pass(docs: DataFrame, part: DataFrame, window: int, schema: T.StructType, begun: bool, clean: bool) -> DataFrame:
     table = part.toArrow().combine_chunks()
     texts = table.column("text")
     windows = WindowSet(pa.concat_arrays(texts.chunks) if texts.num_chunks != 1 else texts.chunk(0), window)
@@ -183,7 +186,7 @@ def _pass(docs: DataFrame, part: DataFrame, window: int, schema: T.StructType, b
         for batch in batches:
             before = batch.column(batch.num_columns - 1).to_pylist() if begun else None
             own = batch.select(list(range(len(schema.fields) - 1)))
-            for a, b, raw, offsets in text_blocks(batch, "text"):
+            for a, b, raw, offsets in text_blocks(batch, "text", BLOCK):
                 starts, ends, row, hit, items = scan_block(raw, offsets, windows)
                 counts = np.bincount(row, minlength=b - a)
                 first = np.cumsum(counts) - counts
@@ -195,9 +198,12 @@ def _pass(docs: DataFrame, part: DataFrame, window: int, schema: T.StructType, b
                     out[r]["items"] = sorted({names[x] for x in found} - {None})
                 if before:
                     out = [_joined(x, y) for x, y in zip(before[a:b], out, strict=True)]
+                if clean:
+                    yield own.slice(a, b - a).filter(pa.array([not is_contaminated(len(x["words"]), x["n_words"]) for x in out], pa.bool_()))
+                    continue
                 yield pa.RecordBatch.from_arrays([*(c for c in own.slice(a, b - a).columns), pa.array(out, _HITS)], schema.fieldNames())
 
-    return docs.mapInArrow(run, schema)
+    return docs.mapInArrow(run, T.StructType(schema.fields[:-1]) if clean else schema)
 
 
 def _joined(x: dict, y: dict) -> dict:
@@ -209,8 +215,8 @@ def _joined(x: dict, y: dict) -> dict:
     return {"n_words": y["n_words"], "words": words, "starts": starts, "ends": ends, "items": sorted({*x["items"], *y["items"]})}
 
 
-def contaminated(n_hit: F.Column, n_words: F.Column) -> F.Column:
-    """The rule: at least one hit word, and at least a twentieth of all words."""
+def is_contaminated(n_hit, n_words):
+    """The rule, for numbers and columns: at least one hit word, and at least a twentieth of all words."""
     return (n_hit > 0) & (n_hit * 20 >= n_words)
 
 
@@ -223,16 +229,13 @@ def report(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, part_byt
         n_hit.alias("n_hit"),
         F.size("hits.items").cast("long").alias("n_items"),
         F.sha2(F.array_join("hits.items", ",").cast("binary"), 256).alias("items_sha256"),
-        contaminated(n_hit, n_words).alias("contaminated"),
+        is_contaminated(n_hit, n_words).alias("contaminated"),
     )
 
 
 def drop_contaminated(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, part_bytes: int = PART_BYTES) -> DataFrame:
     """The documents that the rule leaves, all columns as they were; judged row by row, without a join."""
-    name = free_name("hits", docs.columns)
-    found = scan(docs, benchmark, window, part_bytes, name)
-    hits = F.col(f"`{name}`")
-    return found.where(~contaminated(F.size(hits["words"]), hits["n_words"])).drop(name)
+    return scan(docs, benchmark, window, part_bytes, free_name("hits", docs.columns), clean=True)
 
 
 def remove_spans(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, part_bytes: int = PART_BYTES) -> DataFrame:
