@@ -17,7 +17,6 @@ import time
 from dataclasses import dataclass, field, replace
 from functools import reduce
 
-from pyspark import StorageLevel
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -199,7 +198,6 @@ class Run:
         full = {k: [self.known[k]] for k in self.known if k in self.present}
         new = {k: [x] for k, x in (delta or {}).items()}
         outs: list[tuple[str, DataFrame]] = []
-        held: list[DataFrame] = []
         todo = [r for r in rules if config.uses(r)]
         rename = ("R3", "O3", "O7a", "O7b")
         for rule in todo:
@@ -220,9 +218,9 @@ class Run:
                 rows = fire(config.rule_set[rule], self.schema, self._parts(full), unread, config.keep_reflexive)
             if rows is None:
                 continue
-            # Later rules of the pass read this one's rows, not its premises over again.
-            rows = rows.select("s", "p", "o").persist(StorageLevel.MEMORY_AND_DISK)
-            held.append(rows)
+            # Later rules of the pass read this one's rows, not its premises over again.  A cached plan would hold those of all
+            # rules before it, which the driver prints with every job; a checkpoint holds none.
+            rows = cut(rows.select("s", "p", "o"))
             if rows.isEmpty():
                 continue
             outs.append((rule, rows))
@@ -232,10 +230,7 @@ class Run:
                 new.setdefault(k, []).append(part.withColumn("by", F.lit(rule)))
                 if names is not None:
                     names[k] = _both(names.get(k, set()), self._made(rule, k))
-        found = self._settle(name, outs, number, began) if outs else {}
-        for rows in held:
-            rows.unpersist()
-        return found
+        return self._settle(name, outs, number, began) if outs else {}
 
     def _made(self, rule: str, kind: str) -> set[tuple[str, str]] | None:
         """Names of what a rule can derive."""
