@@ -40,7 +40,7 @@ from .common import MASK64, Spans, lower_table, mix, opened, sent, text_blocks
 LOG_BASE = 1.5
 BITS, PROBES = 10, 4
 #: Bytes of text in a block; a larger block repeats more of its n-grams.
-BLOCK = 4_000_000
+BLOCK = 2_500_000
 #: Distinct n-grams of blocks that a lot takes on average.
 LOT_GRAMS = 1 << 18
 MIX, HALF = 0.3, 20.0
