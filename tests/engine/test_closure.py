@@ -148,6 +148,19 @@ def test_dealt_edges_do_not_move_again(spark):
     assert plan.count("Exchange") == 1
 
 
+@pytest.mark.parametrize("method", ["doubling", "linear", "naive"])
+def test_files_of_closure_rounds_go(spark, method):
+    from pathlib import Path
+
+    from ruleclosure.durable import shared_folder
+
+    place, kept = Path(shared_folder(spark).removeprefix("file:")), []
+    before = set(place.glob("*/")) | set(place.glob("rows-*"))
+    edges = spark.createDataFrame([("p", f"n{k}", f"n{k + 1}") for k in range(6)], "p string, src string, dst string")
+    found = close_relation(edges, method, kept=kept)
+    assert found.count() == 21 and {x.name for x in set(place.glob("*")) - before} == {kept[0].folder.rsplit("/", 1)[1]}
+
+
 def test_closure_respects_its_limit(spark):
     rows = [("p", f"c{k}", f"c{k + 1}") for k in range(30)]
     with pytest.raises(Limit):
