@@ -403,6 +403,17 @@ def test_incremental_extends_the_closed_relation_and_identity(spark):
     assert got == baselines.local_fixpoint(set(chain) | late) and ("n", "p", "m") in got
 
 
+def test_incremental_goes_on_from_the_files_of_the_closure(spark):
+    """Three arrivals, edges that are already implied and a cycle among them: what is known is not stored again, and nothing comes twice."""
+    rows = line(f"e {V.sub_property} p; p {V.type} {V.transitive}; p {V.domain} C; a e b; b e c; c e d")
+    found = reason(frame(spark, rows), OFF)
+    for late in ("d e f; f e g; a p d; a p g", "z e a; g p h", "h e f; b e c"):
+        before, rows = found, rows + line(late)
+        found = reason_incremental(frame(spark, line(late)), before, OFF)
+        assert {x.folder for x in before.stored} <= {x.folder for x in found.stored}
+        assert triples(found.closure) == baselines.local_fixpoint(set(rows), ids=LOOP) and found.closure.count() == len(triples(found.closure))
+
+
 def test_incremental_says_when_it_does_not_end(spark):
     rows = line(f"x {V.type} C; C {V.has_value} v; C {V.on_property} p; p {V.sub_property} q; q {V.domain} D; D {V.sub_class} E")
     first = reason(frame(spark, rows[1:]), OFF)
