@@ -13,7 +13,7 @@ from ruleclosure.plans.orders import compose_plan
 from ruleclosure.plans.rules import RULES, as_printed
 from ruleclosure import reasoner
 from ruleclosure.reasoner import Config, Run, reason, reason_incremental
-from ruleclosure.triples import TRIPLE, class_shares, classify, collisions, decode, dictionary, encode
+from ruleclosure.triples import TRIPLE, class_shares, classify, collisions, decode, dictionary, encode, narrowed
 from ruleclosure.vocab import VOCAB as V
 
 OFF = Config(identity_mode="off")
@@ -561,3 +561,28 @@ def test_plans_broadcast_the_schema_and_never_cross(spark):
 def test_ntriples_lines():
     assert terms.parse_line('<a> <b> "x\\n\\"y\\u00e9\\""@en .') == ("a", "b", 'x\n"yé"')
     assert terms.parse_line("<a> <b> <c> .") == ("a", "b", "c") and terms.parse_line("junk") == (None, None, None)
+
+
+def test_large_results_lie_in_files_by_name(spark, monkeypatch):
+    """A rule opens the files of the names that it can match; results stay the same."""
+    monkeypatch.setattr(reasoner, "FEW_RESULTS", 0)
+    rows = random_graph(31) | set(line(f"i1 own1 i2; own1 {V.sub_property} own2; own2 {V.domain} C; C {V.sub_class} D"))
+    run = Run(frame(spark, rows), OFF)
+    run.loop()
+    for kind, name, column in (("fact", "own2", "p"), ("type", "D", "o")):
+        some = narrowed(run.known[kind], {name}, column)
+        scans = [x for x in some._jdf.queryExecution().executedPlan().toString().splitlines() if "FileScan" in x]
+        assert scans and all("PartitionFilters: [isnotnull(b" in x or "PartitionFilters: [b" in x for x in scans)
+        assert triples(some) == {t for t in triples(run.known[kind]) if t["spo".index(column)] == name} != set()
+    assert no_loops(triples(reason(frame(spark, rows), OFF).closure)) == no_loops(baselines.local_fixpoint(rows, ids=LOOP))
+
+
+def test_many_matches_of_one_triple_are_not_handed_on(spark, monkeypatch):
+    """Twenty facts of a subject give its type once to the rules behind; with ``count_raw`` all derivations count."""
+    rows = [("s", "p", f"o{k}") for k in range(20)] + line(f"p {V.domain} C; C {V.sub_class} D")
+    kept = []
+    monkeypatch.setattr(reasoner, "store", lambda *a, keep=reasoner.store: kept.append(keep(*a)) or kept[-1])
+    found = triples(reason(frame(spark, rows), OFF).closure)
+    assert ("s", V.type, "D") in found and max(x.rows for x in kept[1:]) <= 2
+    stats = {r[2]: r[3] for r in reason(frame(spark, rows), Config(identity_mode="off", count_raw=True)).stats}
+    assert stats["R4"] == 20
