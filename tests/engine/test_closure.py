@@ -586,3 +586,12 @@ def test_many_matches_of_one_triple_are_not_handed_on(spark, monkeypatch):
     assert ("s", V.type, "D") in found and max(x.rows for x in kept[1:]) <= 2
     stats = {r[2]: r[3] for r in reason(frame(spark, rows), Config(identity_mode="off", count_raw=True)).stats}
     assert stats["R4"] == 20
+
+
+def test_a_rule_without_broadcast_moves_only_what_it_can_match(spark, tmp_path):
+    rows = line(f"a p b; c q d; p {V.domain} C")
+    frame(spark, rows).write.parquet(f"{tmp_path}/t")
+    facts = spark.read.parquet(f"{tmp_path}/t")
+    found = fire("R4", Schema(frame(spark, rows), broadcast=False, rows=frozenset(rows)), {"fact": facts})
+    plan = found._jdf.queryExecution().executedPlan().toString()
+    assert triples(found) == {("a", V.type, "C")} and "EqualTo(p,p)" in plan and "BroadcastHashJoin" not in plan.split("Initial Plan")[0]
