@@ -595,3 +595,10 @@ def test_a_rule_without_broadcast_moves_only_what_it_can_match(spark, tmp_path):
     found = fire("R4", Schema(frame(spark, rows), broadcast=False, rows=frozenset(rows)), {"fact": facts})
     plan = found._jdf.queryExecution().executedPlan().toString()
     assert triples(found) == {("a", V.type, "C")} and "EqualTo(p,p)" in plan and "BroadcastHashJoin" not in plan.split("Initial Plan")[0]
+
+
+def test_few_results_meet_only_known_triples_of_their_names(spark):
+    """Without delta every round derives again what is known; what it compares does not grow with predicates that it did not derive."""
+    run = Run(frame(spark, line(f"a p b; a q b; x {V.type} C; x {V.type} D; p {V.sub_property} q")), Config(identity_mode="off", delta=False))
+    names = run._names_like(frame(spark, line(f"x q y; x new y; y {V.type} D; y {V.type} E")))
+    assert names == ({"q"}, {"D"}) and triples(run._known(names)) == set(line(f"a q b; x {V.type} D"))
